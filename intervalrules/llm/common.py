@@ -9,6 +9,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def shared_dir(spark: SparkSession) -> str:
@@ -41,6 +42,17 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+NO_ID = -(1 << 63)  # stands for a null id inside an operator; it counts as the smallest id
+
+
+def id_in(name: str):
+    return F.coalesce(F.col(name).cast("long"), F.lit(NO_ID))
+
+
+def id_out(name: str):
+    return F.nullif(F.col(name), F.lit(NO_ID)).alias(name)
+
+
 def utf8(column) -> tuple[np.ndarray, np.ndarray]:
     """(bytes, offsets) of an Arrow string column; a null is an empty text."""
     if isinstance(column, pa.ChunkedArray):

@@ -231,6 +231,29 @@ def spans_of(queries: Queries):
     return run
 
 
+def cleaner(queries: Queries):
+    """Passes on the rows of texts without a hit."""
+
+    def run(batches):
+        for batch in chunks(batches, "text", 8 << 20):
+            shard = Shard(batch.column("text"), queries)
+            n_hit, _ = hits_of(shard, queries, batch.num_rows)
+            yield batch.filter(pa.array(n_hit == 0))
+
+    return run
+
+
+def without_benchmark(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, block_items: int = 50_000) -> DataFrame:
+    """The rows whose text holds no benchmark window, one pass for each block of items."""
+    items = benchmark.select(F.col("item_id").cast("string"), F.col("text").cast("string"))
+    n_blocks = max(1, -(-items.count() // block_items))
+    blocked = items.withColumn("block", F.pmod(F.xxhash64("item_id"), F.lit(n_blocks)))
+    for b in range(n_blocks):
+        rows = blocked.filter(F.col("block") == b).collect()
+        docs = docs.mapInArrow(cleaner(Queries([r[0] for r in rows], [r[1] for r in rows], window)), docs.schema)
+    return docs
+
+
 def op5_benchmark_index(spark, sf_dir: str) -> DataFrame:
     found = contamination(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
     digest = F.sha2(F.concat_ws(",", F.array_sort("items")), 256)

@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -178,6 +179,22 @@ def predictor(net: ByteNet | None):
     return run
 
 
+def known_only(net: ByteNet | None, least: float):
+    """Passes on the rows of texts whose language is known with at least this score; a missing label is filled in."""
+    predict = predictor(net)
+
+    def run(batches):
+        for batch in batches:
+            for part in chunks([batch], "text"):
+                got = pa.Table.from_batches(list(predict([part.select(["text"])])))
+                label, score = got["lang_pred"].to_pylist(), got["score"].to_pylist()
+                keep = pa.array([v != UNKNOWN and s >= least for v, s in zip(label, score)])
+                cols = [pc.coalesce(part.column(c), pa.array(label, pa.string())) if c == "lang" else part.column(c) for c in part.schema.names]
+                yield pa.RecordBatch.from_arrays(cols, names=part.schema.names).filter(keep)
+
+    return run
+
+
 def train(docs: DataFrame, labels: int = 64, per_label: int = 500, windows: int = 4, epochs: int = 5, seed: int = 7) -> ByteNet | None:
     """Fits on rows that are not held out; the sample is bounded by labels * per_label texts."""
     rows = docs.select(F.col("doc_id").alias("id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang")).filter(F.col("lang").isNotNull() & ~held_out("id"))

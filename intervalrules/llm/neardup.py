@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import Scratch, table
+from .common import Scratch, id_in, id_out, table
 from .graph import components
 
 
@@ -223,7 +223,7 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.95, k: int = 8, mee
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 8)
     kind = vectors.schema["embedding"].dataType
     dtype = "<f4" if isinstance(kind.elementType, T.FloatType) else "<f8"
-    rows = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), "embedding" if dtype == "<f4" else F.col("embedding").cast("array<double>").alias("embedding"))
+    rows = vectors.select(id_in("vec_id").alias("vec_id"), "embedding" if dtype == "<f4" else F.col("embedding").cast("array<double>").alias("embedding"))
     rows = scratch.table("rows", rows.mapInArrow(encoder(dtype), "vec_id long, vec binary"))
     reps = rows.filter("vec IS NOT NULL").groupBy("vec").agg(F.min("vec_id").alias("id"), F.count(F.lit(1)).alias("copies"))
     reps = scratch.table("reps", reps)
@@ -261,7 +261,8 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.95, k: int = 8, mee
     found = reps.join(found, "id", "left").select("vec", F.coalesce("component", "id").alias("component_id"), (F.coalesce("n", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
     out = rows.join(found, "vec", "left")
     component = F.coalesce("component_id", "vec_id")
-    return out.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), (F.col("vec_id") == component).alias("kept"))
+    out = out.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), (F.col("vec_id") == component).alias("kept"))
+    return out.select(id_out("vec_id"), "n_links", id_out("component_id"), "kept")
 
 
 def exact_pairs(threshold: float, dtype: str):

@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from . import decontam, hilbert, html, langid, neardup, packing, pii, setjoin, tokencount
+from . import decontam, hilbert, html, langid, neardup, packing, pii, setjoin, suffix, tokencount
 
 QUERIES = {
     "op1_hilbert_shards": hilbert.op1_hilbert_shards,
     "op2_neighbour_descent": neardup.op2_neighbour_descent,
     "op3_byte_convolution": langid.op3_byte_convolution,
+    "op4_suffix_shards": suffix.op4_suffix_shards,
     "op5_benchmark_index": decontam.op5_benchmark_index,
     "op6_skip_chain": pii.op6_skip_chain,
     "op7_section_tokens": tokencount.op7_section_tokens,
