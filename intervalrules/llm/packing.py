@@ -14,6 +14,8 @@ piece is packed like any other; repeated rows are packed each; an empty table gi
 
 from __future__ import annotations
 
+import os
+import re
 import zlib
 
 import numpy as np
@@ -29,29 +31,57 @@ CAPACITY, END = 2048, 0
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, bin long, offset long, open boolean"
 
 
+SIMPLE = re.compile("[a-z\u00df-\u00f6\u00f8-\u00ff]+")
+
+
 class WordTokenizer:
-    """Ids of whole texts for a tokenizer that drops white space: equal to encoding the text, since no token crosses it.
+    """Ids of whole texts for a lower-casing tokenizer that drops white space: equal to encoding the text, since no token crosses it.
 
-    Each distinct word is encoded once; the cache is emptied when it holds ``limit`` words.
+    Each distinct word is encoded once. Letters are lower-cased and sentence marks after a letter or digit are split off first, as the
+    tokenizer itself does, so that there are fewer distinct words. Words of plain letters go to the merge model directly, others
+    through the whole tokenizer; so do whole texts that might hold a special token. The cache is emptied when it holds ``limit`` words.
     """
 
-    def __init__(self, path: str, limit: int = 400_000):
+    def __init__(self, path: str, limit: int = 500_000):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
         from tokenizers import Tokenizer
 
         self.tokenizer, self.limit = Tokenizer.from_file(path), limit
+        self.model = self.tokenizer.model
+        # the byte-level alphabet: printable bytes stand for themselves, the others follow from 256 on
+        plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
+        rest = [b for b in range(256) if b not in set(plain)]
+        self.alphabet = {b: chr(b) for b in plain} | {b: chr(256 + k) for k, b in enumerate(rest)}
         self.clear()
 
     def clear(self) -> None:
         self.known, self.ids, self.used = {}, np.zeros(1 << 16, np.uint32), 0
         self.first, self.count = np.zeros(1 << 14, np.int64), np.zeros(1 << 14, np.int64)
 
+    def _coded(self, words: list[str]) -> list[list[int]]:
+        out: list[list[int]] = []
+        hard = []
+        for word in words:
+            if SIMPLE.fullmatch(word):
+                if not word.isascii():
+                    word = "".join(map(self.alphabet.__getitem__, word.encode()))
+                out.append([t.id for t in self.model.tokenize(word)])
+            else:
+                hard.append(len(out))
+                out.append([])
+        for at in range(0, len(hard), 2000):
+            own = hard[at : at + 2000]
+            for k, e in zip(own, self.tokenizer.encode_batch_fast([words[k] for k in own], add_special_tokens=False)):
+                out[k] = e.ids
+        return out
+
     def _add(self, words: list[str]) -> None:
         base = len(self.known)
         need = base + len(words)
         if need > len(self.first):
             grow = max(need, 2 * len(self.first))
             self.first, self.count = np.resize(self.first, grow), np.resize(self.count, grow)
-        coded = [e.ids for e in self.tokenizer.encode_batch_fast(words, add_special_tokens=False)]
+        coded = self._coded(words)
         counts = np.fromiter(map(len, coded), np.int64, len(coded))
         total = int(counts.sum())
         while self.used + total > len(self.ids):
@@ -61,9 +91,12 @@ class WordTokenizer:
         self.used += total
         self.known.update(zip(words, range(base, need)))
 
-    def __call__(self, texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
-        """(ids, offsets) of the texts; nulls are empty."""
-        split = pc.ascii_split_whitespace(pc.fill_null(texts, ""))
+    def __call__(self, texts: pa.Array) -> list[np.ndarray]:
+        """Ids of each text; nulls are empty."""
+        texts = pc.fill_null(texts, "")
+        special = np.flatnonzero(pc.match_substring(texts, "<|").to_numpy(zero_copy_only=False))
+        plain = pc.replace_substring_regex(pc.ascii_lower(texts), r"([a-z0-9])([.,;:!?]+)(\s|$)", r"\1 \2\3")
+        split = pc.ascii_split_whitespace(plain)
         bounds = np.asarray(split.offsets, np.int64)
         words = split.flatten().dictionary_encode()
         names = words.dictionary.to_pylist()
@@ -75,8 +108,12 @@ class WordTokenizer:
         at = np.fromiter(map(self.known.__getitem__, names), np.int64, len(names))
         index = at[np.asarray(words.indices, np.int64)] if len(names) else np.zeros(0, np.int64)
         counts = self.count[index]
-        before = np.concatenate([[0], np.cumsum(counts)])
-        return self.ids[ragged(self.first[index], counts)], before[bounds - bounds[0]]
+        cuts = np.concatenate([[0], np.cumsum(counts)])[bounds - bounds[0]]
+        ids = self.ids[ragged(self.first[index], counts)]
+        out = [ids[a:b] for a, b in zip(cuts, cuts[1:])]
+        for k in special.tolist():
+            out[k] = np.array(self.tokenizer.encode(texts[k].as_py(), add_special_tokens=False).ids, np.uint32)
+        return out
 
 
 class BestFit:
@@ -138,10 +175,9 @@ def pack_texts(path: str, open_bins: int, capacity: int = CAPACITY):
             names = ["doc_id", "piece", "start", "length", "ids_crc32", "bin", "offset"]
             return pa.RecordBatch.from_arrays([*(pa.array(c, k) for c, k in zip(cols, kinds)), pa.array([still_open] * len(rows))], names=[*names, "open"])
 
-        for batch in chunks(batches, "text", 4 << 20):
-            ids, bounds = tokens(batch.column("text"))
-            for k, doc in enumerate(batch.column("doc_id").to_pylist()):
-                own = np.append(ids[bounds[k] : bounds[k + 1]], np.uint32(END))
+        for batch in chunks(batches, "text", 2 << 20):
+            for doc, ids in zip(batch.column("doc_id").to_pylist(), tokens(batch.column("text"))):
+                own = np.append(ids, np.uint32(END))
                 for piece, start, length, crc in pieces_of(own, capacity):
                     number, offset = fit.add(length)
                     held.setdefault(number, []).append((doc, piece, start, length, crc, number, offset))
