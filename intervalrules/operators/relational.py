@@ -66,13 +66,13 @@ def join_interval_overlap(spark, d):
     return pairs.groupBy(F.col("a.nation").alias("nation")).agg(F.count(F.lit(1)).alias("pairs"))
 
 
-@query("join_asof", "SELECT event_id, (SELECT max(p.event_id) FROM events p WHERE p.user_id = e.user_id AND p.event_type = 'purchase' AND p.ts = (SELECT max(q.ts) FROM events q WHERE q.user_id = e.user_id AND q.event_type = 'purchase' AND q.ts < e.ts)) AS last_purchase FROM events e WHERE event_type = 'error'")
+@query("join_asof", "SELECT event_id, coalesce((SELECT max(p.event_id) FROM events p WHERE p.user_id = e.user_id AND p.event_type = 'purchase' AND p.ts = (SELECT max(q.ts) FROM events q WHERE q.user_id = e.user_id AND q.event_type = 'purchase' AND q.ts < e.ts)), -1) AS last_purchase FROM events e WHERE event_type = 'error'")
 def join_asof(spark, d):
-    """The user's last purchase before each error, in one pass over time."""
+    """The user's last purchase before each error (-1: none), in one pass over time."""
     own = Window.partitionBy("user_id").orderBy("ts").rowsBetween(Window.unboundedPreceding, -1)
     events = T.table(spark, d, "events").filter(F.col("event_type").isin("purchase", "error")).select("event_id", "user_id", "ts", "event_type")
     last = F.last(F.when(F.col("event_type") == "purchase", F.col("event_id")), ignorenulls=True).over(own)
-    return events.withColumn("last_purchase", last).filter("event_type = 'error'").select("event_id", "last_purchase")
+    return events.withColumn("last_purchase", last).filter("event_type = 'error'").select("event_id", F.coalesce("last_purchase", F.lit(-1)).cast("long").alias("last_purchase"))
 
 
 @query("join_cross_small", "SELECT r_name, c_mktsegment FROM region CROSS JOIN (SELECT DISTINCT c_mktsegment FROM customer)")
@@ -169,19 +169,19 @@ def agg_percentile_approx(spark, d):
 
 # ---- windows ----
 
-EVENTS = "SELECT user_id AS sid, event_type AS sym, epoch_us(ts) AS at, event_id FROM events"
+EVENTS = "SELECT user_id AS sid, event_type AS sym, epoch_us(ts) AS t, event_id FROM events"
 
 
 def points(spark, d) -> DataFrame:
     return T.table(spark, d, "events").select(F.col("user_id").alias("sid"), F.col("event_type").alias("sym"), T.micros("ts").alias("at"), "event_id", T.cents("value").alias("u"))
 
 
-@query("win_until_next", f"SELECT sid, sym, st, ft FROM (SELECT sid, sym, at AS st, lead(at) OVER (PARTITION BY sid ORDER BY at, sym) AS ft FROM ({EVENTS})) WHERE ft IS NOT NULL")
+@query("win_until_next", f"SELECT sid, sym, st, ft FROM (SELECT sid, sym, t AS st, lead(t) OVER (PARTITION BY sid ORDER BY t, sym) AS ft FROM ({EVENTS})) WHERE ft IS NOT NULL")
 def win_until_next(spark, d):
     return formats.until_next(points(spark, d)).select("sid", "sym", "st", "ft")
 
 
-@query("win_state_runs", "SELECT sym, min(at) AS st, max(at) + 1 AS ft, CAST(count(*) AS BIGINT) AS u FROM (SELECT *, sum(change) OVER (ORDER BY at) AS n FROM (SELECT vec_id AS at, CAST(label AS VARCHAR) AS sym, CASE WHEN label = lag(label) OVER (ORDER BY vec_id) THEN 0 ELSE 1 END AS change FROM embeddings)) GROUP BY n, sym")
+@query("win_state_runs", "SELECT sym, min(t) AS st, max(t) + 1 AS ft, CAST(count(*) AS BIGINT) AS u FROM (SELECT *, sum(change) OVER (ORDER BY t) AS n FROM (SELECT vec_id AS t, CAST(label AS VARCHAR) AS sym, CASE WHEN label = lag(label) OVER (ORDER BY vec_id) THEN 0 ELSE 1 END AS change FROM embeddings)) GROUP BY n, sym")
 def win_state_runs(spark, d):
     """Runs of equal label along the ids, one series."""
     rows = T.table(spark, d, "embeddings").select(F.lit(0).cast("long").alias("sid"), F.col("vec_id").alias("at"), F.col("label").cast("string").alias("sym"))
@@ -191,7 +191,7 @@ def win_state_runs(spark, d):
 GAP = 6 * 3_600_000_000
 
 
-@query("win_sessions", f"SELECT sid, min(at) AS st, max(at) + 1 AS ft, CAST(count(*) AS BIGINT) AS n FROM (SELECT *, sum(new) OVER (PARTITION BY sid ORDER BY at) AS k FROM (SELECT *, CASE WHEN at - lag(at) OVER (PARTITION BY sid ORDER BY at) > {GAP} THEN 1 ELSE 0 END AS new FROM ({EVENTS}))) GROUP BY sid, k")
+@query("win_sessions", f"SELECT sid, min(t) AS st, max(t) + 1 AS ft, CAST(count(*) AS BIGINT) AS n FROM (SELECT *, sum(new) OVER (PARTITION BY sid ORDER BY t) AS k FROM (SELECT *, CASE WHEN t - lag(t) OVER (PARTITION BY sid ORDER BY t) > {GAP} THEN 1 ELSE 0 END AS new FROM ({EVENTS}))) GROUP BY sid, k")
 def win_sessions(spark, d):
     rows = points(spark, d).withColumns({"sym": F.lit("any"), "u": F.lit(1).cast("long")})
     return formats.sessions(rows, GAP).select("sid", "st", "ft", F.col("u").alias("n"))
@@ -200,7 +200,7 @@ def win_sessions(spark, d):
 WEEK = 7 * 86_400_000_000
 
 
-@query("win_range_frame", f"SELECT event_id, CAST(sum(u) OVER (PARTITION BY sid ORDER BY at RANGE BETWEEN {WEEK} PRECEDING AND CURRENT ROW) AS BIGINT) AS week FROM (SELECT user_id AS sid, epoch_us(ts) AS at, event_id, {O.CENTS.format('value')} AS u FROM events)")
+@query("win_range_frame", f"SELECT event_id, CAST(sum(u) OVER (PARTITION BY sid ORDER BY t RANGE BETWEEN {WEEK} PRECEDING AND CURRENT ROW) AS BIGINT) AS week FROM (SELECT user_id AS sid, epoch_us(ts) AS t, event_id, {O.CENTS.format('value')} AS u FROM events)")
 def win_range_frame(spark, d):
     own = Window.partitionBy("sid").orderBy("at").rangeBetween(-WEEK, 0)
     return points(spark, d).select("event_id", F.sum("u").over(own).alias("week"))

@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions import relations as R
 from . import bounds, measures, model, search, timelines
-from .scratch import Tables, partitioned_checkpoint, small
+from .scratch import Tables, partitioned_checkpoint
 
 PATTERN = ["x", "rel"]
 
@@ -22,7 +22,7 @@ def pattern_levels(log: DataFrame, max_size: int | None, keep, style: str = "gro
     Yields (size, occurrences, statistics); statistics: x, rel, support, utility, bound. Level-wise style checks, before occurrences are made, that both parents of a
     candidate are kept: the pattern without its last interval (always so here) and the pattern without its first.
     """
-    coded, codes = search.prepare(log)
+    coded, codes, _, _ = search.stored(log)
     parts = search.partitions(log)
     arrays = partitioned_checkpoint(timelines.arrays(coded, parts))
     tables = Tables(log.sparkSession, "patterns")
@@ -38,7 +38,7 @@ def pattern_levels(log: DataFrame, max_size: int | None, keep, style: str = "gro
         n = live.count()
         if not n or (max_size is not None and size >= max_size):
             return
-        grown = occ.join(small(live, n), PATTERN).join(arrays, "sid").select(*occ.columns, F.explode(F.expr("slice(iv, last + 1, size(iv))")).alias("e"))
+        grown = occ.join(live, PATTERN).join(arrays, "sid").select(*occ.columns, F.explode(F.expr("slice(iv, last + 1, size(iv))")).alias("e"))
         before = F.when(F.size("rel") > 0, F.element_at("rel", -1)).otherwise(F.lit(0)) if size > 1 else F.lit(0)
         num = R.append_number(F.col("xi"), before, e["st"], e["ft"], size)
         new = grown.select("sid", F.concat("x", F.array(e["code"])).alias("x"), F.concat("rel", F.array(num)).alias("rel"), F.concat("xi", F.array(_point(e))).alias("xi"), e["pos"].alias("last"), e["tail"].alias("tail"), (F.col("u") + e["u"]).alias("u"), F.concat("at", F.array(e["pos"])).alias("at"))
@@ -47,7 +47,7 @@ def pattern_levels(log: DataFrame, max_size: int | None, keep, style: str = "gro
             suffix_rel = F.transform(F.slice("rel", 2, size), lambda v, i: v % R.power(i + 1))
             new = new.withColumns({"sx": F.slice("x", 2, size), "sr": suffix_rel})
             held = live.select(F.col("x").alias("sx"), F.col("rel").alias("sr"))
-            new = new.join(small(held, n), ["sx", "sr"], "left_semi").drop("sx", "sr")
+            new = new.join(held, ["sx", "sr"], "left_semi").drop("sx", "sr")
         occ = partitioned_checkpoint(new.select(*occ.columns))
         size += 1
 

@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 
 from ..functions import relations as R
 from . import bounds, measures, model, timelines
-from .scratch import Tables, partitioned_checkpoint, small
+from .scratch import Tables, partitioned_checkpoint
 
 KEY = ["x", "y", "rel"]
 RULES = "x array<int>, y array<int>, rel array<bigint>, n_rule bigint, n_ante bigint, utility bigint"
@@ -198,7 +198,7 @@ def grow_antecedents(ante: DataFrame, arrays: DataFrame, wanted: DataFrame, size
     before = F.when(F.size("xrel") > 0, F.element_at("xrel", F.when(F.size("xrel") > 0, F.lit(-1)).otherwise(F.lit(1)))).otherwise(F.lit(0)) if size > 2 else F.lit(0)
     number = R.append_number(F.col("xi"), before, F.col("e.st"), F.col("e.ft"), size, opt.zero_carry)
     grown = rows.select("sid", F.concat("x", F.array("e.code")).alias("x"), F.concat("xrel", F.array(number)).alias("xrel"), F.concat("xi", F.array(_point(F.col("e")))).alias("xi"), F.col("e.pos").alias("last_x"))
-    return grown.join(small(wanted, wanted.count()), ["x", "xrel"], "left_semi").select("sid", "x", "xrel", "xi", "last_x")
+    return grown.join(wanted, ["x", "xrel"], "left_semi").select("sid", "x", "xrel", "xi", "last_x")
 
 
 def antecedent_of(rel: Column, x: Column) -> Column:
@@ -251,7 +251,7 @@ class Search:
         if not level["left"] and not level["right"]:
             return False
         live = stats.select(*KEY, "grow_left", "grow_right").filter("grow_left OR grow_right")
-        occ = self.occ.join(small(live, level["left"] + level["right"]), KEY)
+        occ = self.occ.join(live, KEY)  # statistics tables have known sizes, so the planner broadcasts them below its threshold only
         grown = {side: extensions(occ.filter(f"grow_{side}").drop("grow_left", "grow_right"), self.arrays, side, opt) for side in ("left", "right") if level[side]}
         both = None
         for rows in grown.values():
@@ -269,7 +269,7 @@ class Search:
         self.size += 1
         new = None
         for side, rows in grown.items():
-            part = materialise(rows.join(small(classes, n), by, "left_semi"), side, opt, self.size)
+            part = materialise(rows.join(classes, by, "left_semi"), side, opt, self.size)
             new = part if new is None else new.unionByName(part)
         self.occ = partitioned_checkpoint(new)
         return True
@@ -296,6 +296,16 @@ def prepare(log: DataFrame) -> tuple[DataFrame, DataFrame]:
     return model.encode_symbols(model.clean(log).good)
 
 
+def stored(log: DataFrame) -> tuple[DataFrame, DataFrame, int, int]:
+    """The coded log and its dictionary, written once, with the number of timelines and the total utility."""
+    tables = Tables(log.sparkSession, "log")
+    good = tables.put("good", model.clean(log).good)
+    coded, codes = model.encode_symbols(good)
+    codes = tables.put("codes", codes)
+    row = good.agg(F.count_distinct("sid").alias("n"), F.coalesce(F.sum("u"), F.lit(0)).alias("u")).first()
+    return good.join(F.broadcast(codes), "sym"), codes, row["n"], row["u"]
+
+
 def partitions(log: DataFrame) -> int:
     return int(log.sparkSession.conf.get("spark.sql.shuffle.partitions"))
 
@@ -318,10 +328,11 @@ def mine(
 ) -> MiningResult:
     """All rules with utility >= minutil and confidence >= minconf."""
     began = time.perf_counter()
-    coded, codes = prepare(log)
-    minutil = resolve_threshold(coded, minutil, minutil_ratio)
+    coded, codes, n_timelines, total = stored(log)
+    if (minutil is None) == (minutil_ratio is None):
+        raise ValueError("give minutil or minutil_ratio")
+    minutil = math.ceil(minutil_ratio * total) if minutil is None else minutil
     opt = Options(minutil, minconf, layout, class_budget, zero_carry, occurrence, disjoint, max_x, max_y, max_size, frozenset(disable))
-    n_timelines = coded.select("sid").distinct().count()
     trace: list[dict] = []
     if "symbols" not in opt.disable:
         coded, trace = bounds.prune_symbols(coded, minutil)
@@ -347,8 +358,7 @@ def mine_top_k(log: DataFrame, k: int = 200, minconf: float = 0.6, **options) ->
     The threshold is the k-th best confident utility seen so far, a lower bound of the final one, so nothing is lost.
     """
     began = time.perf_counter()
-    coded, codes = prepare(log)
-    n_timelines = coded.select("sid").distinct().count()
+    coded, codes, n_timelines, _ = stored(log)
     opt = Options(1, minconf, **options)
     search = Search(coded, opt, partitions(log))
     order = [F.desc("utility"), F.desc(F.col("n_rule") / F.col("n_ante")), "x", "y", "rel"]

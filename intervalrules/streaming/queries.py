@@ -64,7 +64,7 @@ def stream_sliding(spark, d):
     return drain(rows, "append").select(F.unix_micros("window.start").alias("start"), "event_type", "u")
 
 
-@query("stream_sessions", f"SELECT user_id, min(at) AS st, max(at) + {DAY_US // 4} AS ft, CAST(count(*) AS BIGINT) AS n FROM (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY at) AS k FROM (SELECT user_id, epoch_us(ts) AS at, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) >= {DAY_US // 4} THEN 1 ELSE 0 END AS new FROM events)) GROUP BY user_id, k")
+@query("stream_sessions", f"SELECT user_id, min(t) AS st, max(t) + {DAY_US // 4} AS ft, CAST(count(*) AS BIGINT) AS n FROM (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY t) AS k FROM (SELECT user_id, epoch_us(ts) AS t, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) >= {DAY_US // 4} THEN 1 ELSE 0 END AS new FROM events)) GROUP BY user_id, k")
 def stream_sessions(spark, d):
     rows = event_stream(spark, d).groupBy("user_id", F.session_window("ts", "6 hours")).agg(F.count(F.lit(1)).alias("n"))
     return drain(rows, "complete").select("user_id", F.unix_micros("session_window.start").alias("st"), F.unix_micros("session_window.end").alias("ft"), "n")
