@@ -556,7 +556,7 @@ def rare_rules(spark, d):
     return rule_rows(match.rare(search.mine(T.items_by_type(spark, d), minutil_ratio=0.002, minconf=0.03, max_size=3).rules, 150))
 
 
-REDUNDANT = O.mine("short_order_spans", 0.001, 0.02, 4).replace("SELECT rule, n_rule", ", good AS (SELECT rule, n_rule", 1) + "), parts AS (SELECT *, string_split(split_part(rule, '>', 1), ',') AS x, split_part(split_part(rule, '>', 2), '|', 1) AS y FROM good) SELECT rule, n_rule, n_ante, utility FROM parts a WHERE NOT EXISTS (SELECT 1 FROM parts b WHERE b.y = a.y AND len(b.x) < len(a.x) AND a.x[1:len(b.x)] = b.x AND b.utility >= a.utility AND b.n_rule * a.n_ante >= a.n_rule * b.n_ante)"
+REDUNDANT = O.mine("short_order_spans", 0.001, 0.02, 4).replace("\nSELECT rule, n_rule, n_ante, utility FROM rated", ", good AS (SELECT rule, n_rule, n_ante, utility FROM rated") + "), parts AS (SELECT *, string_split(split_part(rule, '>', 1), ',') AS x, split_part(split_part(rule, '>', 2), '|', 1) AS y FROM good) SELECT rule, n_rule, n_ante, utility FROM parts a WHERE NOT EXISTS (SELECT 1 FROM parts b WHERE b.y = a.y AND len(b.x) < len(a.x) AND a.x[1:len(b.x)] = b.x AND b.utility >= a.utility AND b.n_rule * a.n_ante >= a.n_rule * b.n_ante)"
 
 
 @query("non_redundant_rules", REDUNDANT)

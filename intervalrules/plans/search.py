@@ -219,12 +219,10 @@ class Search:
         self.found: list[DataFrame] = []
 
     def _with_antecedents(self, stats: DataFrame) -> DataFrame:
-        """n_ante of each rule: counted for antecedents of this level, inherited by rules that grew right."""
+        """n_ante of each rule: counted for antecedents of this level, inherited from the last level by rules that grew right."""
         fresh = measures.antecedent_count(self.ante, ["x", "xrel"])
         if self.inherited is not None:
             fresh = fresh.unionByName(self.inherited)
-        fresh = self.tables.put(f"ante-{self.size}", fresh)
-        self.inherited = fresh
         keyed = stats.withColumn("xrel", antecedent_of(F.col("rel"), F.col("x")))
         return keyed.join(fresh, ["x", "xrel"]).drop("xrel")
 
@@ -234,7 +232,9 @@ class Search:
         if self.size > 2:
             wanted = stats.filter(F.size("y") == 1).select("x", antecedent_of(F.col("rel"), F.col("x")).alias("xrel")).distinct()
             self.ante = partitioned_checkpoint(grow_antecedents(self.ante, self.arrays, wanted, self.size, self.opt))
-        return self.tables.put(f"rated-{self.size}", self._with_antecedents(stats))
+        out = self.tables.put(f"rated-{self.size}", self._with_antecedents(stats))
+        self.inherited = out.select("x", antecedent_of(F.col("rel"), F.col("x")).alias("xrel"), "n_ante").distinct()
+        return out
 
     def step(self) -> bool:
         return self.step_from(self.rated())
