@@ -456,7 +456,7 @@ def running_example_candidates(spark, d):
     return spark.createDataFrame(rows, "minutil int, variant string, candidates long, rules long")
 
 
-@query("output_bytes_by_layout", O.mine("quarter_spans", 0.01, 0.1, 4).replace("SELECT rule, n_rule, n_ante, utility FROM rated", "SELECT CAST(sum(length(rule) + 4 + length(CAST(utility AS VARCHAR)) + 27) AS BIGINT) AS bytes_base7 FROM rated"))
+@query("output_bytes_by_layout", O.mine("quarter_spans", 0.01, 0.1, 4).replace("SELECT rule, n_rule, n_ante, utility FROM rated", "SELECT CAST(sum(length(rule) + length(CAST(utility AS VARCHAR)) + 27) AS BIGINT) AS bytes_base7 FROM rated"))
 def output_bytes_by_layout(spark, d):
     """Bytes of the rule file; a line holds the rule, '==>', two labelled measures and the numbers."""
     rules = search.mine(T.quarter_spans(spark, d), minutil_ratio=0.01, minconf=0.1, max_size=4).rules
