@@ -35,7 +35,7 @@ from .decontam import powers
 from .neardup import runs
 
 LENGTH, GRAM = 200, 24
-SPAN = 1 << 23  # places compared at once; their number fits the low 24 bits of a key
+SPAN = 1 << 21  # places compared at once; their number fits the low 24 bits of a key
 ENTRY = np.dtype([("h", "<u4"), ("t1", "<i8"), ("t2", "<i8"), ("lo", "<i4"), ("n", "<i4"), ("more", "<i4")])
 
 
@@ -200,7 +200,7 @@ def digester(with_text: bool):
     return run
 
 
-def expanded(batches, limit: int = 8 << 20):
+def expanded(batches, limit: int = 2 << 20):
     """(keys, bytes, bounds) of groups of texts."""
     expand = zstandard.ZstdDecompressor()
     keys, texts, size = [], [], 0
@@ -301,6 +301,8 @@ def cutter(length: int):
 
     def run(batches):
         expand = zstandard.ZstdDecompressor()
+        kinds = (pa.int64(), pa.int32(), pa.binary(), pa.int64(), pa.int64(), pa.int32(), pa.int32())
+        pack = lambda rows: pa.RecordBatch.from_arrays([pa.array(r, k) for r, k in zip(rows, kinds)], names=["anchor", "salt", "seg", "t1", "t2", "lo", "n"])
         for batch in batches:
             rows = [[], [], [], [], [], [], []]
             for t1, t2, z, runs_ in zip(*(batch.column(c).to_pylist() for c in ("t1", "t2", "z", "runs"))):
@@ -308,8 +310,10 @@ def cutter(length: int):
                 for r in runs_:
                     for out, v in zip(rows, (r["anchor"], r["salt"], text[r["lo"] : r["lo"] + r["n"] - 1 + length], t1, t2, r["lo"], r["n"])):
                         out.append(v)
-            kinds = (pa.int64(), pa.int32(), pa.binary(), pa.int64(), pa.int64(), pa.int32(), pa.int32())
-            yield pa.RecordBatch.from_arrays([pa.array(r, k) for r, k in zip(rows, kinds)], names=["anchor", "salt", "seg", "t1", "t2", "lo", "n"])
+                if len(rows[0]) >= 20_000:
+                    yield pack(rows)
+                    rows = [[], [], [], [], [], [], []]
+            yield pack(rows)
 
     return run
 
@@ -448,7 +452,7 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, local_most: int = 32,
     found = dealt.mapInArrow(repeated_anchors(shard_most), CANDIDATES).unionByName(blocks.filter("kind = 1").select("bucket", "x").mapInArrow(local_candidates, CANDIDATES))
     runs_of = found.groupBy("t1", "t2").agg(F.collect_list(F.struct("lo", "n", "anchor", "salt")).alias("runs"))
     cut = texts.join(runs_of, ["t1", "t2"]).select("t1", "t2", "z", "runs").mapInArrow(cutter(length), "anchor long, salt int, seg binary, t1 long, t2 long, lo int, n int")
-    cut = cut.withColumn("shard", F.pmod(F.xxhash64("anchor", "salt"), F.lit(4 * parts)).cast("int"))
+    cut = cut.withColumn("shard", F.pmod(F.xxhash64("anchor", "salt"), F.lit(8 * parts)).cast("int"))
     cut = cut.repartition(parts, "shard").sortWithinPartitions("shard")
     sharded = scratch.table("sharded", cut.mapInArrow(sharder(length, parts), SHARDED))
     scratch.drop("blocks")
