@@ -53,6 +53,14 @@ def id_out(name: str):
     return F.nullif(F.col(name), F.lit(NO_ID)).alias(name)
 
 
+def bounded_sample(rows: DataFrame, hash_column: str, most: int, order: list[str]) -> DataFrame:
+    """At most `most` rows, those of the smallest hashes; a hash filter keeps what one task gathers near that number at any size."""
+    total = rows.count()
+    bits = 1 << 40
+    bar = min(bits, int(bits * (1.5 * most + 50) / max(total, 1)))
+    return rows.filter(F.shiftrightunsigned(F.col(hash_column), 24) < F.lit(bar)).orderBy(hash_column, *order).limit(most)
+
+
 def utf8(column) -> tuple[np.ndarray, np.ndarray]:
     """(bytes, offsets) of an Arrow string column; a null is an empty text."""
     if isinstance(column, pa.ChunkedArray):

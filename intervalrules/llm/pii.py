@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, ragged, table, utf8
+from .common import bounded_sample, chunks, ragged, table, utf8
 
 KINDS = ("email", "ip", "card", "phone", "secret")
 # The base patterns of the contract, written so that each place is tried once.
@@ -301,10 +301,10 @@ def finder(field: Field, least: float, redacting: bool):
 
 
 def train(docs: DataFrame, sample: int = 2000) -> Field:
-    """Learns from at most `sample` texts, those of the smallest hashes among texts with a digit or an at sign."""
+    """Learns from at most `sample` texts, a hash sample of texts with a digit or an at sign."""
     cut = F.substring("text", 1, 20_000)
     rows = docs.select(F.col("text").cast("string").alias("text")).filter(F.col("text").rlike("[0-9@]"))
-    rows = rows.select(cut.alias("text"), F.xxhash64("text").alias("h")).orderBy("h", "text").limit(sample).select("text").toArrow()
+    rows = bounded_sample(rows.select(cut.alias("text"), F.xxhash64("text").alias("h")), "h", sample, ["text"]).select("text").toArrow()
     graph = Graph()
     for n, text in enumerate(rows.column(0).to_pylist()):
         seeds = [(m.start(g), 4, m.end(g)) for m in SECRET.finditer(text) for g in (1, 2) if m.start(g) >= 0]
