@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, table
+from .common import bounded_sample, chunks, table
 from .decontam import LOWER, word_hashes, word_spans
 
 RAW = "script|style|noscript|template|textarea|title|svg|iframe|object|canvas|select"
@@ -312,9 +312,9 @@ def varied(page: list[tuple], label: list[bool], pool: list[str], rng) -> tuple[
 
 
 def train(pages: DataFrame, sample: int = 240, seed: int = 5) -> BiLstm:
-    """Learns from at most `sample` pages, those of the smallest hashes, at most 40,000 characters each."""
+    """Learns from at most `sample` pages, a hash sample, at most 40,000 characters each."""
     rows = pages.select(F.substring(F.col("html").cast("string"), 1, 40_000).alias("html")).filter("length(html) > 0")
-    rows = rows.withColumn("h", F.xxhash64("html")).orderBy("h", "html").limit(sample).select("html").toArrow()
+    rows = bounded_sample(rows.withColumn("h", F.xxhash64("html")), "h", sample, ["html"]).select("html").toArrow()
     rng = np.random.default_rng(seed)
     xs, ys = [], []
     parsed = [blocks_of(p) for p in rows.column(0).to_pylist()]
