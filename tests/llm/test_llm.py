@@ -311,6 +311,20 @@ def test_set_join(spark, rows, empty, small):
     assert Counter((r["doc_id"], r["n_shingles"], r["component_id"]) for r in got) == jaccard(every)
     if small == 2:
         assert setjoin.jaccard_classes(empty).count() == 0
+        assert setjoin.one_of_each(empty).count() == 0
+
+
+def test_set_join_by_text_where_ids_repeat(spark):
+    rng = random.Random(10)
+    one, two, three = (prose(rng, 80) for _ in range(3))
+    every = [(None, one, "en", "s", 1, "x"), (None, two, None, "s", 1, "x"), (-1, one + " more", "en", None, None, "x"), (5, two, "en", "s", 1, "x"), (5, three, "en", "s", 1, "x"), (6, three + " tail", "en", "s", 1, "x"), (None, None, "en", "s", 1, "x"), (None, " ", "en", "s", 1, "x")]
+    df = spark.createDataFrame(every * 2, SCHEMA).repartition(3)
+    got = setjoin.jaccard_classes(df).collect()
+    want = {(None, one): None, (None, two): None, (-1, one + " more"): None, (5, two): None, (5, three): 5, (6, three + " tail"): 5}
+    assert Counter((r["doc_id"], r["component_id"]) for r in got if r["n_shingles"]) == Counter([(k[0], v) for k, v in want.items()] * 2)
+    kept = setjoin.one_of_each(df)
+    assert kept.columns == df.columns
+    assert Counter((r["doc_id"], r["text"]) for r in kept.collect()) == Counter([(None, one), (None, two), (5, three)] + [(None, None), (None, " ")] * 2)
 
 
 def test_pipeline_stages(spark, rows, tmp_path):
