@@ -4,8 +4,8 @@ Each stage is (name, function of spark, docs, sf_dir). Stages before the last re
 that their predecessor kept:
 
 1. language: texts without letters, or whose language is not recognised (score below 0.3), go;
-2. near_duplicates: of each group of documents linked by 4-word shingles at 0.85 the one with the smallest doc_id stays (rows that
-   repeat a doc_id count as copies);
+2. near_duplicates: of each group of documents linked by 4-word shingles at 0.85 the one with the smallest doc_id stays (a null is the
+   smallest; rows that share a doc_id are judged by their texts);
 3. benchmark: documents that hold a window of 10 consecutive benchmark words go;
 4. personal_data: spans of the patterns and of the skip-chain field become [KIND], n_chars follows the text;
 5. packing: the texts become sequences of at most 2048 tokens.
@@ -33,10 +33,7 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    classes = setjoin.jaccard_classes(docs)
-    kept = classes.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("kept_id")).distinct()
-    one = _columns(docs).join(kept, F.col("doc_id").eqNullSafe(F.col("kept_id")), "left_semi")
-    return one.dropDuplicates(["doc_id"])
+    return setjoin.one_of_each(_columns(docs))
 
 
 def benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
