@@ -1,6 +1,6 @@
 """Operator 2: near-duplicate vectors by neighbour descent.
 
-1. Equal vectors become one representative with a count. Vectors that are null, zero or not finite take no part.
+1. Equal vectors become one representative with a count and a number of its own. Vectors that are null, zero or not finite take no part.
 2. The neighbour graph starts from random projections: in each of several trees the vectors are sorted by their sign code, and
    each takes its nearest neighbours among the rows around it. The number of trees follows from the number of vectors, so that
    a pair at the threshold meets with the probability ``meet``.
@@ -13,7 +13,8 @@
 Memory: blocks of fixed size. Every step is written to the shared folder.
 
 Edge cases: an empty table gives no rows; arrays of other lengths than the first valid one's group are compared only with those of equal length
-(a missing dimension has no cosine); repeated vec_ids are rows of their own; other columns, labels included, are not read.
+(a missing dimension has no cosine); rows that share a vec_id, or have none, are judged by their own vectors (a null counts as the smallest
+id); other columns, labels included, are not read.
 """
 
 from __future__ import annotations
@@ -225,8 +226,8 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.95, k: int = 8, mee
     dtype = "<f4" if isinstance(kind.elementType, T.FloatType) else "<f8"
     rows = vectors.select(id_in("vec_id").alias("vec_id"), "embedding" if dtype == "<f4" else F.col("embedding").cast("array<double>").alias("embedding"))
     rows = scratch.table("rows", rows.mapInArrow(encoder(dtype), "vec_id long, vec binary"))
-    reps = rows.filter("vec IS NOT NULL").groupBy("vec").agg(F.min("vec_id").alias("id"), F.count(F.lit(1)).alias("copies"))
-    reps = scratch.table("reps", reps)
+    reps = rows.filter("vec IS NOT NULL").groupBy("vec").agg(F.min("vec_id").alias("rep"), F.count(F.lit(1)).alias("copies"))
+    reps = scratch.table("reps", reps.withColumn("id", F.monotonically_increasing_id()))
     n = reps.count()
     angle = math.acos(threshold) / math.pi
     depth = max(1.0, math.log2(max(n, 2) / window))
@@ -258,7 +259,9 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.95, k: int = 8, mee
         pairs = pairs.repartition(parts, "component", "i", "j").sortWithinPartitions("component", "i", "j")
         links = pairs.mapInArrow(block_counts(threshold, dtype), "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
         found = groups.join(links, "id", "left").select("id", "component", F.coalesce("n", F.lit(0)).alias("n"))
-    found = reps.join(found, "id", "left").select("vec", F.coalesce("component", "id").alias("component_id"), (F.coalesce("n", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
+    named = reps.join(found, "id", "left").select("vec", "rep", "copies", "n", F.coalesce("component", "id").alias("component"))
+    least = named.groupBy("component").agg(F.min("rep").alias("component_id"))
+    found = named.join(least, "component").select("vec", "component_id", (F.coalesce("n", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
     out = rows.join(found, "vec", "left")
     component = F.coalesce("component_id", "vec_id")
     out = out.select("vec_id", F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), component.alias("component_id"), (F.col("vec_id") == component).alias("kept"))

@@ -87,6 +87,14 @@ def test_neighbour_descent(spark):
     assert neardup.near_duplicates(df.limit(0)).count() == 0
 
 
+def test_neighbour_descent_where_ids_repeat(spark):
+    a, b, c = np.eye(4).tolist()[:3]
+    rows = [(None, a), (None, b), (7, a), (7, c), (8, c), (9, b), (None, None)]
+    got = neardup.near_duplicates(spark.createDataFrame(rows, "vec_id long, embedding array<double>")).collect()
+    want = [(None, 1, None), (None, 1, None), (7, 1, None), (7, 1, 7), (8, 1, 7), (9, 1, None), (None, 0, None)]
+    assert Counter((r["vec_id"], r["n_links"], r["component_id"]) for r in got) == Counter(want)
+
+
 def test_language(spark):
     rng = random.Random(3)
     alphabets = {"aa": "abcdefg", "bb": "hijklmn", "cc": "opqrstu"}
