@@ -65,7 +65,11 @@ def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
     """A 64-bit hash of each word, equal for equal bytes wherever they stand."""
     up, down = powers(len(data))
     sums = np.zeros(len(data) + 1, np.uint64)
-    np.cumsum((data.astype(np.uint64) + np.uint64(1)) * up[: len(data)], out=sums[1:])
+    own = sums[1:]  # in place: this is the largest array of a task
+    own += data
+    own += np.uint64(1)
+    own *= up[: len(data)]
+    np.cumsum(own, out=own)
     raw = (sums[ends] - sums[starts]) * down[starts]
     return mix64(raw ^ ((ends - starts).astype(np.uint64) << np.uint64(56)))
 
