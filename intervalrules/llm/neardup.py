@@ -6,9 +6,11 @@
    a pair at the threshold meets with the probability ``meet``.
 3. Descent: the neighbours (both ways) of each vector are compared with each other, and lists keep the best ``k``. Rounds
    stop when less than ``settle`` of the entries change. Large neighbourhoods are compared in sub-groups.
-4. Edges at the threshold give components. A list is saturated when even its last entry reaches the threshold: then it is enlarged
-   to all members of its component, compared in blocks of ``block`` rows, in double precision. Doing so for every component of two or more
-   makes the links of a component complete, and only counts leave a block pair, never pairs.
+4. Edges at the threshold give components. A list (short ones too) is saturated when even its last entry reaches the threshold: it may lack links
+   inside its component and to other components. Saturated vectors are put into balls (centre and radius) of at most ``block`` rows
+   of one component; balls of different components that are near enough to hold a link are compared in full, and a link merges their components.
+5. Every component of two or more is compared in full in blocks of ``block`` rows, in double precision. This makes the links of a
+   component complete, and only counts leave a block pair, never pairs.
 
 Memory: blocks of fixed size. Every step is written to the shared folder.
 
@@ -217,6 +219,80 @@ def block_counts(threshold: float, dtype: str):
     return run
 
 
+def balls(dtype: str):
+    """Centre and largest angle of the vectors of each block of a component."""
+
+    def run(batches):
+        for (component, size, block), held in runs(batches, ("component", "size", "block"), ("vec",)):
+            x = unit([r[0] for r in held], dtype)
+            centre = x.sum(0)
+            length = np.sqrt(centre @ centre)
+            centre = centre / length if length > 1e-6 else x[0]
+            radius = float(np.arccos(np.clip(x @ centre, -1, 1)).max())
+            yield pa.RecordBatch.from_arrays([pa.array([component], pa.int64()), pa.array([size], pa.int32()), pa.array([block], pa.int32()), pa.array([centre.tobytes()], pa.binary()), pa.array([radius])], names=["component", "size", "block", "centre", "radius"])
+
+    return run
+
+
+def near_balls(angle: float, step: int = 512):
+    """Pairs of balls of different components that are near enough to hold a link."""
+
+    def run(batches):
+        for (_, i, j), held in runs(batches, ("size", "i", "j"), ("ball", "component", "centre", "radius", "tile")):
+            left = [r for r in held if r[4] == i]
+            right = left if i == j else [r for r in held if r[4] == j]
+            if not left or not right:
+                continue
+            centre = np.frombuffer(b"".join(r[2] for r in right)).reshape(len(right), -1).T
+            radius, own, ball = (np.array([r[c] for r in right]) for c in (3, 1, 0))
+            for at in range(0, len(left), step):
+                some = left[at : at + step]
+                x = np.frombuffer(b"".join(r[2] for r in some)).reshape(len(some), -1)
+                # the margin covers rounding of the angles
+                reach = np.array([r[3] for r in some])[:, None] + radius + angle + 1e-6
+                near = (np.arccos(np.clip(x @ centre, -1, 1)) <= reach) & (np.array([r[1] for r in some])[:, None] != own)
+                if i == j:
+                    near &= np.arange(at, at + len(some))[:, None] < np.arange(len(right))
+                a, b = np.nonzero(near)
+                yield pa.RecordBatch.from_arrays([pa.array(np.array([r[0] for r in some], np.int64)[a]), pa.array(ball[b].astype(np.int64))], names=["a", "b"])
+
+    return run
+
+
+def ball_links(threshold: float, dtype: str):
+    """One link of each pair of balls that holds any; it is enough to merge their components."""
+
+    def run(batches):
+        for (a, _), held in runs(batches, ("a", "b"), ("ball", "id", "vec")):
+            left, right = [r for r in held if r[0] == a], [r for r in held if r[0] != a]
+            s = unit([r[2] for r in left], dtype) @ unit([r[2] for r in right], dtype).T
+            at, to = divmod(int(s.argmax()), len(right))
+            if s[at, to] >= threshold:
+                yield pa.RecordBatch.from_arrays([pa.array([left[at][1]], pa.int64()), pa.array([right[to][1]], pa.int64())], names=["a", "b"])
+
+    return run
+
+
+def crossings(groups: DataFrame, lists: DataFrame, vecs: DataFrame, threshold: float, dtype: str, block: int, parts: int, scratch: Scratch, tile: int = 4096) -> DataFrame:
+    """Links (a, b) between saturated vectors of different components, at least one for each two components that have any."""
+    full = lists.filter(F.element_at("near", -1)["s"] >= threshold - 1e-4).select("id")
+    full = scratch.table("saturated", full.join(groups, "id").join(vecs, "id").withColumn("size", F.length("vec")))
+    count = full.groupBy("component", "size").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("n_block"))
+    placed = full.join(count, ["component", "size"]).withColumn("block", F.pmod(F.xxhash64("id"), "n_block").cast("int"))
+    dealt = placed.select("component", "size", "block", "vec").repartition(parts, "component", "size", "block").sortWithinPartitions("component", "size", "block")
+    ball = dealt.mapInArrow(balls(dtype), "component long, size int, block int, centre binary, radius double")
+    ball = scratch.table("balls", ball.withColumn("ball", F.monotonically_increasing_id()))
+    n_tile = max(1, math.ceil(ball.count() / tile))
+    tiled = ball.withColumn("tile", F.pmod(F.xxhash64("ball"), F.lit(n_tile)).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(n_tile - 1))))
+    tiled = tiled.select("size", F.least("tile", "other").alias("i"), F.greatest("tile", "other").alias("j"), "ball", "component", "centre", "radius", "tile")
+    tiled = tiled.repartition(parts, "size", "i", "j").sortWithinPartitions("size", "i", "j")
+    close = scratch.table("near-balls", tiled.mapInArrow(near_balls(math.acos(threshold)), "a long, b long"))
+    members = placed.join(ball.select("component", "size", "block", "ball"), ["component", "size", "block"]).select("ball", "id", "vec")
+    sides = close.select("a", "b", F.explode(F.array("a", "b")).alias("ball")).join(members, "ball")
+    sides = sides.select("a", "b", "ball", "id", "vec").repartition(parts, "a", "b").sortWithinPartitions("a", "b")
+    return scratch.table("crossings", sides.mapInArrow(ball_links(threshold, dtype), "a long, b long"))
+
+
 def near_duplicates(vectors: DataFrame, threshold: float = 0.95, k: int = 8, meet: float = 0.99, settle: float = 0.01, rounds: int = 3, window: int = 64, block: int = 256, seed: int = 11) -> DataFrame:
     """vec_id, n_links, component_id, kept of every row."""
     spark = vectors.sparkSession
@@ -252,6 +328,9 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.95, k: int = 8, mee
         pairs = checked.join(vecs.select(F.col("id").alias("a"), F.col("vec").alias("va")), "a").join(vecs.select(F.col("id").alias("b"), F.col("vec").alias("vb")), "b")
         exact = scratch.table("edges", pairs.mapInArrow(exact_pairs(threshold, dtype), "a long, b long"))
         groups = scratch.table("groups", components(exact, scratch))
+        across = crossings(groups, lists, vecs, threshold, dtype, block, parts, scratch)
+        if not across.isEmpty():
+            groups = scratch.table("merged-groups", components(exact.unionByName(across), scratch, "merged"))
         sizes = groups.groupBy("component").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("n_block"))
         placed = groups.join(sizes, "component").withColumn("block", F.pmod(F.xxhash64("id"), "n_block").cast("int")).join(reps, "id")
         pairs = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("n_block") - 1)))

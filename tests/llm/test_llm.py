@@ -87,6 +87,20 @@ def test_neighbour_descent(spark):
     assert neardup.near_duplicates(df.limit(0)).count() == 0
 
 
+def test_neighbour_descent_links_groups_wider_than_lists(spark):
+    # two tight groups that meet at 0.95 to 0.98: the lists of every member hold its own group only
+    rng = np.random.default_rng(5)
+    ends = np.eye(32)[0], np.cos(0.28) * np.eye(32)[0] + np.sin(0.28) * np.eye(32)[1]
+    m = np.array([e + rng.normal(size=32) * 0.008 for e in ends for _ in range(30)])
+    s = (m / np.linalg.norm(m, axis=1, keepdims=True)) @ (m / np.linalg.norm(m, axis=1, keepdims=True)).T
+    cross = np.argsort(-s, axis=1)[:, :9] // 30 != np.arange(60)[:, None] // 30
+    assert not cross.any() and (s[:30, 30:] >= 0.95).any()
+    df = spark.createDataFrame([(i, [float(x) for x in v]) for i, v in enumerate(m)], "vec_id long, embedding array<double>")
+    got = {r["vec_id"]: r for r in neardup.near_duplicates(df, block=16).collect()}
+    assert [got[i]["n_links"] for i in range(60)] == ((s >= 0.95).sum(1) - 1).tolist()
+    assert {r["component_id"] for r in got.values()} == {0} and sum(r["kept"] for r in got.values()) == 1
+
+
 def test_neighbour_descent_where_ids_repeat(spark):
     a, b, c = np.eye(4).tolist()[:3]
     rows = [(None, a), (None, b), (7, a), (7, c), (8, c), (9, b), (None, None)]
