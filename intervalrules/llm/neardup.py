@@ -4,13 +4,15 @@
 2. The neighbour graph starts from random projections: in each of several trees the vectors are sorted by their sign code, and
    each takes its nearest neighbours among the rows around it. The number of trees follows from the number of vectors, so that
    a pair at the threshold meets with the probability ``meet``.
-3. Descent: the neighbours (both ways) of each vector are compared with each other, and lists keep the best ``k``. Rounds
-   stop when less than ``settle`` of the entries change. Large neighbourhoods are compared in sub-groups.
+3. Descent: the neighbours (both ways) of each vector are compared with each other, and lists keep the best ``k``. Rounds go on
+   until at most ``settle`` of the entries change. Large neighbourhoods are compared in sub-groups, dealt anew in each round.
 4. Edges at the threshold give components. A list (short ones too) is saturated when even its last entry reaches the threshold: it may lack links
    inside its component and to other components. Saturated vectors are put into balls (centre and radius) of at most ``block`` rows
    of one component; balls of different components that are near enough to hold a link are compared in full, and a link merges their components.
 5. Every component of two or more is compared in full in blocks of ``block`` rows, in double precision. This makes the links of a
    component complete, and only counts leave a block pair, never pairs.
+6. Audit: the links of a random sample of vectors are counted by brute force. While the share of them that was found is below ``meet``,
+   twice as many further trees are added to the lists and steps 3 to 5 run again. The share is logged.
 
 Memory: blocks of fixed size. Every step is written to the shared folder.
 
@@ -21,6 +23,7 @@ id); other columns, labels included, are not read.
 
 from __future__ import annotations
 
+import logging
 import math
 
 import numpy as np
@@ -75,6 +78,7 @@ def projector(trees: int, bits: int, dtype: str, seed: int):
     return run
 
 
+LOG = logging.getLogger(__name__)
 LISTS = "id long, near array<struct<s:float,j:long>>"
 
 
@@ -171,19 +175,18 @@ def local_join(k: int, dtype: str):
 
 def merged(lists: DataFrame, k: int) -> DataFrame:
     """One list of the k best for each id."""
-    flat = F.array_distinct(F.flatten(F.collect_list("near")))
-    best = lists.groupBy("id").agg(F.sort_array(flat, asc=False).alias("near"))
     # the same neighbour may come with similarities that differ in the last bit
-    seen = F.expr("filter(near, (e, i) -> i = 0 OR NOT exists(slice(near, 1, i), o -> o.j = e.j))")
-    return best.withColumn("near", F.slice(seen, 1, k))
+    flat = lists.select("id", F.inline("near")).repartition("id").groupBy("id", "j").agg(F.max("s").alias("s"))
+    best = flat.groupBy("id").agg(F.sort_array(F.collect_list(F.struct("s", "j")), asc=False).alias("near"))
+    return best.withColumn("near", F.slice("near", 1, k))
 
 
-def descent_round(lists: DataFrame, vecs: DataFrame, k: int, dtype: str, part_size: int, parts: int) -> DataFrame:
+def descent_round(lists: DataFrame, vecs: DataFrame, k: int, dtype: str, part_size: int, parts: int, turn: int) -> DataFrame:
     out = lists.select("id", F.explode("near").alias("e")).select(F.col("id").alias("u"), F.col("e.j").alias("id"))
     both = out.unionByName(out.select(F.col("id").alias("u"), F.col("u").alias("id"))).unionByName(lists.select(F.col("id").alias("u"), "id")).distinct()
     width = both.groupBy("u").agg(F.ceil(F.count(F.lit(1)) / part_size).cast("int").alias("n_part"))
     last = lists.select("id", F.when(F.size("near") < k, F.lit(-1.5)).otherwise(F.element_at("near", -1)["s"]).cast("float").alias("last"))
-    members = both.join(width, "u").withColumn("part", F.pmod(F.xxhash64("id", "u"), "n_part").cast("int")).join(vecs.join(last, "id"), "id")
+    members = both.join(width, "u").withColumn("part", F.pmod(F.xxhash64("id", "u", F.lit(turn)), "n_part").cast("int")).join(vecs.join(last, "id"), "id")
     members = members.select("u", "part", "id", "vec", "last").repartition(parts, "u", "part").sortWithinPartitions("u", "part")
     return members.mapInArrow(local_join(k, dtype), LISTS)
 
@@ -293,8 +296,71 @@ def crossings(groups: DataFrame, lists: DataFrame, vecs: DataFrame, threshold: f
     return scratch.table("crossings", sides.mapInArrow(ball_links(threshold, dtype), "a long, b long"))
 
 
-def near_duplicates(vectors: DataFrame, threshold: float = 0.95, k: int = 8, meet: float = 0.99, settle: float = 0.01, rounds: int = 3, window: int = 64, block: int = 256, seed: int = 11) -> DataFrame:
-    """vec_id, n_links, component_id, kept of every row."""
+def settled(lists: DataFrame, vecs: DataFrame, n: int, k: int, settle: float, dtype: str, window: int, parts: int, scratch: Scratch) -> DataFrame:
+    """Descent until at most `settle` of the entries are new in a round; entries only improve, so it ends."""
+    lists = scratch.table("lists-0", merged(lists, k))
+    turn, new = 0, n * k
+    while new > settle * k * n:
+        better = descent_round(lists, vecs, k, dtype, window, parts, turn)
+        after = scratch.table(f"lists-{turn + 1}", merged(lists.unionByName(better), k))
+        now, old = after.select("id", F.col("near.j").alias("now")), lists.select("id", F.col("near.j").alias("old"))
+        new = now.join(old, "id").agg(F.coalesce(F.sum(F.size(F.array_except("now", "old"))), F.lit(0))).first()[0]
+        scratch.drop(f"lists-{turn}")
+        lists, turn = after, turn + 1
+    LOG.info("descent settled after %d rounds", turn)
+    return lists
+
+
+def linked(reps: DataFrame, lists: DataFrame, threshold: float, dtype: str, block: int, parts: int, scratch: Scratch) -> DataFrame:
+    """id, component, n (links, weighted by copies) of the vectors that have links."""
+    vecs = reps.select("id", "vec")
+    edges = lists.select("id", F.explode("near").alias("e")).filter(F.col("e.s") >= threshold - 1e-4)
+    edges = edges.select(F.col("id").alias("a"), F.col("e.j").alias("b"))
+    # edges just below the threshold in single precision are checked before they join components
+    checked = edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+    pairs = checked.join(vecs.select(F.col("id").alias("a"), F.col("vec").alias("va")), "a").join(vecs.select(F.col("id").alias("b"), F.col("vec").alias("vb")), "b")
+    exact = scratch.table("edges", pairs.mapInArrow(exact_pairs(threshold, dtype), "a long, b long"))
+    groups = scratch.table("groups", components(exact, scratch))
+    across = crossings(groups, lists, vecs, threshold, dtype, block, parts, scratch)
+    if not across.isEmpty():
+        groups = scratch.table("merged-groups", components(exact.unionByName(across), scratch, "merged"))
+    sizes = groups.groupBy("component").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("n_block"))
+    placed = groups.join(sizes, "component").withColumn("block", F.pmod(F.xxhash64("id"), "n_block").cast("int")).join(reps, "id")
+    pairs = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("n_block") - 1)))
+    pairs = pairs.select("component", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "id", "vec", "copies", "block")
+    pairs = pairs.repartition(parts, "component", "i", "j").sortWithinPartitions("component", "i", "j")
+    links = pairs.mapInArrow(block_counts(threshold, dtype), "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
+    return scratch.table("found", groups.join(links, "id", "left").select("id", "component", F.coalesce("n", F.lit(0)).alias("n")))
+
+
+def audit_recall(reps: DataFrame, found: DataFrame, threshold: float, dtype: str, sample: int, seed: int) -> float:
+    """Share of the true links of at most `sample` random vectors that were found, by brute force in blocks over all vectors."""
+    queries = reps.select("id", "vec").orderBy(F.xxhash64("id", F.lit(seed))).limit(sample).collect()
+    ids = [q["id"] for q in queries]
+    own = {size: [q for q in range(len(queries)) if len(queries[q]["vec"]) == size] for size in {len(q["vec"]) for q in queries}}
+    base = {size: unit([bytes(queries[q]["vec"]) for q in at], dtype) for size, at in own.items()}
+
+    def count(batches, step=1024):
+        total = np.zeros(len(ids), np.int64)
+        for batch in batches:
+            vecs, copies = batch.column("vec").to_pylist(), batch.column("copies").to_numpy()
+            for size in {len(v) for v in vecs} & set(own):
+                rows = [r for r, v in enumerate(vecs) if len(v) == size]
+                for at in range(0, len(rows), step):
+                    some = rows[at : at + step]
+                    # links at the threshold itself may differ in the last bit from one product to the other
+                    total[own[size]] += copies[some] @ (unit([vecs[r] for r in some], dtype) @ base[size].T >= threshold + 1e-9)
+        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(total)], names=["id", "n"])
+
+    counts = reps.select("id", "vec", "copies").mapInArrow(count, "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
+    # a vector is no link of its own
+    truth = counts.join(reps.select("id", "copies"), "id").select("id", (F.col("n") - F.col("copies")).alias("all"))
+    row = truth.join(found, "id", "left").agg(F.sum(F.least("all", F.coalesce("n", F.lit(0)))).alias("found"), F.sum("all").alias("all")).first()
+    return row["found"] / row["all"] if row["all"] else 1.0
+
+
+def near_duplicates(vectors: DataFrame, threshold: float = 0.95, k: int = 8, meet: float = 0.99, settle: float = 0.01, window: int = 64, block: int = 256, seed: int = 11, sample: int = 200, trees: int | None = None) -> DataFrame:
+    """vec_id, n_links, component_id, kept of every row. `trees` of the start follow from the number of vectors unless given."""
     spark = vectors.sparkSession
     scratch = Scratch(spark, "neardup")
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 8)
@@ -307,37 +373,21 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.95, k: int = 8, mee
     n = reps.count()
     angle = math.acos(threshold) / math.pi
     depth = max(1.0, math.log2(max(n, 2) / window))
-    trees = max(2, math.ceil(math.log(1 - meet) / math.log(1 - (1 - angle) ** depth))) if n > window else 1
-    codes = reps.select("id", "vec").mapInArrow(projector(trees, 62, dtype, seed), "tree int, size int, code long, id long, vec binary")
-    codes = codes.repartitionByRange(parts, "tree", "size", "code", "id").sortWithinPartitions("tree", "size", "code", "id")
-    lists = scratch.table("lists-0", merged(codes.mapInArrow(around(k, dtype, window), LISTS), k))
-    vecs = reps.select("id", "vec")
-    for r in range(rounds):
-        better = scratch.table(f"better-{r}", descent_round(lists, vecs, k, dtype, window, parts))
-        changed = better.agg(F.coalesce(F.sum(F.size("near")), F.lit(0))).first()[0]
-        lists = scratch.table(f"lists-{r + 1}", merged(lists.unionByName(better), k))
-        if changed <= settle * k * n:
-            break
-    edges = lists.select("id", F.explode("near").alias("e")).filter(F.col("e.s") >= threshold - 1e-4)
-    edges = edges.select(F.col("id").alias("a"), F.col("e.j").alias("b"))
-    if edges.isEmpty():
-        found = reps.select("id", F.col("id").alias("component"), F.lit(0).cast("long").alias("n"))
-    else:
-        # edges just below the threshold in single precision are checked before they join components
-        checked = edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
-        pairs = checked.join(vecs.select(F.col("id").alias("a"), F.col("vec").alias("va")), "a").join(vecs.select(F.col("id").alias("b"), F.col("vec").alias("vb")), "b")
-        exact = scratch.table("edges", pairs.mapInArrow(exact_pairs(threshold, dtype), "a long, b long"))
-        groups = scratch.table("groups", components(exact, scratch))
-        across = crossings(groups, lists, vecs, threshold, dtype, block, parts, scratch)
-        if not across.isEmpty():
-            groups = scratch.table("merged-groups", components(exact.unionByName(across), scratch, "merged"))
-        sizes = groups.groupBy("component").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("n_block"))
-        placed = groups.join(sizes, "component").withColumn("block", F.pmod(F.xxhash64("id"), "n_block").cast("int")).join(reps, "id")
-        pairs = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("n_block") - 1)))
-        pairs = pairs.select("component", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), "id", "vec", "copies", "block")
-        pairs = pairs.repartition(parts, "component", "i", "j").sortWithinPartitions("component", "i", "j")
-        links = pairs.mapInArrow(block_counts(threshold, dtype), "id long, n long").groupBy("id").agg(F.sum("n").alias("n"))
-        found = groups.join(links, "id", "left").select("id", "component", F.coalesce("n", F.lit(0)).alias("n"))
+    trees = trees or (max(2, math.ceil(math.log(1 - meet) / math.log(1 - (1 - angle) ** depth))) if n > window else 1)
+    lists, attempt, recall = None, 0, 0.0
+    while recall < meet:
+        step = Scratch(spark, f"neardup-{attempt}")
+        codes = reps.select("id", "vec").mapInArrow(projector(trees, 62, dtype, seed + 1_000_003 * attempt), "tree int, size int, code long, id long, vec binary")
+        # windows end at the borders of partitions: few rows take few of them
+        spread = max(1, min(parts, n * trees // (32 * window)))
+        codes = codes.repartitionByRange(spread, "tree", "size", "code", "id").sortWithinPartitions("tree", "size", "code", "id")
+        start = codes.mapInArrow(around(k, dtype, window), LISTS)
+        start = start if lists is None else start.unionByName(lists)
+        lists = settled(start, reps.select("id", "vec"), n, k, settle, dtype, window, parts, step)
+        found = linked(reps, lists, threshold, dtype, block, parts, step)
+        recall = audit_recall(reps, found.select("id", "n"), threshold, dtype, sample, seed + attempt)
+        LOG.info("%d trees added, recall %.4f in a sample of %d", trees, recall, min(sample, n))
+        trees, attempt = 2 * trees, attempt + 1
     named = reps.join(found, "id", "left").select("vec", "rep", "copies", "n", F.coalesce("component", "id").alias("component"))
     least = named.groupBy("component").agg(F.min("rep").alias("component_id"))
     found = named.join(least, "component").select("vec", "component_id", (F.coalesce("n", F.lit(0)) + F.col("copies") - 1).alias("n_links"))
@@ -362,29 +412,5 @@ def exact_pairs(threshold: float, dtype: str):
     return run
 
 
-def audit_recall(vectors: DataFrame, result: DataFrame, threshold: float = 0.95, sample: int = 200, seed: int = 3) -> float:
-    """Share of the true links of at most `sample` random valid vectors that the result counts, by brute force in blocks over all rows."""
-    kind = vectors.schema["embedding"].dataType
-    dtype = "<f4" if isinstance(kind.elementType, T.FloatType) else "<f8"
-    rows = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), "embedding").mapInArrow(encoder(dtype), "vec_id long, vec binary").filter("vec IS NOT NULL")
-    queries = rows.orderBy(F.xxhash64("vec_id", F.lit(seed))).limit(sample).collect()
-    if not queries:
-        return 1.0
-
-    def count(batches):
-        total = np.zeros(len(queries), np.int64)
-        for batch in batches:
-            vecs = batch.column("vec").to_pylist()
-            for q, (vid, vec) in enumerate(queries):
-                own = [v for v in vecs if len(v) == len(vec)]
-                if own:
-                    total[q] += int((unit(own, dtype) @ unit([bytes(vec)], dtype)[0] >= threshold).sum())
-        yield pa.RecordBatch.from_arrays([pa.array([q[0] for q in queries], pa.int64()), pa.array(total)], names=["vec_id", "n"])
-
-    truth = rows.mapInArrow(count, "vec_id long, n long").groupBy("vec_id").agg((F.sum("n") - 1).alias("n"))
-    row = truth.join(result, "vec_id").agg(F.sum(F.least("n", "n_links")).alias("found"), F.sum("n").alias("all")).first()
-    return row["found"] / row["all"] if row["all"] else 1.0
-
-
 def op2_neighbour_descent(spark, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "embeddings"))

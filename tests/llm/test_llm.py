@@ -101,6 +101,22 @@ def test_neighbour_descent_links_groups_wider_than_lists(spark):
     assert {r["component_id"] for r in got.values()} == {0} and sum(r["kept"] for r in got.values()) == 1
 
 
+def test_neighbour_descent_adds_trees_until_the_audit_passes(spark, caplog):
+    # pairs far apart from each other, and a start of one tree with windows of two rows, which misses most of them
+    rng = np.random.default_rng(9)
+    base = rng.normal(size=(300, 16))
+    data = [(i, [float(x) for x in base[i % 300] + rng.normal(size=16) * 0.1]) for i in range(600)]
+    m = np.array([v for _, v in data])
+    m /= np.linalg.norm(m, axis=1, keepdims=True)
+    df = spark.createDataFrame(data, "vec_id long, embedding array<double>")
+    with caplog.at_level("INFO", neardup.__name__):
+        got = {r["vec_id"]: r["n_links"] for r in neardup.near_duplicates(df, k=2, window=2, trees=1, sample=600).collect()}
+    truth = (m @ m.T >= 0.95).sum(1) - 1
+    audits = [r.args[1] for r in caplog.records if "recall" in r.msg]
+    assert audits[0] < 0.99 <= audits[-1]
+    assert sum(min(t, got[i]) for i, t in enumerate(truth)) >= 0.99 * truth.sum()
+
+
 def test_neighbour_descent_where_ids_repeat(spark):
     a, b, c = np.eye(4).tolist()[:3]
     rows = [(None, a), (None, b), (7, a), (7, c), (8, c), (9, b), (None, None)]
