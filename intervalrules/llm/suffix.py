@@ -132,7 +132,9 @@ def common_prefixes(data: np.ndarray, sa: np.ndarray, most: int) -> np.ndarray:
     before = np.full(n, -1, np.int64)
     before[sa[1:]] = sa[:-1]
     follows = np.zeros(n, bool)
-    follows[1:] = (before[1:] == before[:-1] + 1) & (before[:-1] >= 0) & (np.arange(1, n) % most != 0)
+    # only after a prefix of one byte or more: after a prefix of 0 the next one can have any length
+    shared = (before[:-1] >= 0) & (data[:-1] == data[before[:-1]])
+    follows[1:] = (before[1:] == before[:-1] + 1) & shared & (np.arange(1, n) % most != 0)
     own = np.flatnonzero(~follows & (before >= 0))
     plain = np.zeros(n, np.int64)
     key = words8(data)
@@ -154,7 +156,7 @@ def common_prefixes(data: np.ndarray, sa: np.ndarray, most: int) -> np.ndarray:
         step += 8
     limit = np.minimum(n - np.arange(n), np.where(before >= 0, n - before, 0))
     plain[own] = np.minimum(got[own], limit[own])
-    # Kasai: along a chain of followers the value falls by one
+    # Kasai: along a chain of followers the value falls by one and stays above or at 0
     base = np.where(follows, -1, np.arange(n))
     base = np.maximum.accumulate(base)
     return np.where(follows, np.maximum(plain[base] - (np.arange(n) - base), 0), plain)[sa]

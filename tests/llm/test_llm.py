@@ -192,6 +192,18 @@ def test_suffix_array_and_prefixes():
             assert lcp[i] == n
 
 
+def test_prefixes_behind_a_rare_differing_byte():
+    # the differing bytes 1 and 2 stand once each, at the border of their values: prefix 0 there, hundreds behind it
+    rng = np.random.default_rng(6)
+    tail = rng.integers(97, 123, 500).astype(np.uint8).tobytes()
+    text = b"1" + tail + b"~" + b"2" + tail
+    data = np.frombuffer(text, np.uint8)
+    sa = suffix.suffix_array(data, 200)
+    assert suffix.common_prefixes(data, sa, 600)[sa.tolist().index(503)] == 500
+    marked, _ = suffix.repeated_windows([b"1" + tail, b"2" + tail], [302, 302], [1, 1], 200)
+    assert [m.tolist() for m in marked] == [[False] + [True] * 301] * 2
+
+
 def test_contamination(spark, docs, rows, empty):
     items = [("a", " ".join(rows[3][1].split()[:14]) if len(rows[3][1].split()) > 14 else rows[3][1]), ("b", "nothing of this kind"), ("c", None), ("d", rows[0][1].upper())]
     bench = spark.createDataFrame(items, "item_id string, text string")
