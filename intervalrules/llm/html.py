@@ -8,7 +8,8 @@ Training is weakly supervised: the blocks of a bounded sample of pages (``sample
 and each page is varied with parts that the sample may lack (comments, sidebars, notices, forms, other containers for the article), so that
 the network learns path vocabulary and order rather than one template.
 
-A map over the scan; memory is one batch of pages. Scripts, styles, comments and tags never become text. Edge cases: null and empty pages
+A map over the scan; memory is one batch of pages. Scripts, styles, comments and tags never become text. Dropped elements
+(svg, iframe, template and the like) that are empty or never closed lose their tag only; elements of any depth are closed in order. Edge cases: null and empty pages
 give an empty text; unclosed or cut tags end with the page; a page of one enormous block is one step; repeated rows are labelled alike;
 other columns are not read.
 """
@@ -18,6 +19,7 @@ from __future__ import annotations
 import html as entities
 import re
 import zlib
+from collections import Counter
 
 import numpy as np
 import pyarrow as pa
@@ -27,8 +29,14 @@ from pyspark.sql import functions as F
 from .common import bounded_sample, chunks, table
 from .decontam import LOWER, word_hashes, word_spans
 
-RAW = "script|style|noscript|template|textarea|title|svg|iframe|object|canvas|select"
-MARKUP = re.compile(r"<!--.*?(?:-->|\Z)|<(?P<raw>" + RAW + r")\b[^>]*>.*?(?:</(?P=raw)\s*>|\Z)|<(?P<end>/?)(?P<tag>[a-zA-Z][^\s/>]*)(?P<attrs>(?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+)>|<[!/?a-zA-Z][^>]*(?:>|\Z)", re.S | re.I)
+#: Hold text only and run to the end of the page where they are not closed.
+RAW = "script|style|textarea|title"
+#: Dropped up to their closing tag; without one, or closed in itself, only the tag goes.
+DROPPED = frozenset("noscript template svg iframe object canvas select".split())
+CLOSING = {tag: re.compile(rf"</{tag}\s*>", re.I) for tag in DROPPED}
+EMPTY = frozenset("svg object iframe canvas".split())
+DEEPEST = 256  # path parts are read from so many outer elements
+MARKUP = re.compile(r"<!--.*?(?:-->|\Z)|<(?P<raw>" + RAW + r")(?=[\s/>])[^>]*>.*?(?:</(?P=raw)\s*>|\Z)|<(?P<end>/?)(?P<tag>[a-zA-Z][^\s/>]*)(?P<attrs>(?:[^>\"']++|\"[^\"]*+\"|'[^']*+')*+)>|<[!/?a-zA-Z][^>]*(?:>|\Z)", re.S | re.I)
 ATTRIBUTE = re.compile(r"\b(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I)
 BLOCK = frozenset("address article aside blockquote body center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 head header hgroup hr html li main menu nav ol p pre section summary table tbody td tfoot th thead tr ul".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -41,6 +49,8 @@ WIDTH = PATHS + WORDS + NUMBERS
 def blocks_of(page: str) -> list[tuple[tuple[str, ...], str, int]]:
     """(path parts, text, characters inside links) of each non-empty block in page order."""
     stack: list[tuple[str, tuple[str, ...]]] = []
+    opened: Counter = Counter()  # of the tags in the stack
+    unclosed: set[str] = set()  # dropped elements without a closing tag further on
     out, held, linked, done = [], [], 0, 0
 
     def flush():
@@ -48,7 +58,7 @@ def blocks_of(page: str) -> list[tuple[tuple[str, ...], str, int]]:
         if held:
             text = SPACE.sub(" ", "".join(held)).strip()
             if text:
-                out.append((tuple(p for _, parts in stack for p in parts), text, linked))
+                out.append((tuple(p for _, parts in stack[:DEEPEST] for p in parts), text, linked))
         held, linked = [], 0
 
     def take(raw: str):
@@ -59,7 +69,12 @@ def blocks_of(page: str) -> list[tuple[tuple[str, ...], str, int]]:
             if any(t == "a" for t, _ in stack[-4:]):
                 linked += len(text)
 
-    for m in MARKUP.finditer(page):
+    def cut(k: int):
+        for t, _ in stack[k:]:
+            opened[t] -= 1
+        del stack[k:]
+
+    while m := MARKUP.search(page, done):
         take(page[done : m.start()])
         done = m.end()
         tag = m.group("tag")
@@ -69,13 +84,23 @@ def blocks_of(page: str) -> list[tuple[tuple[str, ...], str, int]]:
         if tag == "br":
             held.append(" ")
             continue
+        attrs = m.group("attrs") or ""
+        if tag in DROPPED and not m.group("end"):
+            if tag in EMPTY and attrs.endswith("/"):
+                continue
+            close = None if tag in unclosed else CLOSING[tag].search(page, done)
+            if close:
+                done = close.end()
+            else:
+                unclosed.add(tag)
+            continue
         block = tag in BLOCK
         if block:
             flush()
         if m.group("end"):
-            for k in range(len(stack) - 1, -1, -1):
+            for k in range(len(stack) - 1 if opened[tag] else -1, -1, -1):
                 if stack[k][0] == tag:
-                    del stack[k:]
+                    cut(k)
                     break
                 if stack[k][0] in ("article", "main", "body") and tag not in ("article", "main", "body", "html"):
                     break
@@ -85,14 +110,13 @@ def blocks_of(page: str) -> list[tuple[tuple[str, ...], str, int]]:
         if block:
             # a new block ends open inline tags and an open paragraph
             while stack and (stack[-1][0] not in BLOCK or stack[-1][0] == "p" or stack[-1][0] == tag == "li"):
-                stack.pop()
-        attrs = m.group("attrs") or ""
+                cut(len(stack) - 1)
         parts = [tag]
         if attrs:
             for name, a, b, c in ATTRIBUTE.findall(attrs):
                 parts += [f"{name.lower()}:{p}" for p in PART.split((a or b or c).lower()) if p]
-        if len(stack) < 256:
-            stack.append((tag, tuple(parts)))
+        stack.append((tag, tuple(parts)))
+        opened[tag] += 1
     take(page[done:])
     flush()
     return out

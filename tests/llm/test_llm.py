@@ -322,6 +322,20 @@ def test_main_text(spark):
     assert got[90]["text"] == got[91]["text"] == got[92]["text"] == ""
 
 
+def test_blocks_behind_empty_and_custom_elements():
+    texts = lambda page: [b[1] for b in html.blocks_of(page)]
+    for part in ("<svg class='i'/>", "<svg-icon></svg-icon>", "<template-part/>", "<select-box>", "<object-view>", "<iframe src='x'/>", "<canvas />", "<object>", "<svg title='a>b'>x</svg>"):
+        assert texts(f"<p>a</p>{part}<p>article</p>") == ["a", "article"], part
+    for part in ("<script>x", "<style>x", "<title>x", "<textarea>x"):
+        assert texts(f"<p>a</p>{part}<p>b</p>") == ["a"], part
+    assert texts("<p>a</p><svg><text>x</text></svg ><template>y</template><p>b</p>") == ["a", "b"]
+    # closing tags of elements below the depth of 256 close no outer ones
+    page = "<article class=outer>" + "<div>" * 300 + "x" + "</div>" * 300 + "<p>y</p></article>z"
+    assert [(b[1], b[0][:2]) for b in html.blocks_of(page)] == [("x", ("article", "class:outer")), ("y", ("article", "class:outer")), ("z", ())]
+    page = "<section class=outer>" + "<b>" * 260 + "<section>x</section>y</section>z"
+    assert [(b[1], b[0][:1]) for b in html.blocks_of(page)] == [("x", ("section",)), ("y", ("section",)), ("z", ())]
+
+
 def jaccard(rows, width=4, percent=85):
     sets, up = [], list(range(len(rows)))
     for r in rows:
