@@ -2,8 +2,7 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
+from itertools import accumulate, takewhile
 
 import numpy as np
 import pyarrow as pa
@@ -11,31 +10,14 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..plans.scratch import Tables
 
-def shared_dir(spark: SparkSession) -> str:
-    """The folder named by spark.checkpoint.dir; a local one only where that is unset (tests)."""
-    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    if not found:
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoint-"))
-        found = spark.sparkContext.getCheckpointDir()
-    return found.rstrip("/")
 
-
-class Scratch:
-    """Parquet tables below the shared folder, one sub-folder for each use; drop() removes those no longer needed."""
-
-    def __init__(self, spark: SparkSession, label: str):
-        self.spark, self.root = spark, f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
+class Scratch(Tables):
+    """Tables of one operator run."""
 
     def table(self, name: str, df: DataFrame) -> DataFrame:
-        path = f"{self.root}/{name}"
-        df.write.option("compression", "zstd").mode("overwrite").parquet(path)
-        return self.spark.read.schema(df.schema).parquet(path)
-
-    def drop(self, name: str) -> None:
-        jvm = self.spark.sparkContext._jvm
-        path = jvm.org.apache.hadoop.fs.Path(f"{self.root}/{name}")
-        path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+        return self.put(name, df)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -53,12 +35,22 @@ def id_out(name: str):
     return F.nullif(F.col(name), F.lit(NO_ID)).alias(name)
 
 
-def bounded_sample(rows: DataFrame, hash_column: str, most: int, order: list[str]) -> DataFrame:
-    """At most `most` rows, those of the smallest hashes; a hash filter keeps what one task gathers near that number at any size."""
-    total = rows.count()
+def bounded_sample(rows: DataFrame, text: str, most: int, most_bytes: int) -> pa.Table:
+    """Whole rows, at most `most` and of at most `most_bytes` text together, drawn by a hash of each row; a longer text cannot be drawn.
+
+    The hash covers the row's place in the scan, so that copies are drawn one by one. Sizes come first, texts only for the rows that are drawn.
+    """
+    own = F.xxhash64(text, F.monotonically_increasing_id())
+    slim = rows.withColumns({"__h": own, "__n": F.octet_length(text)}).filter(F.col("__n") <= most_bytes)
+    total = slim.count()
     bits = 1 << 40
     bar = min(bits, int(bits * (1.5 * most + 50) / max(total, 1)))
-    return rows.filter(F.shiftrightunsigned(F.col(hash_column), 24) < F.lit(bar)).orderBy(hash_column, *order).limit(most)
+    near = slim.filter(F.shiftrightunsigned(F.col("__h"), 24) < F.lit(bar))
+    sizes = near.select("__h", "__n").orderBy("__h", "__n").limit(most).collect()
+    taken = list(takewhile(lambda s: s[0] <= most_bytes, zip(accumulate(r["__n"] for r in sizes), sizes)))
+    last = taken[-1][1]["__h"] if taken else None
+    drawn = near.filter(F.col("__h") <= F.lit(last)) if taken else near.limit(0)
+    return drawn.orderBy("__h", "__n").limit(len(taken)).drop("__h", "__n").toArrow()
 
 
 def utf8(column) -> tuple[np.ndarray, np.ndarray]:

@@ -4,7 +4,7 @@ A page is read into leaf blocks (runs of text between block-level tags) with the
 parts (tags, classes, ids), hashed words and a few numbers. A bidirectional LSTM in numpy reads the whole sequence of a page and
 decides for every block whether it belongs to the article, using the context of the entire document.
 
-Training is weakly supervised: the blocks of a bounded sample of pages (``sample`` rows) are labelled by their semantic tags,
+Training is weakly supervised: the blocks of a bounded sample of whole pages (``sample`` rows, ``sample_bytes`` together) are labelled by their semantic tags,
 and each page is varied with parts that the sample may lack (comments, sidebars, notices, forms, other containers for the article), so that
 the network learns path vocabulary and order rather than one template.
 
@@ -335,10 +335,12 @@ def varied(page: list[tuple], label: list[bool], pool: list[str], rng) -> tuple[
     return [b[:3] for b in out], [bool(b[3]) for b in out]
 
 
-def train(pages: DataFrame, sample: int = 240, seed: int = 5) -> BiLstm:
-    """Learns from at most `sample` pages, a hash sample, at most 40,000 characters each."""
-    rows = pages.select(F.substring(F.col("html").cast("string"), 1, 40_000).alias("html")).filter("length(html) > 0")
-    rows = bounded_sample(rows.withColumn("h", F.xxhash64("html")), "h", sample, ["html"]).select("html").toArrow()
+def train(pages: DataFrame, sample: int = 240, sample_bytes: int = 4 << 20, stretch: int = 256, seed: int = 5) -> BiLstm:
+    """Learns from whole pages, at most `sample` of at most `sample_bytes` together.
+
+    All their blocks train; a page of more than `stretch` blocks is several sequences in training (never in labelling).
+    """
+    rows = bounded_sample(pages.select(F.col("html").cast("string").alias("html")).filter("length(html) > 0"), "html", sample, sample_bytes)
     rng = np.random.default_rng(seed)
     xs, ys = [], []
     parsed = [blocks_of(p) for p in rows.column(0).to_pylist()]
@@ -352,7 +354,8 @@ def train(pages: DataFrame, sample: int = 240, seed: int = 5) -> BiLstm:
             x, z = varied(page, y, pool, rng)
             xs.append(x)
             ys.append(z)
-    xs, ys = [x[:200] for x in xs], [y[:200] for y in ys]
+    cut = lambda rows: [row[at : at + stretch] for row in rows for at in range(0, len(row), stretch)]
+    xs, ys = cut(xs), cut(ys)
     return BiLstm(seed=seed).fit(xs, ys, seed=seed)
 
 

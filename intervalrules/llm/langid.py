@@ -4,20 +4,23 @@ Bytes (A-Z lower-cased) are embedded, convolved by filters of several widths, re
 softmax layer. A text is cut into consecutive windows of ``length`` bytes (each starts ``overlap`` bytes early so that no
 filter misses a border); all of them are read, and the window probabilities are averaged by their number of bytes.
 
-Training uses a bounded sample: at most about ``per_label`` labelled texts for each of the ``labels`` most frequent
-languages, ``windows`` random windows of each. Everything else covers all rows. The model is a few kilobytes and travels with the
+Training uses a bounded sample: at most ``texts`` labelled rows, the same number from each language that occurs (all of them are learned),
+``windows`` random windows of each. Everything else covers all rows. The model is a few kilobytes and travels with the
 task; prediction is a map over the scan without a shuffle.
 
-Edge cases: a null, empty or letterless text is ``und`` with score 0; a text shorter than a window is padded with spaces; without
-any labelled row all texts are ``und``; rows are judged one by one, so repeats and other columns do not matter.
+Edge cases: a null, empty or letterless text is ``und`` with score 0; a text shorter than a window is padded with spaces, a very long one is read
+whole; without any labelled row all texts are ``und``; an empty table gives no rows; rows are judged one by one, so repeats, rows that share or lack a
+doc_id and other columns do not matter (a null doc_id is not held out).
 """
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import chunks, table, utf8
@@ -195,21 +198,21 @@ def known_only(net: ByteNet | None, least: float):
     return run
 
 
-def train(docs: DataFrame, labels: int = 64, per_label: int = 500, windows: int = 4, epochs: int = 5, seed: int = 7) -> ByteNet | None:
-    """Fits on rows that are not held out; the sample is bounded by labels * per_label texts."""
-    rows = docs.select(F.col("doc_id").alias("id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang")).filter(F.col("lang").isNotNull() & ~held_out("id"))
-    counts = sorted(((r["count"], r["lang"]) for r in rows.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(labels).collect()), key=lambda r: r[1])
+def train(docs: DataFrame, texts: int = 2000, windows: int = 4, epochs: int = 5, seed: int = 7) -> ByteNet | None:
+    """Fits on rows that are not held out: at most `texts` of them, dealt evenly over all their languages (one a language at least)."""
+    rows = docs.select(F.col("doc_id").alias("id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang")).filter(F.col("lang").isNotNull() & ~held_out("id") & F.col("text").rlike(r"\p{L}"))
+    # the row's place in the scan tells copies, and rows that share or lack an id, apart
+    rows = rows.withColumn("draw", F.pmod(F.xxhash64("id", F.monotonically_increasing_id(), F.lit(seed)), F.lit(1 << 30)))
+    counts = rows.groupBy("lang").count().orderBy("lang").collect()  # one row a language
     if not counts:
         return None
-    rate = F.lit(0.0)
-    for n, lang in counts:
-        rate = F.when(F.col("lang") == lang, F.lit(min(1.0, per_label / n))).otherwise(rate)
-    draw = (F.pmod(F.xxhash64("id", F.lit(seed)), F.lit(1 << 30)) / F.lit(float(1 << 30))) < rate
-    cut = [F.substring("text", 1 + F.pmod(F.xxhash64("id", F.lit(k)), F.greatest(F.lit(1), F.length("text") - LENGTH)).cast("int"), F.lit(LENGTH)) for k in range(windows)]
-    sample = rows.filter(draw & F.col("text").rlike(r"\p{L}")).select("id", "lang", F.explode(F.array(*cut)).alias("part")).orderBy("id", "part").toArrow()
-    if not sample.num_rows:
-        return None
-    names = [lang for _, lang in counts]
+    names, each = [r["lang"] for r in counts], max(1, texts // len(counts))
+    bar = F.create_map(*[v for r in counts for v in (F.lit(r["lang"]), F.lit(min(1 << 30, math.ceil((1.5 * each + 20) / r["count"] * (1 << 30)))))])
+    drawn = rows.filter(F.col("draw") < bar[F.col("lang")])
+    first = Window.partitionBy("lang").orderBy("draw", "id", "text")
+    drawn = drawn.withColumn("nth", F.row_number().over(first)).filter(F.col("nth") <= each)
+    cut = [F.substring("text", 1 + F.pmod(F.xxhash64("draw", F.lit(k)), F.greatest(F.lit(1), F.length("text") - LENGTH)).cast("int"), F.lit(LENGTH)) for k in range(windows)]
+    sample = drawn.select("lang", F.explode(F.array(*cut)).alias("part")).orderBy("lang", "part").toArrow()  # texts * windows stretches at most
     y = np.array([names.index(v) for v in sample.column("lang").to_pylist()])
     data, bounds = utf8(sample.column("part"))
     x, owner, _ = windows_of(LOWER[data], bounds)

@@ -1,16 +1,18 @@
 """Operator 6: personal data by fixed patterns plus a skip-chain conditional random field.
 
-The patterns give the base spans. The field labels tokens that hold a digit or an at sign (all other tokens are outside by
-definition, so inference over them is exact). Neighbouring tokens share chain potentials; a token that repeats, or has the same
-core as, an earlier one of the same document shares a skip potential with its last occurrence before, however far away, so that
-one document labels its entities consistently. Marginals come from loopy sum-product, run over all documents of a batch as
-one graph. Tokens inside base spans enter as evidence. Added spans are tokens whose marginal reaches ``least``; base spans stay.
-
-Weights are learned by gradient ascent on the likelihood that the same message passing approximates, from a bounded sample of
-texts that hold a digit or an at sign (``sample`` rows), labelled by the base patterns and by seed patterns for secrets.
-
-A map over the scan; texts without digit and at sign (they cannot hold any kind) are skipped after a byte test. Edge cases: null and
-empty texts have no spans; very long digit or letter runs take linear time; repeated rows are judged alike; other columns are not read.
+The patterns give the base spans. The field labels candidate tokens: those with a digit or an at sign, values behind a secret's keyword
+(``password:``, ``api_key=`` ...) and repeats of such values; all other tokens are outside by definition, so inference over the candidates is exact.
+Neighbouring tokens share chain potentials; a token that repeats, or has the same core as, an earlier one of the same document shares a
+skip potential with its last and with its first mention, however far away, so that one document labels its entities consistently. Marginals come from
+loopy sum-product, run over all documents of a batch as one graph until the messages settle. Tokens inside base spans enter as evidence.
+Added spans are tokens whose marginal reaches ``least``; base spans stay.
+
+Weights are learned by gradient ascent on the likelihood that the same message passing approximates, from whole texts: at most ``sample`` of those
+that hold a candidate, of at most ``sample_bytes`` together, labelled by the base patterns and by seed patterns for secrets.
+
+A map over the scan; texts without a candidate are skipped after a byte test. Edge cases: null and empty texts have no spans; very long texts
+are read whole and very long digit or letter runs take linear time; repeated rows, and rows that share or lack a doc_id, are judged alike; an
+empty table gives no rows (and a field that adds nothing); other columns are not read by ``find`` and passed on by a redacting ``finder``.
 """
 
 from __future__ import annotations
@@ -24,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_sample, chunks, ragged, table, utf8
+from .common import bounded_sample, chunks, table, utf8
 
 KINDS = ("email", "ip", "card", "phone", "secret")
 # The base patterns of the contract, written so that each place is tried once.
@@ -34,8 +36,11 @@ ADDRESS = re.compile(r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++")
 CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 # Seeds of the added kind.
-SECRET = re.compile(r"(?:(?:password|passwd|secret|token|api[_-]?key)\s*[=:]\s*[\"']?)([A-Za-z0-9/+_-]{8,})|\b(AKIA[0-9A-Z]{12,})\b", re.I)
+KEYWORD = r"(?:password|passwd|secret|token|api[_-]?key)\s*[=:]"
+SECRET = re.compile(r"(?:" + KEYWORD + r"\s*[\"']?)([A-Za-z0-9/+_-]{8,})|\b(AKIA[0-9A-Z]{12,})\b", re.I)
+NAMED = re.compile(KEYWORD, re.I)
 TOKEN = re.compile(r"\S*[0-9@]\S*")
+WORD = re.compile(r"\S+")
 NOT_DIGIT = re.compile(r"[^0-9]")
 
 
@@ -100,6 +105,23 @@ def shape(word: str) -> str:
     return "".join(out)[:12]
 
 
+def candidates(text: str) -> list[tuple[int, int]]:
+    """Tokens that may get a label: those with a digit or an at sign, values that follow a secret's keyword, and repeats of such values."""
+    out = [m.span() for m in TOKEN.finditer(text)]
+    values = {m.group(1).lower() for m in SECRET.finditer(text) if m.group(1)} if NAMED.search(text) else set()
+    values = {v for v in values if not any(c.isdigit() for c in v)}
+    if values:
+        named = lambda word: value_of(word.strip(TRIM)).lower() in values
+        out = sorted({*out, *(m.span() for m in WORD.finditer(text) if named(m.group()))})
+    return out
+
+
+def value_of(core: str) -> str:
+    """What follows the last equals sign or, behind a name, the last colon."""
+    at = max(core.rfind("="), core.rfind(":") if NAMED.match(core) else -1) + 1
+    return core[at:].strip(TRIM) if 0 < at < len(core) else core
+
+
 class Graph:
     """Candidate tokens of several documents with their features and edges."""
 
@@ -111,18 +133,16 @@ class Graph:
 
     def add(self, number: int, text: str, known) -> None:
         """known: sorted (start, kind, end) of labelled spans."""
-        last_at, seen, k = -10, {}, 0
-        for m in TOKEN.finditer(text):
-            word, begin, end = m.group(), m.start(), m.end()
+        last_at, seen, first, k = -10, {}, {}, 0
+        for begin, end in candidates(text):
+            word = text[begin:end]
             left = text[max(0, begin - 24) : begin].split()
             before = left[-1].lower() if left else ""
             right = text[end : end + 16].split()
             after = right[0] if right else ""
             core = word.strip(TRIM)
             lead = len(word) - len(word.lstrip(TRIM))
-            value = core
-            if "=" in core and core.rfind("=") + 1 < len(core):
-                value = core[core.rfind("=") + 1 :].strip(TRIM)
+            value = value_of(core)
             start = begin + lead + (core.rfind(value) if value else 0)
             name = core[: len(core) - len(value)].lower()
             digits = sum(c.isdigit() for c in value)
@@ -147,9 +167,11 @@ class Graph:
             last_at = end
             for key in {value.lower(), "#" + NOT_DIGIT.sub("", value) if digits >= 5 else value.lower()}:
                 if len(key) >= 4:
-                    if key in seen and seen[key] != node:
-                        self.edges[1].append((seen[key], node))
+                    # to the last mention and to the first one, so that none is more than two edges from another
+                    for other in {seen[key], first[key]} - {node} if key in seen else ():
+                        self.edges[1].append((other, node))
                     seen[key] = node
+                    first.setdefault(key, node)
 
     def arrays(self):
         edges = [np.array(e, np.int64).reshape(-1, 2) for e in self.edges]
@@ -161,8 +183,8 @@ class Field:
         self.unary = np.zeros((WIDTH, LABELS))
         self.pair = [np.zeros((LABELS, LABELS)), np.eye(LABELS)]
 
-    def beliefs(self, scores: np.ndarray, edges, rounds: int = 6):
-        """Node and edge marginals by loopy sum-product."""
+    def beliefs(self, scores: np.ndarray, edges, settle: float = 1e-3, rounds: int = 100):
+        """Node and edge marginals by loopy sum-product, until no message moves by more than `settle` (`rounds` ends a graph that oscillates)."""
         n = len(scores)
         a = np.concatenate([e[:, 0] for e in edges])
         b = np.concatenate([e[:, 1] for e in edges])
@@ -179,7 +201,10 @@ class Field:
             out = (total[source] - message[back])[:, :, None] + both
             top = out.max(1, keepdims=True)
             new = (top + np.log(np.exp(out - top).sum(1, keepdims=True)))[:, 0]
-            message = 0.5 * message + 0.5 * (new - new.mean(1, keepdims=True))
+            move = 0.5 * (new - new.mean(1, keepdims=True) - message)
+            message += move
+            if np.abs(move).max() < settle:
+                break
         total = scores.copy()
         if m:
             np.add.at(total, target, message)
@@ -206,7 +231,7 @@ class Field:
         weights = [self.unary, *self.pair]
         sums = [np.full_like(w, 1e-6) for w in weights]
         for _ in range(steps):
-            node, joint, kind = self.beliefs(self.scores(feature, owner, n), edges)
+            node, joint, kind = self.beliefs(self.scores(feature, owner, n), edges, 0.03)
             grad = np.zeros_like(self.unary)
             np.add.at(grad, feature, (gold - node)[owner])
             grads = [grad]
@@ -258,9 +283,17 @@ TRIGGER = np.zeros(256, bool)
 TRIGGER[48:58] = TRIGGER[64] = True
 
 
+SIGN = np.zeros(256, bool)
+SIGN[58] = SIGN[61] = True  # ends a keyword
+
+
 def triggered(data: np.ndarray, bounds: np.ndarray) -> np.ndarray:
-    count = np.concatenate([[0], np.cumsum(TRIGGER[data])])
-    return np.flatnonzero(count[bounds[1:]] > count[bounds[:-1]])
+    """Texts that can hold a candidate: with a digit, an at sign or a secret's keyword."""
+    has = lambda kind: np.diff(np.concatenate([[0], np.cumsum(kind[data])])[bounds]) > 0
+    out = has(TRIGGER)
+    for k in np.flatnonzero(~out & has(SIGN)):
+        out[k] = NAMED.search(data[bounds[k] : bounds[k + 1]].tobytes().decode()) is not None
+    return np.flatnonzero(out)
 
 
 def redact(text: str, spans) -> str:
@@ -300,11 +333,10 @@ def finder(field: Field, least: float, redacting: bool):
     return run
 
 
-def train(docs: DataFrame, sample: int = 2000) -> Field:
-    """Learns from at most `sample` texts, a hash sample of texts with a digit or an at sign."""
-    cut = F.substring("text", 1, 20_000)
-    rows = docs.select(F.col("text").cast("string").alias("text")).filter(F.col("text").rlike("[0-9@]"))
-    rows = bounded_sample(rows.select(cut.alias("text"), F.xxhash64("text").alias("h")), "h", sample, ["text"]).select("text").toArrow()
+def train(docs: DataFrame, sample: int = 2000, sample_bytes: int = 16 << 20) -> Field:
+    """Learns from whole texts: at most `sample` of those with a candidate, of at most `sample_bytes` together."""
+    rows = docs.select(F.col("text").cast("string").alias("text")).filter(F.col("text").rlike("[0-9@]") | F.col("text").rlike(f"(?i){KEYWORD}"))
+    rows = bounded_sample(rows, "text", sample, sample_bytes)
     graph = Graph()
     for n, text in enumerate(rows.column(0).to_pylist()):
         seeds = [(m.start(g), 4, m.end(g)) for m in SECRET.finditer(text) for g in (1, 2) if m.start(g) >= 0]
@@ -323,5 +355,3 @@ def op6_skip_chain(spark, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents")
     return find(docs, train(docs))
 
-
-__all__ = ["Field", "Graph", "base_spans", "find", "op6_skip_chain", "ragged", "redact", "train"]
