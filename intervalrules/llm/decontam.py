@@ -30,21 +30,18 @@ LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 IS_WORD = np.zeros(256, bool)
 IS_WORD[48:58] = IS_WORD[97:123] = IS_WORD[128:] = True
-BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
+BASE = 0x9E3779B97F4A7C15  # odd
 _POWERS: dict[int, tuple[np.ndarray, np.ndarray]] = {}
 
 
-def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """BASE^i and BASE^-i modulo 2^64 for i <= n."""
+def powers(n: int, base: int = BASE) -> tuple[np.ndarray, np.ndarray]:
+    """base^i and base^-i modulo 2^64 for i <= n."""
     size = 1 << max(16, int(n).bit_length())
-    if size not in _POWERS:
-        inverse = np.uint64(pow(int(BASE), -1, 1 << 64))
-        up = np.full(size, BASE, np.uint64)
-        down = np.full(size, inverse, np.uint64)
+    if base not in _POWERS or len(_POWERS[base][0]) < size:
+        up, down = np.full(size, base, np.uint64), np.full(size, pow(base, -1, 1 << 64), np.uint64)
         up[0] = down[0] = 1
-        _POWERS.clear()
-        _POWERS[size] = np.multiply.accumulate(up), np.multiply.accumulate(down)
-    return _POWERS[size]
+        _POWERS[base] = np.multiply.accumulate(up), np.multiply.accumulate(down)
+    return _POWERS[base]
 
 
 def word_spans(data: np.ndarray, bounds: np.ndarray, member: np.ndarray = IS_WORD) -> tuple[np.ndarray, np.ndarray, np.ndarray]:

@@ -8,8 +8,8 @@ A byte is removed if it lies in a string of ``length`` bytes that also starts el
    are folded, and what is left gets a suffix array (Larsson-Sadakane refinement from 8-byte ranks: only unresolved groups are
    sorted again, with doubled depth) and its common prefixes (Kasai's relation: a position whose predecessor moves along inherits its
    prefix less one, the others are compared).
-3. Anchors that are too frequent for one shard are split over many; their sorted window digests are dealt by range and merged
-   by binary search, which finds the windows that repeat in other shards only.
+3. Anchors that are too frequent for one shard are split over many; their sorted windows, named by two independent 64-bit digests, are dealt by
+   range and merged by binary search, which finds the windows that repeat in other shards only.
 4. Marked windows return to their texts, which are cut.
 
 Texts are shuffled once, compressed, into a bucketed table below the shared folder; what is shuffled later is anchors, stretches of repeated
@@ -31,16 +31,17 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import Scratch, chunks, mix64, ragged, table, utf8
-from .decontam import powers
+from .decontam import BASE, powers
 from .neardup import runs
 
 LENGTH, GRAM = 200, 24
+OTHER_BASE = 0xD6E8FEB86659FD93  # of the second digest of a window
 SPAN = 1 << 21  # places compared at once; their number fits the low 24 bits of a key
 ENTRY = np.dtype([("h", "<u4"), ("t1", "<i8"), ("t2", "<i8"), ("lo", "<i4"), ("n", "<i4"), ("more", "<i4")])
 
 
-def gram_hashes(data: np.ndarray, k: int) -> np.ndarray:
-    up, down = powers(len(data))
+def gram_hashes(data: np.ndarray, k: int, base: int = BASE) -> np.ndarray:
+    up, down = powers(len(data), base)
     sums = np.zeros(len(data) + 1, np.uint64)
     np.cumsum((data.astype(np.uint64) + np.uint64(1)) * up[: len(data)], out=sums[1:])
     return mix64((sums[k:] - sums[:-k]) * down[: len(data) - k + 1])
@@ -218,7 +219,7 @@ def expanded(batches, limit: int = 2 << 20):
         yield keys, texts
 
 
-def anchor_blocks(buckets: int, local_most: int):
+def anchor_blocks(buckets: int, local_most: int, shard_most: int):
     """Blocks of anchors for buckets (kind 0), and anchors that are frequent within one task's chunk as finished candidates (kind 1)."""
 
     def run(batches):
@@ -245,7 +246,9 @@ def anchor_blocks(buckets: int, local_most: int):
             rest = frequent & ~head
             if rest.any():
                 own = e[rest]
-                own["more"] = salt
+                # no more than shard_most of them meet in one shard
+                nth = np.arange(len(e)) - np.repeat(begin, size)
+                own["more"] = (salt + nth[rest] // shard_most) & 0x3FFFFFFF
                 for b in np.unique(bucket[rest]):
                     kinds.append(1)
                     bs.append(int(b))
@@ -330,7 +333,7 @@ def stretches(flags: np.ndarray, lo: int, length: int) -> list[tuple[int, int]]:
 
 
 SHARDED = "t1 long, t2 long, s int, e int, part int, x binary"
-HOT = np.dtype([("d", "<u8"), ("t1", "<i8"), ("t2", "<i8"), ("p", "<i4"), ("unique", "<i4")])
+HOT = np.dtype([("d", "<u8"), ("c", "<u8"), ("t1", "<i8"), ("t2", "<i8"), ("p", "<i4"), ("unique", "<i4")])
 
 
 def sharder(length: int, merge_parts: int):
@@ -369,6 +372,7 @@ def sharder(length: int, merge_parts: int):
                         if len(at):
                             e = np.zeros(len(at), HOT)
                             e["d"] = mix64(gram_hashes(raw, length)[at] ^ np.uint64(key[0] & 0x7FFFFFFFFFFFFFFF))
+                            e["c"] = mix64(gram_hashes(raw, length, OTHER_BASE)[at])
                             e["t1"], e["t2"], e["p"], e["unique"] = rows[0][3], rows[0][4], rows[0][5] + at, ~flag[at]
                             hot.append(e)
             if marks:
@@ -386,15 +390,23 @@ def sharder(length: int, merge_parts: int):
     return run
 
 
+def digests(e: np.ndarray) -> np.ndarray:
+    """Both digests of each window as 16 bytes that sort like the first one."""
+    out = np.empty((len(e), 2), ">u8")
+    out[:, 0], out[:, 1] = e["d"], e["c"]
+    return out.view("S16").ravel()
+
+
 def merger(length: int):
     """Windows that are single in their shard but found in another shard's sorted list."""
 
     def run(batches):
         for _, held in runs(batches, ("part",), ("x",)):
             lists = [np.frombuffer(r[0], HOT) for r in held]
-            every = np.sort(np.concatenate([e["d"] for e in lists]))
+            every = np.sort(np.concatenate([digests(e) for e in lists]))
             for e in lists:
-                found = np.searchsorted(every, e["d"], "right") - np.searchsorted(every, e["d"], "left") > 1
+                own = digests(e)
+                found = np.searchsorted(every, own, "right") - np.searchsorted(every, own, "left") > 1
                 take = e[found & (e["unique"] == 1)]
                 if len(take):
                     yield pa.RecordBatch.from_arrays([pa.array(take["t1"].copy()), pa.array(take["t2"].copy()), pa.array(take["p"].copy()), pa.array((take["p"] + length).astype(np.int32))], names=["t1", "t2", "s", "e"])
@@ -434,6 +446,24 @@ def remover(length: int, with_text: bool):
     return run
 
 
+def _without_repeats(texts: DataFrame, copies: DataFrame, scratch: Scratch, parts: int, buckets: int, length: int, local_most: int, shard_most: int, with_text: bool) -> DataFrame:
+    """t1, t2, n_bytes, n_removed, n_spans, kept_sha256, kept of every distinct text."""
+    blocks = scratch.table("blocks", texts.mapInArrow(anchor_blocks(buckets, local_most, shard_most), "kind int, bucket int, x binary"))
+    dealt = blocks.filter("kind = 0").select("bucket", "x").repartition(parts, "bucket").sortWithinPartitions("bucket")
+    found = dealt.mapInArrow(repeated_anchors(shard_most), CANDIDATES).unionByName(blocks.filter("kind = 1").select("bucket", "x").mapInArrow(local_candidates, CANDIDATES))
+    runs_of = found.groupBy("t1", "t2").agg(F.collect_list(F.struct("lo", "n", "anchor", "salt")).alias("runs"))
+    cut = texts.join(runs_of, ["t1", "t2"]).select("t1", "t2", "z", "runs").mapInArrow(cutter(length), "anchor long, salt int, seg binary, t1 long, t2 long, lo int, n int")
+    cut = cut.withColumn("shard", F.pmod(F.xxhash64("anchor", "salt"), F.lit(8 * parts)).cast("int"))
+    cut = cut.repartition(parts, "shard").sortWithinPartitions("shard")
+    sharded = scratch.table("sharded", cut.mapInArrow(sharder(length, parts), SHARDED))
+    scratch.drop("blocks")
+    hot = sharded.filter("part IS NOT NULL").select("part", "x").repartition(parts, "part").sortWithinPartitions("part")
+    marks = sharded.filter("part IS NULL").select("t1", "t2", "s", "e").unionByName(hot.mapInArrow(merger(length), "t1 long, t2 long, s int, e int"))
+    marks = marks.groupBy("t1", "t2").agg(F.collect_list(F.struct("s", "e")).alias("marks")).join(copies, ["t1", "t2"], "right")
+    done = texts.join(marks, ["t1", "t2"]).select("t1", "t2", "z", "copies", "marks").mapInArrow(remover(length, with_text), "t1 long, t2 long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
+    return scratch.table("done", done)
+
+
 def remove_repeats(docs: DataFrame, length: int = LENGTH, local_most: int = 32, shard_most: int = 512, with_text: bool = False) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and the kept bytes, zstd) of every row."""
     if length != LENGTH:
@@ -448,22 +478,10 @@ def remove_repeats(docs: DataFrame, length: int = LENGTH, local_most: int = 32,
     name = f"texts_{uuid.uuid4().hex}"
     texts = slim.select("text").mapInArrow(digester(True), "t1 long, t2 long, z binary").dropDuplicates(["t1", "t2"])
     texts.repartition(parts, "t1", "t2").write.option("path", f"{scratch.root}/texts").option("compression", "uncompressed").format("parquet").bucketBy(parts, "t1", "t2").saveAsTable(name)
-    texts = spark.table(name)
-    blocks = scratch.table("blocks", texts.mapInArrow(anchor_blocks(buckets, local_most), "kind int, bucket int, x binary"))
-    dealt = blocks.filter("kind = 0").select("bucket", "x").repartition(parts, "bucket").sortWithinPartitions("bucket")
-    found = dealt.mapInArrow(repeated_anchors(shard_most), CANDIDATES).unionByName(blocks.filter("kind = 1").select("bucket", "x").mapInArrow(local_candidates, CANDIDATES))
-    runs_of = found.groupBy("t1", "t2").agg(F.collect_list(F.struct("lo", "n", "anchor", "salt")).alias("runs"))
-    cut = texts.join(runs_of, ["t1", "t2"]).select("t1", "t2", "z", "runs").mapInArrow(cutter(length), "anchor long, salt int, seg binary, t1 long, t2 long, lo int, n int")
-    cut = cut.withColumn("shard", F.pmod(F.xxhash64("anchor", "salt"), F.lit(8 * parts)).cast("int"))
-    cut = cut.repartition(parts, "shard").sortWithinPartitions("shard")
-    sharded = scratch.table("sharded", cut.mapInArrow(sharder(length, parts), SHARDED))
-    scratch.drop("blocks")
-    hot = sharded.filter("part IS NOT NULL").select("part", "x").repartition(parts, "part").sortWithinPartitions("part")
-    marks = sharded.filter("part IS NULL").select("t1", "t2", "s", "e").unionByName(hot.mapInArrow(merger(length), "t1 long, t2 long, s int, e int"))
-    marks = marks.groupBy("t1", "t2").agg(F.collect_list(F.struct("s", "e")).alias("marks")).join(copies, ["t1", "t2"], "right")
-    done = texts.join(marks, ["t1", "t2"]).select("t1", "t2", "z", "copies", "marks").mapInArrow(remover(length, with_text), "t1 long, t2 long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
-    done = scratch.table("done", done)
-    spark.sql(f"DROP TABLE {name}")
+    try:
+        done = _without_repeats(spark.table(name), copies, scratch, parts, buckets, length, local_most, shard_most, with_text)
+    finally:
+        spark.sql(f"DROP TABLE IF EXISTS {name}")
     scratch.drop("texts")
     scratch.drop("sharded")
     out = rows.join(done, ["t1", "t2"])
