@@ -10,6 +10,7 @@ QUERIES = {
     "op3_byte_convolution": langid.op3_byte_convolution,
     "op4_suffix_shards": suffix.op4_suffix_shards,
     "op5_benchmark_index": decontam.op5_benchmark_index,
+    "benchmark_proximity": decontam.benchmark_proximity,
     "op6_skip_chain": pii.op6_skip_chain,
     "op7_section_tokens": tokencount.op7_section_tokens,
     "op8_best_fit_packing": packing.op8_best_fit_packing,

@@ -223,17 +223,44 @@ def test_contamination(spark, docs, rows, empty):
                     hit.update(range(k, k + len(win)))
                     found |= ids
         want[r[0], len(w), len(hit), tuple(sorted(found))] += 1
-    for block in (50_000, 2):
-        got = decontam.contamination(docs, bench, block_items=block).collect()
+    for block in (4 << 20, 1):  # one pass, and one for each item
+        got = decontam.contamination(docs, bench, block_bytes=block).collect()
         assert Counter((r["doc_id"], r["n_words"], r["n_hit"], tuple(r["items"])) for r in got) == want
-    assert decontam.contamination(empty, bench).count() == 0
-
-
-def test_proximity():
-    q = decontam.Queries(["i"], ["alpha beta gamma"], 3)
-    shard = decontam.Shard(pa.array(["beta x x alpha", "alpha x x x x x beta"]), q)
-    terms = [q.words.index(w) for w in (b"alpha", b"beta")]
-    assert len(shard.near(terms, 3)) == 1
+        clean = decontam.without_benchmark(docs, bench, block_bytes=block)
+        assert clean.columns == docs.columns and Counter(r["doc_id"] for r in clean.collect()) == Counter(k[0] for k in want.elements() if not k[2])
+    assert decontam.contamination(empty, bench).count() == decontam.without_benchmark(empty, bench).count() == 0
+    assert decontam.contamination(docs, bench.limit(0)).filter("n_hit > 0").count() == 0
+
+
+def test_contamination_of_items_that_repeat_or_lack_an_id(spark):
+    docs = spark.createDataFrame([(1, "One two three four"), (None, "x five SIX"), (None, "five six"), (2, None)], "doc_id long, text string")
+    bench = spark.createDataFrame([("b", "one two"), ("b", "four"), (None, "five six"), (None, None), ("c", "")], "item_id string, text string")
+    got = decontam.contamination(docs, bench).collect()
+    assert Counter((r["doc_id"], r["n_words"], r["n_hit"], tuple(r["items"])) for r in got) == Counter([(1, 4, 3, ("b",)), (None, 3, 2, ()), (None, 2, 2, ()), (2, 0, 0, ())])
+
+
+def test_proximity(spark):
+    rng = random.Random(12)
+    vocabulary = [f"w{k}" for k in range(12)]
+    texts = [(i, " ".join(rng.choice(vocabulary) for _ in range(rng.randint(0, 60)))) for i in range(40)] + [(90, None), (None, "")]
+    items = [("a", "w1 w2 w3 w4"), ("b", "w5 w5 w6"), ("c", "w7 w8 w9 w10 w11"), ("d", "w0 zzz w1"), ("e", None)]
+    span, want = 7, set()
+    for doc, text in texts:
+        words = (text or "").split()
+        for item, t in items:
+            w = (t or "").split()
+            for window in [set(w[k : k + 4]) for k in range(max(1, len(w) - 3))] if w else []:
+                covers = [at for at in range(len(words)) if window <= set(words[at : at + span])]
+                if covers:
+                    want.add((doc, item, covers[0]))
+    least = {}
+    for doc, item, at in want:
+        least[doc, item] = min(least.get((doc, item), at), at)
+    bench = spark.createDataFrame(items, "item_id string, text string")
+    docs = spark.createDataFrame(texts, "doc_id long, text string").repartition(3)
+    for block in (4 << 20, 1):
+        got = decontam.proximity(docs, bench, 4, span, block).collect()
+        assert {(r["doc_id"], r["item_id"]): r["place"] for r in got} == least and len(got) == len(least)
 
 
 def plain_spans(t):
