@@ -5,10 +5,12 @@
    each takes its nearest neighbours among the rows around it. The number of trees follows from the number of vectors, so that
    a pair at the threshold meets with the probability ``meet``.
 3. Descent: the neighbours (both ways) of each vector are compared with each other, and lists keep the best ``k``. Rounds go on
-   until at most ``settle`` of the entries change. Large neighbourhoods are compared in sub-groups, dealt anew in each round.
-4. Edges at the threshold give components. A list (short ones too) is saturated when even its last entry reaches the threshold: it may lack links
-   inside its component and to other components. Saturated vectors are put into balls (centre and radius) of at most ``block`` rows
-   of one component; balls of different components that are near enough to hold a link are compared in full, and a link merges their components.
+   until at most ``settle`` of the entries change. Large neighbourhoods are compared in sub-groups, dealt anew in each round. A list
+   (short ones too) is saturated when even its last entry reaches the threshold: it may lack links. Saturated lists are doubled, up to ``widest`` places,
+   and descent goes on for them and their neighbours.
+4. Edges at the threshold give components. What lists of any bounded length cannot hold follows exactly: vectors that are still saturated
+   are put into balls (centre and radius) of at most ``block`` rows of one component; balls of different components that are near enough to hold a
+   link are compared in full, and a link merges their components.
 5. Every component of two or more is compared in full in blocks of ``block`` rows, in double precision. This makes the links of a
    component complete, and only counts leave a block pair, never pairs.
 6. Audit: the links of a random sample of vectors are counted by brute force. While the share of them that was found is below ``meet``,
@@ -173,22 +175,36 @@ def local_join(k: int, dtype: str):
     return run
 
 
-def merged(lists: DataFrame, k: int) -> DataFrame:
-    """One list of the k best for each id."""
+def merged(lists: DataFrame, k: int, wide: DataFrame | None = None, width: int = 0) -> DataFrame:
+    """One list for each id: the k best, or the `width` best of the ids in wide."""
     # the same neighbour may come with similarities that differ in the last bit
     flat = lists.select("id", F.inline("near")).repartition("id").groupBy("id", "j").agg(F.max("s").alias("s"))
     best = flat.groupBy("id").agg(F.sort_array(F.collect_list(F.struct("s", "j")), asc=False).alias("near"))
-    return best.withColumn("near", F.slice("near", 1, k))
+    if wide is None:
+        return best.withColumn("near", F.slice("near", 1, k))
+    best = best.join(wide.withColumn("wide", F.lit(True)), "id", "left")
+    return best.select("id", F.slice("near", F.lit(1), F.when(F.col("wide"), F.lit(width)).otherwise(F.lit(max(k, width // 2)))).alias("near"))
 
 
-def descent_round(lists: DataFrame, vecs: DataFrame, k: int, dtype: str, part_size: int, parts: int, turn: int) -> DataFrame:
+def saturated(lists: DataFrame, threshold: float) -> DataFrame:
+    """Ids whose list may lack links: even its last entry reaches the threshold."""
+    return lists.filter(F.element_at("near", -1)["s"] >= threshold - 1e-4).select("id")
+
+
+def descent_round(lists: DataFrame, vecs: DataFrame, k: int, dtype: str, part_size: int, parts: int, turn: int, wide: DataFrame | None = None, width: int = 0) -> DataFrame:
+    """Better neighbours of all vectors, or of those in wide and their neighbours only, whose lists have `width` places."""
     out = lists.select("id", F.explode("near").alias("e")).select(F.col("id").alias("u"), F.col("e.j").alias("id"))
     both = out.unionByName(out.select(F.col("id").alias("u"), F.col("u").alias("id"))).unionByName(lists.select(F.col("id").alias("u"), "id")).distinct()
-    width = both.groupBy("u").agg(F.ceil(F.count(F.lit(1)) / part_size).cast("int").alias("n_part"))
-    last = lists.select("id", F.when(F.size("near") < k, F.lit(-1.5)).otherwise(F.element_at("near", -1)["s"]).cast("float").alias("last"))
-    members = both.join(width, "u").withColumn("part", F.pmod(F.xxhash64("id", "u", F.lit(turn)), "n_part").cast("int")).join(vecs.join(last, "id"), "id")
+    places = F.lit(k)
+    if wide is not None:
+        both = both.join(wide.withColumnRenamed("id", "u"), "u", "left_semi")
+        lists = lists.join(wide.withColumn("wide", F.lit(True)), "id", "left")
+        places = F.when(F.col("wide"), F.lit(width)).otherwise(F.lit(max(k, width // 2)))
+    count = both.groupBy("u").agg(F.ceil(F.count(F.lit(1)) / part_size).cast("int").alias("n_part"))
+    last = lists.select("id", F.when(F.size("near") < places, F.lit(-1.5)).otherwise(F.element_at("near", -1)["s"]).cast("float").alias("last"))
+    members = both.join(count, "u").withColumn("part", F.pmod(F.xxhash64("id", "u", F.lit(turn)), "n_part").cast("int")).join(vecs.join(last, "id"), "id")
     members = members.select("u", "part", "id", "vec", "last").repartition(parts, "u", "part").sortWithinPartitions("u", "part")
-    return members.mapInArrow(local_join(k, dtype), LISTS)
+    return members.mapInArrow(local_join(max(k, width), dtype), LISTS)
 
 
 def block_counts(threshold: float, dtype: str):
@@ -278,8 +294,7 @@ def ball_links(threshold: float, dtype: str):
 
 def crossings(groups: DataFrame, lists: DataFrame, vecs: DataFrame, threshold: float, dtype: str, block: int, parts: int, scratch: Scratch, tile: int = 4096) -> DataFrame:
     """Links (a, b) between saturated vectors of different components, at least one for each two components that have any."""
-    full = lists.filter(F.element_at("near", -1)["s"] >= threshold - 1e-4).select("id")
-    full = scratch.table("saturated", full.join(groups, "id").join(vecs, "id").withColumn("size", F.length("vec")))
+    full = scratch.table("saturated", saturated(lists, threshold).join(groups, "id").join(vecs, "id").withColumn("size", F.length("vec")))
     count = full.groupBy("component", "size").agg(F.ceil(F.count(F.lit(1)) / block).cast("int").alias("n_block"))
     placed = full.join(count, ["component", "size"]).withColumn("block", F.pmod(F.xxhash64("id"), "n_block").cast("int"))
     dealt = placed.select("component", "size", "block", "vec").repartition(parts, "component", "size", "block").sortWithinPartitions("component", "size", "block")
@@ -296,17 +311,27 @@ def crossings(groups: DataFrame, lists: DataFrame, vecs: DataFrame, threshold: f
     return scratch.table("crossings", sides.mapInArrow(ball_links(threshold, dtype), "a long, b long"))
 
 
-def settled(lists: DataFrame, vecs: DataFrame, n: int, k: int, settle: float, dtype: str, window: int, parts: int, scratch: Scratch) -> DataFrame:
-    """Descent until at most `settle` of the entries are new in a round; entries only improve, so it ends."""
-    lists = scratch.table("lists-0", merged(lists, k))
-    turn, new = 0, n * k
-    while new > settle * k * n:
-        better = descent_round(lists, vecs, k, dtype, window, parts, turn)
-        after = scratch.table(f"lists-{turn + 1}", merged(lists.unionByName(better), k))
-        now, old = after.select("id", F.col("near.j").alias("now")), lists.select("id", F.col("near.j").alias("old"))
-        new = now.join(old, "id").agg(F.coalesce(F.sum(F.size(F.array_except("now", "old"))), F.lit(0))).first()[0]
-        scratch.drop(f"lists-{turn}")
-        lists, turn = after, turn + 1
+def settled(lists: DataFrame, vecs: DataFrame, n: int, k: int, settle: float, dtype: str, window: int, parts: int, scratch: Scratch, threshold: float, widest: int) -> DataFrame:
+    """Descent until at most `settle` of the entries are new in a round; then saturated lists are doubled, up to `widest`, and descent goes on for them.
+
+    Entries only improve, so it ends.
+    """
+    lists, turn = scratch.table("lists-0", merged(lists, k)), 0
+    wide, width, places = None, 0, n * k
+    while places:
+        new = places
+        while new > settle * places:
+            better = descent_round(lists, vecs, k, dtype, window, parts, turn, wide, width)
+            after = scratch.table(f"lists-{turn + 1}", merged(lists.unionByName(better), k, wide, width))
+            now, old = after.select("id", F.col("near.j").alias("now")), lists.select("id", F.col("near.j").alias("old"))
+            new = now.join(old, "id").agg(F.coalesce(F.sum(F.size(F.array_except("now", "old"))), F.lit(0))).first()[0]
+            scratch.drop(f"lists-{turn}")
+            lists, turn = after, turn + 1
+        width = 2 * max(k, width)
+        if width > widest:
+            break
+        wide = scratch.table(f"wide-{width}", saturated(lists, threshold))
+        places = wide.count() * width
     LOG.info("descent settled after %d rounds", turn)
     return lists
 
@@ -359,8 +384,8 @@ def audit_recall(reps: DataFrame, found: DataFrame, threshold: float, dtype: str
     return row["found"] / row["all"] if row["all"] else 1.0
 
 
-def near_duplicates(vectors: DataFrame, threshold: float = 0.95, k: int = 8, meet: float = 0.99, settle: float = 0.01, window: int = 64, block: int = 256, seed: int = 11, sample: int = 200, trees: int | None = None) -> DataFrame:
-    """vec_id, n_links, component_id, kept of every row. `trees` of the start follow from the number of vectors unless given."""
+def near_duplicates(vectors: DataFrame, threshold: float = 0.95, k: int = 8, meet: float = 0.99, settle: float = 0.01, window: int = 64, block: int = 256, seed: int = 11, sample: int = 200, trees: int | None = None, widest: int | None = None) -> DataFrame:
+    """vec_id, n_links, component_id, kept of every row. `trees` of the start follow from the number of vectors unless given; lists grow from k to `widest` (2 k)."""
     spark = vectors.sparkSession
     scratch = Scratch(spark, "neardup")
     parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 8)
@@ -383,7 +408,7 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.95, k: int = 8, mee
         codes = codes.repartitionByRange(spread, "tree", "size", "code", "id").sortWithinPartitions("tree", "size", "code", "id")
         start = codes.mapInArrow(around(k, dtype, window), LISTS)
         start = start if lists is None else start.unionByName(lists)
-        lists = settled(start, reps.select("id", "vec"), n, k, settle, dtype, window, parts, step)
+        lists = settled(start, reps.select("id", "vec"), n, k, settle, dtype, window, parts, step, threshold, widest or 2 * k)
         found = linked(reps, lists, threshold, dtype, block, parts, step)
         recall = audit_recall(reps, found.select("id", "n"), threshold, dtype, sample, seed + attempt)
         LOG.info("%d trees added, recall %.4f in a sample of %d", trees, recall, min(sample, n))

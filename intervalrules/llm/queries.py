@@ -13,6 +13,7 @@ QUERIES = {
     "benchmark_proximity": decontam.benchmark_proximity,
     "op6_skip_chain": pii.op6_skip_chain,
     "op7_section_tokens": tokencount.op7_section_tokens,
+    "document_field_tokens": tokencount.document_field_tokens,
     "op8_best_fit_packing": packing.op8_best_fit_packing,
     "op9_recurrent_blocks": html.op9_recurrent_blocks,
     "op10_part_enum": setjoin.op10_part_enum,

@@ -1,8 +1,8 @@
 """Operator 7: token counts of sections by offset-mapped attribution.
 
 A whole text is encoded once by a lossless byte-level tokenizer. The running sum of the tokens' byte lengths gives each token's
-span; sections (lines with their line end, or any given byte spans that tile the text) are joined with the spans by binary
-search. A token that crosses a border is allocated by an explicit rule:
+span; sections are joined with the spans by binary search. Sections are the text's lines (with their line ends), stretches that a column
+gives by their first characters, or the fields of a record that are encoded as one text. A token that crosses a border is allocated by an explicit rule:
 
 * ``start`` - to the section that holds its first byte;
 * ``most`` - to the section that holds most of its bytes, the earlier one on a tie;
@@ -10,8 +10,9 @@ search. A token that crosses a border is allocated by an explicit rule:
 
 A map over the scan without a shuffle; memory is one chunk of texts. Under each rule the sections' counts add up to the text's.
 
-Edge cases: a null or empty text has no section and no token; an empty line is a section of one byte; a very long text is encoded
-whole; repeated rows give repeated results; other columns are not read.
+Edge cases: a null or empty text has no section and no token; an empty line is a section of one byte, an empty field a section of its separator (the last
+one of nothing, without tokens); given sections that are null count as one, and those that begin at or behind the end of the text are left out; a very long
+text is encoded whole; repeated rows, and rows that share or lack a doc_id, give their own results; an empty table gives no rows; other columns are not read.
 """
 
 from __future__ import annotations
@@ -73,7 +74,15 @@ def allocate(ends: np.ndarray, starts: np.ndarray, size: int, rule: str) -> tupl
     return out, len(crossing)
 
 
+def byte_places(data: np.ndarray, characters: list[int]) -> np.ndarray:
+    """First bytes of sections that begin at the given characters, the first of them at 0."""
+    begins = np.flatnonzero((data & 0xC0) != 0x80)
+    at = np.unique([0, *characters])
+    return begins[at[at < len(begins)]]
+
+
 def counter(path: str, pattern: str, rule: str):
+    """Batches of doc_id, text and maybe starts, the first characters of the sections."""
     if rule not in RULES:
         raise ValueError(rule)
 
@@ -82,10 +91,11 @@ def counter(path: str, pattern: str, rule: str):
         for batch in chunks(batches, "text", 4 << 20):
             data, bounds = utf8(batch.column("text"))
             totals, crossed, sections, counts = [], [], [], []
+            given = batch.column("starts").to_pylist() if "starts" in batch.schema.names else None
             for k in range(batch.num_rows):
                 own = data[bounds[k] : bounds[k + 1]]
                 ids = np.asarray(encoding.encode_to_numpy(own.tobytes().decode(), allowed_special="all"), np.int64) if len(own) else np.zeros(0, np.int64)
-                starts = line_starts(own)
+                starts = line_starts(own) if given is None else byte_places(own, given[k] or [])
                 got, n_cross = allocate(np.cumsum(sizes[ids]), starts, len(own), rule) if len(own) else (np.zeros(0), 0)
                 totals.append(len(ids))
                 crossed.append(n_cross)
@@ -98,10 +108,28 @@ def counter(path: str, pattern: str, rule: str):
     return run
 
 
-def section_tokens(docs: DataFrame, path: str, pattern: str, rule: str = "most") -> DataFrame:
-    """doc_id, n_tokens, n_sections, n_crossing, section_tokens of every row."""
-    slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
-    return slim.mapInArrow(counter(path, pattern, rule), "doc_id long, n_tokens long, n_sections long, n_crossing long, section_tokens array<double>")
+COUNTS = "doc_id long, n_tokens long, n_sections long, n_crossing long, section_tokens array<double>"
+
+
+def section_tokens(docs: DataFrame, path: str, pattern: str, rule: str = "most", starts: str | None = None) -> DataFrame:
+    """doc_id, n_tokens, n_sections, n_crossing, section_tokens of every row; starts: column of the sections' first characters, else lines."""
+    own = [] if starts is None else [F.col(starts).cast("array<int>").alias("starts")]
+    slim = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), *own)
+    return slim.mapInArrow(counter(path, pattern, rule), COUNTS)
+
+
+def field_tokens(docs: DataFrame, fields: list[str], path: str, pattern: str, rule: str = "most") -> DataFrame:
+    """doc_id, n_tokens, fields (a map) of every row: its fields are encoded as one text, one a line; a separator belongs to the field before it."""
+    parts = [F.coalesce(F.col(f).cast("string"), F.lit("")) for f in fields]
+    begin, starts = F.lit(0), []
+    for part in parts:
+        starts.append(begin)
+        begin = begin + F.length(part) + 1
+    whole = docs.select("doc_id", F.concat_ws("\n", *parts).alias("text"), F.array(*starts).alias("starts"))
+    got = section_tokens(whole, path, pattern, rule, "starts")
+    # an empty last field begins at the end of the text
+    names = F.array(*map(F.lit, fields))
+    return got.select("doc_id", "n_tokens", F.map_from_arrays(names, F.transform(names, lambda _, k: F.coalesce(F.get("section_tokens", k), F.lit(0.0)))).alias("fields"))
 
 
 def op7_section_tokens(spark, sf_dir: str) -> DataFrame:
@@ -109,3 +137,11 @@ def op7_section_tokens(spark, sf_dir: str) -> DataFrame:
 
     out = section_tokens(table(spark, sf_dir, "documents"), str(public.path("byte_bpe_50k.tiktoken")), public.PATTERN)
     return out.withColumn("section_tokens", F.col("section_tokens").cast("array<bigint>"))
+
+
+def document_field_tokens(spark, sf_dir: str) -> DataFrame:
+    """Tokens of source, language and text of every document, encoded as one record."""
+    import public_tokenizers as public
+
+    out = field_tokens(table(spark, sf_dir, "documents"), ["source", "lang", "text"], str(public.path("byte_bpe_50k.tiktoken")), public.PATTERN)
+    return out.select("doc_id", "n_tokens", *[F.col("fields")[f].cast("long").alias(f) for f in ("source", "lang", "text")])

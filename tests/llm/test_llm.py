@@ -68,6 +68,44 @@ def test_hilbert_shards(docs, rows, empty, law):
     assert cut(empty) == []
 
 
+def test_hilbert_order_against_plain_python(spark, docs, rows):
+    dims, bits = ["source", "n_chars"], 4
+    size = F.coalesce(F.octet_length("text"), F.lit(0)).cast("bigint") + 1
+    got = hilbert.hilbert_shards(docs, "doc_id", dims, size, 5, "rows", bits, {"text_crc32": F.crc32("text")}).collect()
+    cells = [(a, b, a, b) for a in range(1 << bits) for b in range(1 << bits)]
+    grid = hilbert.curve_index(spark.createDataFrame(cells, "a int, b int, x int, y int"), ["x", "y"], bits, "i")
+    place = {(r["a"], r["b"]): r["i"] for r in grid.collect()}
+    cuts = hilbert.borders(docs, dims, bits)
+
+    def ordinal(v):
+        return None if v is None else v if isinstance(v, int) else int.from_bytes(v.encode()[:7].ljust(7, b"\0"), "big")
+
+    bucket = lambda v, c: 0 if v is None else 1 + sum(v > x for x in c)
+    want = Counter()
+    for r in rows:
+        at = place[bucket(ordinal(r[3]), cuts["source"]), bucket(ordinal(r[4]), cuts["n_chars"])]
+        want[r[0], len((r[1] or "").encode()) + 1, None if r[1] is None else zlib.crc32(r[1].encode()), at] += 1
+    assert Counter((r["doc_id"], r["size"], r["text_crc32"], r["curve"]) for r in got) == want
+    line = sorted(got, key=lambda r: (r["shard"], r["slot"]))
+    keys = [(r["curve"], r["doc_id"] is not None, r["doc_id"] or 0) for r in line]
+    assert keys == sorted(keys)
+    n = len(line)
+    assert [r["shard"] for r in line] == [k * 5 // n for k in range(n)]
+
+
+def components_of(link):
+    up = list(range(len(link)))
+
+    def root(x):
+        while up[x] != x:
+            x = up[x]
+        return x
+
+    for a, b in zip(*np.nonzero(link)):
+        up[root(a)] = root(b)
+    return [root(x) for x in range(len(link))]
+
+
 def test_neighbour_descent(spark):
     rng = np.random.default_rng(2)
     base = rng.normal(size=(60, 16))
@@ -82,6 +120,10 @@ def test_neighbour_descent(spark):
     np.fill_diagonal(link, False)
     truth, found = link.sum(1), np.array([got[i]["n_links"] for i in good])
     assert (found <= truth).all() and found.sum() >= 0.9 * truth.sum()
+    assert found.tolist() == truth.tolist()
+    group = components_of(link)
+    least = {g: min(i for i, h in zip(good, group) if h == g) for g in group}
+    assert [got[i]["component_id"] for i in good] == [least[g] for g in group]
     assert all(got[i]["n_links"] == 0 and got[i]["kept"] for i in (350, 351, 352, 353))
     assert got[354]["component_id"] == 0 and not got[354]["kept"]
     assert neardup.near_duplicates(df.limit(0)).count() == 0
@@ -117,6 +159,25 @@ def test_neighbour_descent_adds_trees_until_the_audit_passes(spark, caplog):
     assert sum(min(t, got[i]) for i, t in enumerate(truth)) >= 0.99 * truth.sum()
 
 
+def test_saturated_lists_are_enlarged(spark):
+    # a group wider than the lists: every list of 4 is saturated, and some of its vectors reach over to others
+    rng = np.random.default_rng(15)
+    m = np.concatenate([rng.normal(size=24) + rng.normal(size=(40, 24)) * 0.02, rng.normal(size=(60, 24))])
+    vecs = spark.createDataFrame([(i, v.astype("<f8").tobytes()) for i, v in enumerate(m)], "id long, vec binary")
+    lists = spark.createDataFrame([(i, [(float(m[i] @ m[j] / np.linalg.norm(m[i]) / np.linalg.norm(m[j])), j) for j in range(i // 40 * 40, i // 40 * 40 + 6) if j != i]) for i in range(40)], neardup.LISTS)
+    scratch = neardup.Scratch(spark, "test")
+    got = neardup.settled(lists, vecs, 100, 4, 0.0, "<f8", 64, 4, scratch, 0.95, 16)
+    sizes = {r["id"]: len(r["near"]) for r in got.collect()}
+    assert all(sizes[i] == 16 for i in range(40))
+
+
+def test_neighbour_descent_with_clashing_columns(spark):
+    rows = [(1, [1.0, 0.0], 5, "x", b"y"), (2, [1.0, 0.01], 5, None, b"y"), (3, None, None, "x", None)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>, id long, rep string, vec binary")
+    got = neardup.near_duplicates(df).collect()
+    assert sorted((r["vec_id"], r["n_links"], r["component_id"], r["kept"]) for r in got) == [(1, 1, 1, True), (2, 1, 1, False), (3, 0, 3, True)]
+
+
 def test_neighbour_descent_where_ids_repeat(spark):
     a, b, c = np.eye(4).tolist()[:3]
     rows = [(None, a), (None, b), (7, a), (7, c), (8, c), (9, b), (None, None)]
@@ -156,6 +217,33 @@ def test_byte_network_gradient():
         assert abs((losses[0] - losses[1]) / 2e-5 - g[k][at]) < 1e-4, k
 
 
+def test_prediction_equals_plain_convolution():
+    rng = np.random.default_rng(3)
+    net = langid.ByteNet(["a", "b", "c"], 4).tables()
+    x = rng.integers(32, 128, (7, 64)).astype(np.uint8)
+    want = []
+    for row in x:
+        e, pooled = net.p["e"][row].astype(np.float64), []
+        for w in langid.WIDTHS:
+            z = [[sum(e[t + j] @ net.p[f"w{w}"][j][:, f] for j in range(w)) + net.p[f"b{w}"][f] for f in range(langid.FILTERS)] for t in range(64 - w + 1)]
+            pooled += [max(0, v) for v in np.max(z, 0)]
+        z = np.array(pooled) @ net.p["o"] + net.p["c"]
+        want.append(np.exp(z) / np.exp(z).sum())
+    assert np.abs(net.predict(x) - np.array(want)).max() < 1e-4
+
+
+def test_language_of_many_labels_repeated_and_missing_ids(spark):
+    # 70 languages, one of which holds most rows, under one id or none
+    alphabet = [chr(0x4E00 + 40 * k) + chr(0x4E01 + 40 * k) for k in range(70)]
+    rows = [(None if k % 2 else 5, " ".join(rng.choice(alphabet[k]) * 3 for _ in range(60)), f"l{k}", "z") for rng in [random.Random(4)] for k in range(70) for _ in range(3 if k else 300)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string, lang_pred string").repartition(3)
+    net = langid.train(df, texts=700)
+    assert len(net.labels) == 70
+    got = langid.identify(df, net, ["doc_id"]).collect()
+    assert Counter(r["doc_id"] for r in got) == Counter(r[0] for r in rows) and all(0 <= r["score"] <= 1 for r in got)
+    assert langid.identify(df.limit(0), net, ["doc_id"]).count() == 0
+
+
 def removed(texts):
     seen = Counter(t[p : p + 200] for t in texts for p in range(len(t) - 199))
     out = []
@@ -294,6 +382,47 @@ def test_field(spark, empty):
     assert pii.find(empty, pii.train(empty)).count() == 0
 
 
+def test_marginals_of_a_tree_are_exact():
+    from itertools import product
+
+    rng = np.random.default_rng(8)
+    field = pii.Field()
+    field.pair = [rng.normal(size=(pii.LABELS, pii.LABELS)) for _ in range(2)]
+    edges = [np.array([[0, 1], [2, 3]]), np.array([[1, 3], [3, 4]])]  # chain and skip edges without a loop
+    scores = rng.normal(size=(5, pii.LABELS))
+    node, joint, kind = field.beliefs(scores, edges, 1e-9)
+    every = np.array(list(product(range(pii.LABELS), repeat=5)))
+    weight = sum(scores[i][every[:, i]] for i in range(5)) + sum(field.pair[k][every[:, a], every[:, b]] for k, own in enumerate(edges) for a, b in own)
+    weight = np.exp(weight - weight.max())
+    want = np.array([[weight[every[:, i] == v].sum() for v in range(pii.LABELS)] for i in range(5)]) / weight.sum()
+    assert np.abs(node - want).max() < 1e-6
+    pair = np.array([[weight[(every[:, 1] == u) & (every[:, 3] == v)].sum() for v in range(pii.LABELS)] for u in range(pii.LABELS)]) / weight.sum()
+    assert np.abs(joint[2] - pair).max() < 1e-6 and kind.tolist() == [0, 0, 1, 1]
+
+
+def test_secrets_of_letters_alone_and_their_repeats(spark):
+    rng = random.Random(16)
+    letters = lambda n: "".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(n))
+    texts = [f"{prose(rng, 6)} password: {w} {prose(rng, 30)} then {w} {prose(rng, 4)}" for w in [letters(14) for _ in range(80)]]
+    clean = [f"{prose(rng, 12)} token of esteem: {prose(rng, 9)}" for _ in range(40)]
+    df = spark.createDataFrame(list(enumerate(texts + clean)), "doc_id long, text string")
+    got = {r["doc_id"]: r["spans"] for r in pii.find(df, pii.train(df)).collect()}
+    for i, text in enumerate(texts):
+        word = text.split("password: ")[1].split()[0]
+        assert [text[int(a) : int(b)] for _, a, b in (s.split(":") for s in got[i].split(","))] == [word, word]
+    assert all(got[80 + i] == "" for i in range(40))
+
+
+def test_personal_data_in_very_long_texts_and_repeated_rows(spark):
+    filler = "ordinary words without anything " * 40_000
+    text = filler + "write to a.b@c.example.com now " + filler + "call +49 30 123456-78 " + filler
+    rows = [(1, text, 7), (1, text, 7), (None, text, None), (2, "x" * 200_000 + "@", 1)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, n_email long")
+    got = pii.find(df, pii.train(df, sample_bytes=1 << 20)).collect()
+    assert Counter((r["doc_id"], r["n_email"], r["n_phone"]) for r in got) == Counter([(1, 1, 1), (1, 1, 1), (None, 1, 1), (2, 0, 0)])
+    assert len({r["spans"] for r in got if r["doc_id"] != 2}) == 1
+
+
 def test_section_tokens(docs, rows, empty):
     import public_tokenizers as public
 
@@ -308,6 +437,71 @@ def test_section_tokens(docs, rows, empty):
     assert tokencount.allocate(ends, starts, 8, "share")[0].tolist() == [1.4, 0.6]
 
 
+@pytest.mark.parametrize("rule", ["start", "most", "share"])
+def test_section_tokens_against_plain_python(spark, rule):
+    import public_tokenizers as public
+
+    path = str(public.path("byte_bpe_50k.tiktoken"))
+    encoding, sizes = tokencount.load(path, public.PATTERN)
+    rng = random.Random(13)
+    texts = ["".join(rng.choice(["word", " ", "\n", "\n\n", "é", "12", "\t", "日本", "  \n "]) for _ in range(rng.randint(0, 60))) for _ in range(60)]
+
+    def plain(text, borders):
+        ends = np.cumsum([sizes[t] for t in encoding.encode(text, allowed_special="all")]).astype(int).tolist()
+        spans, out = list(zip(borders, [*borders[1:], len(text.encode())])), [0.0] * len(borders)
+        for a, b in zip([0, *ends], ends):
+            share = [max(0, min(b, q) - max(a, p)) / (b - a) for p, q in spans]
+            if rule == "share":
+                out = [x + y for x, y in zip(out, share)]
+            else:
+                out[next(k for k, y in enumerate(share) if y) if rule == "start" else share.index(max(share))] += 1
+        return out
+
+    df = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string")
+    got = {r["doc_id"]: r["section_tokens"] for r in tokencount.section_tokens(df, path, public.PATTERN, rule).collect()}
+    for i, t in enumerate(texts):
+        lines = t.encode().split(b"\n")
+        borders = [0]
+        for line in lines[:-1]:
+            borders.append(borders[-1] + len(line) + 1)
+        borders = [b for b in borders if b < len(t.encode())]
+        assert np.allclose(got[i], plain(t, borders)), t
+    # given sections, and fields that are encoded as one text
+    given = spark.createDataFrame([(1, "héllo wörld again", [0, 3, 8]), (2, "x", [0]), (3, None, [0]), (4, "abc", None)], "doc_id long, text string, at array<int>")
+    own = {r["doc_id"]: r["section_tokens"] for r in tokencount.section_tokens(given, path, public.PATTERN, rule, "at").collect()}
+    assert np.allclose(own[1], plain("héllo wörld again", [0, 4, 10])) and own[3] == [] and len(own[4]) == 1
+    fields = spark.createDataFrame([(1, "a title", None, "some body\ntext"), (2, "", "x", "")], "doc_id long, title string, note string, body string")
+    by = {r["doc_id"]: r for r in tokencount.field_tokens(fields, ["title", "note", "body"], path, public.PATTERN, rule).collect()}
+    whole = "a title\n\nsome body\ntext"
+    assert np.allclose([by[1]["fields"][f] for f in ("title", "note", "body")], plain(whole, [0, 8, 9]))
+    assert by[1]["n_tokens"] == len(encoding.encode(whole)) and sum(by[2]["fields"].values()) == by[2]["n_tokens"]
+
+
+def test_best_fit_choice():
+    rng = random.Random(14)
+    fit, bins, numbers = packing.BestFit(50, 6), [], 0
+    for _ in range(3000):
+        n = rng.randint(1, 50)
+        fitting = [b for b in bins if b[1] >= n]
+        number, offset = fit.add(n)
+        if fitting:
+            free = min(b[1] for b in fitting)
+            chosen = next(b for b in bins if b[0] == number)
+            assert chosen[1] == free
+        else:
+            if len(bins) >= 6:
+                least = min(b[1] for b in bins)
+                gone = [b for b in bins if b[1] == least and b[0] not in fit.open_numbers()]
+                bins.remove(gone[0])
+            chosen, numbers = [numbers, 50], numbers + 1
+            bins.append(chosen)
+        assert number == chosen[0] and offset == 50 - chosen[1]
+        chosen[1] -= n
+        if not chosen[1]:
+            bins.remove(chosen)
+        assert {b[0] for b in bins} == fit.open_numbers()
+
+
 def test_packing(docs, rows, empty):
     from tokenizers import Tokenizer
 
@@ -349,6 +543,36 @@ def test_main_text(spark):
     assert got[90]["text"] == got[91]["text"] == got[92]["text"] == ""
 
 
+LABELLED = [
+    ("<article><h1>Head</h1><p>one &lt;two&gt;\n three</p></article>", ["Head", "one <two> three"]),
+    ("<div class='content'><h2>Head</h2><svg class='i'/><p>one</p><template-part></template-part><p>two</p></div>", ["Head", "one", "two"]),
+    ("<main><p>one</p><select><p>two</p></main>", ["one", "two"]),
+    ("<article><p>one</p><noscript>no</noscript><p>two<p>three<ul><li>four<li>five</ul></article>", ["one", "two", "three", "four", "five"]),
+    ("<article><p>one</p><aside class='sidebar'><p>other</p></aside><p>two</p></article>", ["one", "two"]),
+    ("<article><p>one <b>bold</b> <a href=x>link</a>.</p><table><tr><td>cell</td></tr></table></article>", ["one bold link.", "cell"]),
+    ("<article><p>one</p><form><label>mail</label><input></form><p>two</p></article><section class='comments'><div class='comment'>said</div></section>", ["one", "two"]),
+    ("<div class='post'>" + "<div>" * 300 + "<p>deep</p>" + "</div>" * 300 + "<p>after</p></div>", ["deep", "after"]),
+    ("<article><blockquote>quoted</blockquote><pre>code  here</pre><!-- <p>hidden</p> --><p>end</p></article>", ["quoted", "code here", "end"]),
+    ("<article><p>one<script>var a = '<p>x</p>';</script></p><style>p {}</style><object-view>two</object-view></article>", ["one", "two"]),
+]
+
+
+def test_labelled_pages(spark):
+    rng = random.Random(17)
+    around = lambda main, n: f"<html><head><title>t{n}</title></head><body><header class='site'><nav><ul><li><a href=x>home</a><li><a href=y>news</a></ul></nav></header><div class='cookie-notice'><p>we use cookies {n}</p></div>{main}<div class='ad'>buy {n}</div><aside><ul><li><a href=z>related {n}</a></ul></aside><footer><p>&copy; {n} all rights</p></footer></body></html>"
+    train = spark.createDataFrame([(i, "u", around(f"<article><h1>{prose(rng, 4)}</h1>" + "".join(f"<p>{prose(rng, rng.randint(5, 30))}.</p>" for _ in range(rng.randint(1, 6))) + "</article>", i)) for i in range(120)], "page_id long, url string, html string")
+    net = html.train(train)
+    rows = [(i, "u", around(page, i), "clash", -1) for i, (page, _) in enumerate(LABELLED)]
+    rows += [rows[0], (None, None, rows[1][2], None, None), (99, "u", None, None, None), (99, "u", "", None, None)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string, text string, n_chars long")
+    got = html.main_text(df, net).collect()
+    want = Counter((i, "\n\n".join(blocks)) for i, (_, blocks) in enumerate(LABELLED))
+    want.update([(0, "\n\n".join(LABELLED[0][1])), (None, "\n\n".join(LABELLED[1][1])), (99, ""), (99, "")])
+    assert Counter((r["page_id"], r["text"]) for r in got) == want
+    assert all(r["n_chars"] == len(r["text"]) for r in got)
+    assert html.main_text(df.limit(0), html.train(df.limit(0))).count() == 0
+
+
 def test_blocks_behind_empty_and_custom_elements():
     texts = lambda page: [b[1] for b in html.blocks_of(page)]
     for part in ("<svg class='i'/>", "<svg-icon></svg-icon>", "<template-part/>", "<select-box>", "<object-view>", "<iframe src='x'/>", "<canvas />", "<object>", "<svg title='a>b'>x</svg>"):
@@ -437,3 +661,32 @@ def test_pipeline_stages(spark, rows, tmp_path):
     assert seen["personal_data"][202].endswith("[EMAIL]")
     pieces = corpus_pipeline.pack(spark, docs, str(tmp_path))
     assert {r["doc_id"] for r in pieces.collect()} == set(seen["personal_data"])
+
+
+def test_pipeline_stages_on_empty_and_odd_tables(spark, tmp_path):
+    """Nulls in every column, rows without an id, repeated rows, an empty table, clashing column names."""
+    rng = random.Random(18)
+    texts = [prose(rng, 40) for _ in range(6)]
+    odd = [(None, None, None, None, None, 1, "a"), (None, texts[0], None, None, None, 1, None), (None, texts[1], "en", "s", 3, 1, "a"), (1, texts[0], "en", "s", None, 1, "a"), (1, texts[0], "en", "s", None, 1, "a"), (2, "", "en", "s", 0, 1, "a"), (3, texts[2] + " x@y.example.org", "en", None, 3, 1, "a"), *((10 + i, t, "en", "s", 1, 2, "b") for i, t in enumerate(texts[3:]))]
+    kind = "doc_id long, text string, lang string, source string, n_chars long, shard int, component_id string"
+    spark.createDataFrame([], "item_id string, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    for rows in (odd, []):
+        docs = spark.createDataFrame(rows, kind)
+        for name, stage in corpus_pipeline.STAGES:
+            docs = corpus_pipeline.Scratch(spark, "test").table(name, stage(spark, docs, str(tmp_path)))
+            if name != "packing":
+                assert docs.columns == list(corpus_pipeline.COLUMNS), name
+                docs = docs.withColumns({"shard": F.lit(1), "component_id": F.lit("z")})
+            if name == "near_duplicates" and rows:
+                assert Counter(r["text"] for r in docs.collect()) == Counter(t for t in {r[1] for r in odd} if t)
+        assert (docs.count() > 0) == bool(rows)
+
+
+def test_components_of_a_long_chain(spark):
+    from intervalrules.llm import graph
+
+    n = 300
+    order = random.Random(19).sample(range(n), n)
+    edges = spark.createDataFrame([(order[k], order[k + 1]) for k in range(n - 1)] + [(1000, 1001)], "a long, b long")
+    got = {r["id"]: r["component"] for r in graph.components(edges, neardup.Scratch(spark, "test")).collect()}
+    assert got == {k: 0 for k in range(n)} | {1000: 1000, 1001: 1000}
