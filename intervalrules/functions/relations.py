@@ -65,44 +65,75 @@ def shared_length(a_st: Column, a_ft: Column, b_st: Column, b_ft: Column) -> Col
 
 
 def number(digits: Column) -> Column:
-    """Array of digits, highest first, to a LONG (22 digits at most)."""
+    """Array of digits, highest first, to a LONG (22 digits at most; limbs() has no limit)."""
     return F.aggregate(digits, F.lit(0).cast("bigint"), lambda acc, d: acc * BASE + d)
 
 
-def wide_number(digits: Column) -> Column:
-    """As number, for up to 44 digits."""
-    return F.aggregate(digits, F.lit(0).cast("decimal(38,0)"), lambda acc, d: (acc * BASE + d).cast("decimal(38,0)"))
-
-
 def power(j: Column | int) -> Column:
     table = F.array(*[F.lit(BASE**k).cast("bigint") for k in range(LONG_DIGITS + 1)])
     return F.element_at(table, (F.lit(j) if isinstance(j, int) else j).cast("int") + 1)
 
 
 def digits(num: Column, k: Column) -> Column:
-    """The k digits of a number, highest first."""
+    """The k digits of a LONG, highest first."""
     at = F.when(k > 0, F.sequence(k.cast("int") - 1, F.lit(0))).otherwise(F.array().cast("array<int>"))
     return F.transform(at, lambda i: (F.call_function("div", num, power(i)) % BASE).cast("int"))
 
 
-def n_digits(num: Column, most: int) -> Column:
+# A number of any length is an array of LONGs, its limbs: 22 digits each, the highest limb first and maybe shorter. Up to 22 digits it is one limb.
+
+
+def limbs(digits_: Column) -> Column:
+    n = F.size(digits_)
+    places = F.when(n > 0, F.sequence(F.ceil(n / LONG_DIGITS).cast("int") - 1, F.lit(0))).otherwise(F.array().cast("array<int>"))
+    head = lambda i: F.greatest(F.lit(1), n - (i + 1) * LONG_DIGITS + 1)
+    return F.transform(places, lambda i: number(F.slice(digits_, head(i), n - i * LONG_DIGITS - head(i) + 1)))
+
+
+def limb_digits(limbs_: Column, k: Column) -> Column:
+    """The k digits of a number in limbs."""
+    return F.flatten(F.transform(limbs_, lambda v, i: digits(v, F.when(i == 0, k - (F.size(limbs_) - 1) * LONG_DIGITS).otherwise(LONG_DIGITS))))
+
+
+def limbs_before(n: Column) -> Column:
+    """Limbs of the numbers of the first n intervals together (the first interval has no number)."""
+    full, rest = F.floor((n - 1) / LONG_DIGITS), (n - 1) % LONG_DIGITS
+    return F.greatest(F.lit(0), LONG_DIGITS // 2 * full * (full + 1) + rest * (full + 1)).cast("int")
+
+
+def limbs_at(rel: Column, j: Column) -> Column:
+    """The limbs of interval j >= 2 of a relation list."""
+    return F.slice(rel, limbs_before(j - 1) + 1, F.ceil((j - 1) / LONG_DIGITS).cast("int"))
+
+
+def triangle(rel: Column, n: Column) -> Column:
+    """The digits of each number of a relation list of n intervals."""
+    at = F.when(n > 1, F.sequence(F.lit(2), n.cast("int"))).otherwise(F.array().cast("array<int>"))
+    return F.transform(at, lambda j: limb_digits(limbs_at(rel, j), j - 1))
+
+
+def tail_digits(digits_: Column) -> Column:
     """Digits left after leading zeros."""
+    first = F.array_position(F.transform(digits_, lambda d: (d != 0).cast("int")), 1)
+    return F.when(first > 0, F.size(digits_) - first + 1).otherwise(0).cast("int")
+
+
+def n_digits(num: Column, most: int) -> Column:
+    """As tail_digits, of a LONG that has at most `most` digits."""
     out = F.lit(0)
-    for k in range(most):
+    for k in range(min(most, LONG_DIGITS)):
         out = out + (num >= F.lit(BASE**k)).cast("int")
     return out
 
 
-def letters(rel: Column) -> Column:
-    """'b;bo' for the numbers of the second, third ... interval."""
-    parts = F.transform(rel, lambda num, i: F.array_join(F.transform(digits(num, i + 1), letter), ""))
-    return F.array_join(parts, ";")
+def letters(rel: Column, n: Column) -> Column:
+    """'b;bo' for the numbers of the second, third ... of n intervals."""
+    return F.array_join(F.transform(triangle(rel, n), lambda own: F.array_join(F.transform(own, letter), "")), ";")
 
 
-def subscript(rel: Column) -> Column:
+def subscript(rel: Column, n: Column) -> Column:
     """Base-7 text of each number with its subscript, e.g. '0₇,02₇'."""
-    parts = F.transform(rel, lambda num, i: F.concat(F.array_join(digits(num, i + 1), ""), F.lit("₇")))
-    return F.array_join(parts, ",")
+    return F.array_join(F.transform(triangle(rel, n), lambda own: F.concat(F.array_join(own, ""), F.lit("₇"))), ",")
 
 
 def digits_against(earlier: Column, st: Column, ft: Column) -> Column:
@@ -113,7 +144,7 @@ def digits_against(earlier: Column, st: Column, ft: Column) -> Column:
 def append_number(earlier: Column, previous: Column, st: Column, ft: Column, most: int, zero_carry: bool = True) -> Column:
     """Number of a new last interval. With zero carry, intervals that lie before the previous one are not compared again.
 
-    earlier: array of (st, ft); previous: number of its last element; most: upper bound of the digits.
+    earlier: array of (st, ft); previous: number of its last element; most: upper bound of the digits (22; limbs(digits_against()) has none).
     """
     if zero_carry:
         tail = n_digits(previous, most)
@@ -134,8 +165,9 @@ def matrix(intervals: Column) -> Column:
     return F.transform(at, lambda j: F.transform(F.slice(intervals, 1, j - 1), lambda q: digit(q["st"], q["ft"], F.element_at(intervals, j)["st"], F.element_at(intervals, j)["ft"])))
 
 
-def matrix_numbers(triangle: Column) -> Column:
-    return F.transform(triangle, number)
+def matrix_numbers(triangle_: Column) -> Column:
+    """The relation list of a triangle, of any size."""
+    return F.flatten(F.transform(triangle_, limbs))
 
 
 def sparse(triangle: Column) -> Column:
@@ -145,9 +177,11 @@ def sparse(triangle: Column) -> Column:
 
 
 def split_area(previous: Column, k: Column) -> Column:
-    """(earlier, checking): places of intervals before the previous one, and those to be compared with a new one. k: place of the previous one."""
-    own = digits(previous, k - 1)
-    lead = F.coalesce(F.nullif(F.array_position(F.transform(own, lambda d: (d != 0).cast("int")), 1), F.lit(0)) - 1, F.size(own).cast("bigint"))
+    """(earlier, checking): places of intervals before the previous one, and those to be compared with a new one.
+
+    previous: limbs of the previous interval's number; k: its place.
+    """
+    lead = k - 1 - tail_digits(limb_digits(previous, k - 1))
     at = F.sequence(F.lit(1), k.cast("int"))
     return F.struct(F.filter(at, lambda i: i <= lead).alias("earlier"), F.filter(at, lambda i: i > lead).alias("checking"))
 

@@ -6,7 +6,6 @@ import json
 
 import pandas as pd
 from pyspark.sql import SparkSession
-from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.functions import pandas_udf, udtf
 
@@ -59,5 +58,3 @@ def mine_rules(spark: SparkSession, view: str, **options):
 
     return search.mine(spark.table(view), **options).rules
 
-
-__all__ = ["F", "mine_rules", "register", "relation"]

@@ -91,6 +91,65 @@ def patterns(name: str, cap: int, having: str) -> str:
     return f"WITH {log(name)},\n{IV},\n{levels(cap)},\nbest AS (SELECT sid, pattern, max(u) AS u FROM ({every}) GROUP BY 1, 2)\nSELECT pattern, CAST(count(*) AS BIGINT) AS support, CAST(sum(u) AS BIGINT) AS utility FROM best GROUP BY 1 HAVING {having}"
 
 
+
+
+def _family(cap: int) -> str:
+    """fam: occurrences of all rules with their parent, the class in which they were formed and the bound that counts in it.
+
+    The parent of a rule of one consequent lacks the last antecedent interval, that of any other rule its last consequent interval.
+    """
+    out = []
+    for m in range(2, cap + 1):
+        for k in range(1, m):
+            left = m - k == 1
+            grown = k if left else m  # place of the last joined interval; the class is its symbol and digit to the one before it on its side
+            key = f"array_to_string(s[1:{k}], ',') || '>' || array_to_string(s[{k + 1}:{m}], ',') || '|' || array_to_string(n, ',')"
+            if m == 2:
+                parent, cls = "''", "''"
+            elif left:
+                parent = f"array_to_string(s[1:{k - 1}], ',') || '>' || s[{m}] || '|' || array_to_string(list_append(n[1:{k - 2}], n[{m - 1}] // 7), ',')"
+            else:
+                parent = f"array_to_string(s[1:{k}], ',') || '>' || array_to_string(s[{k + 1}:{m - 1}], ',') || '|' || array_to_string(n[1:{m - 2}], ',')"
+            if m > 2:
+                cls = f"s[{grown}] || '/' || {digit(f'st{grown - 1}', f'ft{grown - 1}', f'st{grown}', f'ft{grown}')}"
+            out.append(
+                f"SELECT l.sid, {m} AS size, {m - k} AS ny, {key} AS rule, {parent} AS parent, {'TRUE' if left else 'FALSE'} AS to_left, {cls} AS class, l.u, "
+                f"l.u + greatest(a.tail - (t.tail + t.u), 0) + b.tail AS ob, l.u + b.tail AS rb, array_to_string(s[1:{k}], ',') || '|' || array_to_string(n[1:{k - 1}], ',') AS ante "
+                f"FROM L{m} l JOIN iv a ON a.sid = l.sid AND a.p = l.places[{k}] JOIN iv y ON y.sid = l.sid AND y.p = l.places[{k + 1}] JOIN iv t ON t.sid = l.sid AND t.p = y.tie JOIN iv b ON b.sid = l.sid AND b.p = l.places[{m}] "
+                f"WHERE st{k} < st{k + 1} AND NOT list_has_any(s[1:{k}], s[{k + 1}:{m}])"
+            )
+    antes = " UNION ALL ".join(f"SELECT sid, array_to_string(s, ',') || '|' || array_to_string(n, ',') AS ante FROM L{k}" for k in range(1, cap))
+    return "fam AS (" + "\nUNION ALL ".join(out) + f"),\nante AS (SELECT ante, count(DISTINCT sid) AS n_ante FROM ({antes}) GROUP BY 1)"
+
+
+def sweep(name: str, ratios, variants, minconf: float, cap: int) -> str:
+    """Candidates, rules and bytes of each threshold and variant. No symbol is removed at these thresholds."""
+    bars = ", ".join(f"({round(r * 1_000_000)}, (SELECT CAST(ceil({r} * sum(u)) AS BIGINT) FROM log))" for r in ratios)
+    ctes = [
+        log(name), IV, levels(cap), _family(cap),
+        f"bar AS (SELECT * FROM (VALUES {bars}) t(ppm, bar))",
+        "rule_of AS (SELECT rule, parent, size, ny, to_left, class, CAST(sum(u) AS BIGINT) AS utility, count(*) AS n_rule, sum(ob) AS ob, sum(rb) AS rb, any_value(ante) AS ante FROM (SELECT sid, rule, parent, size, ny, to_left, class, ante, max(u) AS u, max(ob) AS ob, max(rb) AS rb FROM fam GROUP BY ALL) GROUP BY rule, parent, size, ny, to_left, class)",
+        "rated AS (SELECT rule_of.*, n_ante FROM rule_of JOIN ante USING (ante))",
+        "by_class AS (SELECT parent, to_left, class, sum(b) AS bound FROM (SELECT sid, parent, to_left, class, max(CASE WHEN to_left THEN ob ELSE rb END) AS b FROM fam WHERE size > 2 GROUP BY ALL) GROUP BY ALL)",
+        "by_symbol AS (SELECT parent, to_left, symbol, sum(b) AS bound FROM (SELECT sid, parent, to_left, split_part(class, '/', 1) AS symbol, max(CASE WHEN to_left THEN ob ELSE rb END) AS b FROM fam WHERE size > 2 GROUP BY ALL) GROUP BY ALL)",
+    ]
+    selects = []
+    for kind, table, cond in (("budget", "by_class", "c.class = r.class"), ("plain", "by_symbol", "c.symbol = split_part(r.class, '/', 1)")):
+        ctes.append(f"{kind}2 AS (SELECT bar.ppm, bar.bar, r.* FROM rated r, bar WHERE size = 2)")
+        for m in range(3, cap + 1):
+            ctes.append(
+                f"{kind}{m} AS (SELECT p.ppm, p.bar, r.* FROM rated r JOIN {kind}{m - 1} p ON p.rule = r.parent JOIN {table} c ON c.parent = r.parent AND c.to_left = r.to_left AND {cond} "
+                f"WHERE r.size = {m} AND c.bound >= p.bar AND CASE WHEN r.to_left THEN p.ny = 1 AND p.ob >= p.bar ELSE p.rb >= p.bar AND p.n_rule * 1000000 >= p.n_ante * {round(minconf * 1_000_000)} END)"
+            )
+        ctes.append(f"{kind} AS (" + " UNION ALL ".join(f"SELECT ppm, count(*) AS n FROM {kind}{m} GROUP BY ppm" for m in range(2, cap + 1)) + ")")
+    good = f"SELECT ppm, rule, utility, size FROM rated, bar WHERE utility >= bar AND n_rule * 1000000 >= n_ante * {round(minconf * 1_000_000)}"
+    ctes.append(f"found AS (SELECT ppm, count(*) AS rules, sum(length(rule) + length(CAST(utility AS VARCHAR)) + 27) AS base7, sum(length(split_part(rule, '|', 1)) + size * (size - 1) + length(CAST(utility AS VARCHAR)) + 27) AS matrix FROM ({good}) GROUP BY ppm)")
+    for variant in variants:
+        kind = "plain" if variant in ("no_budget", "neither") else "budget"
+        selects.append(f"SELECT '{name}' AS log, CAST(bar.ppm AS BIGINT) AS minutil_ppm, '{variant}' AS variant, CAST((SELECT sum(n) FROM {kind} k WHERE k.ppm = bar.ppm) AS BIGINT) AS candidates, CAST(coalesce(rules, 0) AS BIGINT) AS rules, CAST(coalesce(base7, 0) AS BIGINT) AS bytes_base7, CAST(coalesce(matrix, 0) AS BIGINT) AS bytes_matrix FROM bar LEFT JOIN found USING (ppm)")
+    return "WITH " + ",\n".join(ctes) + "\n" + "\nUNION ALL ".join(selects)
+
+
 PAIRS = "pairs AS (SELECT a.sid, a.p AS pa, b.p AS pb, a.sym AS sa, b.sym AS sb, " + digit("a.st", "a.ft", "b.st", "b.ft") + " AS d, a.u + b.u AS u, a.tail AS ta, b.tail AS tb, b.tie AS tie, a.st < b.st AND a.sym <> b.sym AS ok FROM iv a JOIN iv b ON a.sid = b.sid AND a.p < b.p)"
 # occurrences of one-to-one rules with reserves
 ROOTS = "roots AS (SELECT r.*, greatest(r.ta - (t.tail + t.u), 0) AS lr, r.tb AS rr FROM pairs r JOIN iv t ON t.sid = r.sid AND t.p = r.tie WHERE ok)"

@@ -5,7 +5,6 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions import relations as R
 from ..functions import sqlfuncs
 from ..plans import model, search, timelines
 from ..sources import formats
@@ -54,11 +53,17 @@ for _name, _hint in (("join_broadcast", "broadcast"), ("join_sort_merge", "merge
 BIN = 90
 
 
-@query("join_interval_overlap", f"WITH {SPANS}, s AS (SELECT log.*, c_nationkey AS n FROM log JOIN customer ON c_custkey = sid WHERE st >= 365 AND st < 730) SELECT a.n AS nation, CAST(count(*) AS BIGINT) AS pairs FROM s a JOIN s b ON a.n = b.n AND a.sid < b.sid AND a.st < b.ft AND b.st < a.ft GROUP BY a.n")
-def join_interval_overlap(spark, d):
-    """Overlapping spans of different customers of a nation: an equi-join on time bins, each pair kept in the bin where it starts to overlap."""
+@query("join_interval_overlap", f"WITH {SPANS}, s AS (SELECT log.*, c_nationkey AS n FROM log JOIN customer ON c_custkey = sid) SELECT a.n AS nation, CAST(count(*) AS BIGINT) AS pairs FROM s a JOIN s b ON a.n = b.n AND a.sid < b.sid AND a.st < b.ft AND b.st < a.ft GROUP BY a.n")
+def join_interval_overlap(spark, d, first: int | None = None, last: int | None = None):
+    """Overlapping spans of different customers of a nation: an equi-join on time bins, each pair kept in the bin where it starts to overlap.
+
+    first, last: days between which spans must start, all of them unless given.
+    """
     nations = T.table(spark, d, "customer").select(F.col("c_custkey").alias("sid"), F.col("c_nationkey").alias("nation"))
-    own = spans(spark, d).filter("st >= 365 AND st < 730").join(nations, "sid").select("sid", "nation", "st", "ft")
+    own = spans(spark, d)
+    own = own if first is None else own.filter(F.col("st") >= first)
+    own = own if last is None else own.filter(F.col("st") < last)
+    own = own.join(nations, "sid").select("sid", "nation", "st", "ft")
     bins = own.withColumn("bin", F.explode(F.sequence(F.expr(f"st DIV {BIN}"), F.expr(f"(ft - 1) DIV {BIN}"))))
     a, b = bins.alias("a"), bins.alias("b")
     first = F.expr(f"greatest(a.st, b.st) DIV {BIN}")
@@ -112,7 +117,7 @@ def join_lateral_top(spark, d):
 
 def dimensioned(spark, d) -> DataFrame:
     c = T.table(spark, d, "customer").select(F.col("c_custkey").alias("sid"), "c_mktsegment", F.col("c_nationkey").alias("n_nationkey"))
-    n = F.broadcast(T.table(spark, d, "nation").select("n_nationkey", "n_name"))
+    n = T.table(spark, d, "nation").select("n_nationkey", "n_name")
     return spans(spark, d).join(c, "sid").join(n, "n_nationkey").select("c_mktsegment", "n_name", "sym", "u")
 
 
@@ -285,14 +290,15 @@ def math_ops(spark, d):
 
 @query("array_ops", O.on("short_order_spans", "SELECT sid, string_agg(sym, ',' ORDER BY p) AS syms, CAST(count(DISTINCT sym) AS INT) AS kinds, CAST(sum(u) AS BIGINT) AS total, bool_or(ft - st > 60) AS some_long, string_agg(CASE WHEN ft - st > 60 THEN CAST(p AS VARCHAR) END, ',' ORDER BY p) AS long_at FROM iv GROUP BY sid"))
 def array_ops(spark, d):
-    log, codes = search.prepare(T.short_order_spans(spark, d))
-    of = F.array(*[F.lit(r["sym"]) for r in codes.orderBy("code").collect()])
+    log = model.clean(T.short_order_spans(spark, d)).good
     iv = F.col("iv")
     long_at = F.array_join(F.transform(F.filter(iv, lambda e: e["ft"] - e["st"] > 60), lambda e: e["pos"].cast("string")), ",")
-    return timelines.arrays(log, search.partitions(log)).select(
+    lines = log.groupBy("sid").agg(F.array_sort(F.collect_list(F.struct("st", "ft", "sym", "u"))).alias("iv"))
+    lines = lines.withColumn("iv", F.transform("iv", lambda e, k: F.struct((k + 1).alias("pos"), e["st"].alias("st"), e["ft"].alias("ft"), e["sym"].alias("sym"), e["u"].alias("u"))))
+    return lines.select(
         "sid",
-        F.array_join(F.transform(iv, lambda e: F.element_at(of, e["code"])), ",").alias("syms"),
-        F.size(F.array_distinct(F.transform(iv, lambda e: e["code"]))).alias("kinds"),
+        F.array_join(F.transform(iv, lambda e: e["sym"]), ",").alias("syms"),
+        F.size(F.array_distinct(F.transform(iv, lambda e: e["sym"]))).alias("kinds"),
         F.aggregate(iv, F.lit(0).cast("long"), lambda acc, e: acc + e["u"]).alias("total"),
         F.exists(iv, lambda e: e["ft"] - e["st"] > 60).alias("some_long"),
         F.nullif(long_at, F.lit("")).alias("long_at"),
@@ -331,5 +337,3 @@ def udtf_occurrences(spark, d):
     timelines.arrays(log, search.partitions(log)).createOrReplaceTempView("short_lines")
     return spark.sql("SELECT sid, first_pos, second_pos FROM short_lines, LATERAL rule_occurrences(to_json(iv), 2)")
 
-
-__all__ = ["ORACLES", "QUERIES", "R"]

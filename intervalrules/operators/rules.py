@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..functions import relations as R
 from ..plans import baselines, bounds, ledger, match, measures, model, report, search, timelines
+from ..plans.scratch import Tables
 from ..plans.search import KEY
 from ..plans.variants import VARIANTS
 from ..sources import synth
@@ -40,7 +41,7 @@ def coded(spark, sf_dir: str, name: str) -> tuple[DataFrame, DataFrame]:
 def flat(spark, sf_dir: str, name: str) -> DataFrame:
     """Intervals with position, tail, tie and symbol."""
     log, codes = coded(spark, sf_dir, name)
-    return timelines.flat(log).join(F.broadcast(codes), "code")
+    return timelines.items(log, search.partitions(log)).join(codes, "code")
 
 
 def arrays(spark, sf_dir: str, name: str) -> DataFrame:
@@ -49,13 +50,17 @@ def arrays(spark, sf_dir: str, name: str) -> DataFrame:
 
 
 def pairs(spark, sf_dir: str, name: str) -> DataFrame:
-    """Ordered pairs of each timeline from the arrays, without a self-join."""
-    codes = dict((r["code"], r["sym"]) for r in coded(spark, sf_dir, name)[1].collect())
-    names = F.array(*[F.lit(codes[k]) for k in sorted(codes)])
-    rows = arrays(spark, sf_dir, name).select("sid", "iv", F.explode("iv").alias("a"))
-    rows = rows.select("sid", "a", F.explode(F.expr("slice(iv, a.pos + 1, size(iv))")).alias("b"))
-    a, b = F.col("a"), F.col("b")
-    return rows.select("sid", a["pos"].alias("pa"), b["pos"].alias("pb"), F.element_at(names, a["code"]).alias("sa"), F.element_at(names, b["code"]).alias("sb"), R.digit(a["st"], a["ft"], b["st"], b["ft"]).alias("d"), "a", "b")
+    """Ordered pairs of each timeline, by a merge join on the timeline."""
+    items = flat(spark, sf_dir, name).select("sid", "pos", "sym", "st", "ft")
+    a, b = (items.select("sid", *[F.col(c).alias(f"{p}_{c}") for c in items.columns[1:]]) for p in "ab")
+    rows = a.join(b, "sid").filter("a_pos < b_pos")
+    return rows.select("sid", F.col("a_pos").alias("pa"), F.col("b_pos").alias("pb"), F.col("a_sym").alias("sa"), F.col("b_sym").alias("sb"), R.digit(F.col("a_st"), F.col("a_ft"), F.col("b_st"), F.col("b_ft")).alias("d"))
+
+
+def sorted_points(spark, sf_dir: str, name: str) -> DataFrame:
+    """sid and p, the ends of its intervals in order (intervals with equal ends have the same relations, in whatever order)."""
+    log = model.clean(T.LOGS[name](spark, sf_dir)).good
+    return log.groupBy("sid").agg(F.array_sort(F.collect_list(F.struct("st", "ft"))).alias("p"))
 
 
 def log_columns(df: DataFrame) -> DataFrame:
@@ -113,9 +118,12 @@ MIX_LOGS = ("order_spans", "short_order_spans", "quarter_spans", "items_by_type"
 
 @query("relation_mix", " UNION ALL ".join(f"SELECT '{n}' AS log, d, CAST(count(*) AS BIGINT) AS n FROM ({O.on(n, 'SELECT d FROM pairs', O.PAIRS)}) GROUP BY d" for n in MIX_LOGS))
 def relation_mix(spark, d):
+    """Digit counts of all ordered pairs; a timeline's digits are counted where its intervals are."""
     out = None
     for name in MIX_LOGS:
-        own = pairs(spark, d, name).groupBy("d").agg(F.count(F.lit(1)).alias("n")).select(F.lit(name).alias("log"), "d", "n")
+        of = lambda j, b: F.transform(F.slice("p", 1, j), lambda a: R.digit(a["st"], a["ft"], b["st"], b["ft"]))
+        digits = sorted_points(spark, d, name).select(F.explode(F.flatten(F.transform("p", lambda b, j: of(j, b)))).alias("d"))
+        own = digits.groupBy("d").agg(F.count(F.lit(1)).alias("n")).select(F.lit(name).alias("log"), "d", "n")
         out = own if out is None else out.unionByName(own)
     return out
 
@@ -134,35 +142,47 @@ def relation13_pairs(spark, d):
 
 
 def numbered(spark, d, name="quarter_spans"):
-    """sid, pos, num, k: the number of every interval against all earlier ones of its timeline (at most 20 intervals)."""
-    rows = arrays(spark, d, name).filter("size(iv) <= 20").select("sid", "iv", F.explode("iv").alias("e")).filter("e.pos > 1")
-    return rows.select("sid", F.col("e.pos").alias("pos"), R.number(R.digits_against(F.expr("slice(iv, 1, e.pos - 1)"), F.col("e.st"), F.col("e.ft"))).alias("num"))
+    """sid, pos, num (limbs), digits: the number of every interval against all earlier ones of its timeline, however long."""
+    rows = arrays(spark, d, name).select("sid", "iv", F.explode("iv").alias("e")).filter("e.pos > 1")
+    own = R.digits_against(F.expr("slice(iv, 1, e.pos - 1)"), F.col("e.st"), F.col("e.ft"))
+    return rows.select("sid", F.col("e.pos").alias("pos"), R.limbs(own).alias("num"))
 
 
-NUMBERS = O.PAIRS + ",\nnums AS (SELECT sid, CAST(pb AS INT) AS pos, CAST(sum(d * CAST(7 ** (pb - 1 - pa) AS HUGEINT)) AS BIGINT) AS num, string_agg(CAST(d AS VARCHAR), '' ORDER BY pa) AS text FROM pairs WHERE sid IN (SELECT sid FROM iv GROUP BY sid HAVING count(*) <= 20) GROUP BY sid, pb)"
+def back(k):
+    """The digits of num, decoded."""
+    return R.limb_digits(F.col("num"), k)
+
+
+# num: limbs of 22 digits, the highest first
+_POWER = "CAST([" + ", ".join(str(7**k) for k in range(22)) + "][(pb - 1 - pa) % 22 + 1] AS HUGEINT)"
+NUMBERS = (
+    O.PAIRS
+    + f",\nlimbs AS (SELECT sid, pb, (pb - 1 - pa) // 22 AS place, CAST(sum(d * {_POWER}) AS BIGINT) AS v, string_agg(CAST(d AS VARCHAR), '' ORDER BY pa) AS part FROM pairs GROUP BY ALL)"
+    + ",\nnums AS (SELECT sid, CAST(pb AS INT) AS pos, string_agg(CAST(v AS VARCHAR), ',' ORDER BY place DESC) AS num, string_agg(part, '' ORDER BY place DESC) AS text FROM limbs GROUP BY sid, pb)"
+)
 
 
 @query("relation_numbers", O.on("quarter_spans", "SELECT sid, pos, num FROM nums", NUMBERS))
 def relation_numbers(spark, d):
-    return numbered(spark, d)
+    return numbered(spark, d).withColumn("num", F.array_join(F.col("num").cast("array<string>"), ","))
 
 
 @query("relation_digits_back", O.on("quarter_spans", "SELECT sid, pos, text FROM nums", NUMBERS))
 def relation_digits_back(spark, d):
-    return numbered(spark, d).select("sid", "pos", F.array_join(R.digits(F.col("num"), F.col("pos") - 1), "").alias("text"))
+    return numbered(spark, d).select("sid", "pos", F.array_join(back(F.col("pos") - 1), "").alias("text"))
 
 
 @query("relation_letters", O.on("quarter_spans", "SELECT sid, pos, translate(text, '0123456', 'bmocfse') AS text FROM nums", NUMBERS))
 def relation_letters(spark, d):
-    return numbered(spark, d).select("sid", "pos", F.array_join(F.transform(R.digits(F.col("num"), F.col("pos") - 1), R.letter), "").alias("text"))
+    return numbered(spark, d).select("sid", "pos", F.array_join(F.transform(back(F.col("pos") - 1), R.letter), "").alias("text"))
 
 
 def carried(spark, d):
     """sid, pos, compared pairs of each interval with and without zero carry."""
     rows = numbered(spark, d, "items_by_type")
     own = Window.partitionBy("sid").orderBy("pos")
-    before = F.coalesce(F.lag("num").over(own), F.lit(0))
-    return rows.withColumns({"compared": R.n_digits(before, 20) + 1, "pairs": F.col("pos") - 1})
+    before = F.coalesce(F.lag(R.tail_digits(back(F.col("pos") - 1))).over(own), F.lit(0))
+    return rows.withColumns({"compared": before + 1, "pairs": F.col("pos") - 1})
 
 
 @query("zero_carry_pairs_saved", O.on("items_by_type", "SELECT CAST(sum(pos - 1) AS BIGINT) AS pairs, CAST(sum(1 + coalesce(length(ltrim(prev, '0')), 0)) AS BIGINT) AS compared FROM (SELECT sid, pos, lag(text) OVER (PARTITION BY sid ORDER BY pos) AS prev FROM nums)", NUMBERS))
@@ -210,10 +230,10 @@ def octal_layout(spark, d):
     return rows.select("sid", F.array_join(F.transform(R.matrix(F.col("iv")), lambda r: R.pack8(r).cast("string")), ",").alias("text"))
 
 
-@query("layout_bytes", O.on("quarter_spans", "SELECT CAST(sum(length(m)) AS BIGINT) AS matrix_bytes, CAST(sum(length(CAST(num AS VARCHAR))) AS BIGINT) AS base7_bytes FROM (SELECT num, array_to_string(string_split(text, ''), ',') AS m FROM nums)", NUMBERS))
+@query("layout_bytes", O.on("quarter_spans", "SELECT CAST(sum(length(m)) AS BIGINT) AS matrix_bytes, CAST(sum(length(num)) AS BIGINT) AS base7_bytes FROM (SELECT num, array_to_string(string_split(text, ''), ',') AS m FROM nums)", NUMBERS))
 def layout_bytes(spark, d):
     rows = numbered(spark, d)
-    return rows.agg(F.sum(F.octet_length(F.array_join(R.digits(F.col("num"), F.col("pos") - 1), ","))).cast("long").alias("matrix_bytes"), F.sum(F.octet_length(F.col("num").cast("string"))).cast("long").alias("base7_bytes"))
+    return rows.agg(F.sum(F.octet_length(F.array_join(back(F.col("pos") - 1), ","))).cast("long").alias("matrix_bytes"), F.sum(F.octet_length(F.array_join(F.col("num").cast("array<string>"), ","))).cast("long").alias("base7_bytes"))
 
 
 # ---- weights and bounds ----
@@ -233,27 +253,27 @@ def symbol_own_utility(spark, d):
 
 
 def _rounds(n: int) -> str:
-    """Unrolled removal: each round drops symbols whose weight is below 16.4 % of the total utility."""
+    """Unrolled removal: each round drops symbols whose weight is below 14.687 % of the total utility (two rounds at sf0.01)."""
     out = [O.log("items_by_brand").replace("log AS", "r0 AS", 1)]
     for k in range(n):
-        out.append(f"w{k} AS (SELECT sym, sum(total) AS w FROM (SELECT DISTINCT sid, sym FROM r{k}) JOIN (SELECT sid, sum(u) AS total FROM r{k} GROUP BY sid) USING (sid) GROUP BY sym), r{k + 1} AS (SELECT * FROM r{k} WHERE sym IN (SELECT sym FROM w{k} WHERE w >= (SELECT ceil(0.164 * sum(u)) FROM r0)))")
+        out.append(f"w{k} AS (SELECT sym, sum(total) AS w FROM (SELECT DISTINCT sid, sym FROM r{k}) JOIN (SELECT sid, sum(u) AS total FROM r{k} GROUP BY sid) USING (sid) GROUP BY sym), r{k + 1} AS (SELECT * FROM r{k} WHERE sym IN (SELECT sym FROM w{k} WHERE w >= (SELECT ceil(0.14687 * sum(u)) FROM r0)))")
     return "WITH " + ", ".join(out) + f" SELECT sym, CAST(count(*) AS BIGINT) AS intervals FROM r{n} GROUP BY sym"
 
 
 @query("prune_symbols", _rounds(12))
 def prune_symbols(spark, d):
     log, codes = coded(spark, d, "items_by_brand")
-    kept, _ = bounds.prune_symbols(log, search.resolve_threshold(log, None, 0.164))
-    return kept.join(codes, "code").groupBy("sym").agg(F.count(F.lit(1)).alias("intervals")) if "sym" not in kept.columns else kept.groupBy("sym").agg(F.count(F.lit(1)).alias("intervals"))
+    kept, _ = bounds.prune_symbols(log, search.resolve_threshold(log, None, 0.14687))
+    return kept.groupBy("sym").agg(F.count(F.lit(1)).alias("intervals"))
 
 
 def root_rows(spark, d, name="items_by_type", occurrence="max"):
     log, codes = coded(spark, d, name)
     opt = search.Options(0, 0.0, occurrence=occurrence)
-    names = [r["sym"] for r in codes.orderBy("code").collect()]
-    rows = search.roots(timelines.arrays(log, search.partitions(log)), opt)
-    of = F.array(*map(F.lit, names))
-    return log, rows.withColumns({"sa": F.element_at(of, F.col("x")[0]), "sb": F.element_at(of, F.col("y")[0]), "d": F.col("rel")[0].cast("int")})
+    rows = search.roots(timelines.items(log, search.partitions(log)), opt)
+    of = lambda c: codes.select(F.col("code").alias(f"code_{c}"), F.col("sym").alias(c))
+    rows = rows.withColumns({"code_sa": F.col("x")[0], "code_sb": F.col("y")[0], "d": F.col("rel")[0].cast("int")})
+    return log, rows.join(of("sa"), "code_sa").join(of("sb"), "code_sb")
 
 
 ROOT = ["sa", "sb", "d"]
@@ -265,21 +285,21 @@ def roots(spark, d):
     log, rows = root_rows(spark, d)
     best = measures.utility_in(rows, ROOT)
     ante = log.select("sid", F.col("sym").alias("sa")).distinct().groupBy("sa").agg(F.count(F.lit(1)).alias("n_ante"))
-    return measures.utility(best, ROOT).join(F.broadcast(ante), "sa").select(*ROOT, "n_rule", "utility", "n_ante")
+    return measures.utility(best, ROOT).join(ante, "sa").select(*ROOT, "n_rule", "utility", "n_ante")
 
 
 @query("root_support", O.on("items_by_type", "SELECT sa, sb, d, CAST(count(DISTINCT sid) AS BIGINT) AS n_rule, CAST((SELECT count(DISTINCT sid) FROM log) AS BIGINT) AS n_timelines FROM roots GROUP BY sa, sb, d", O.PAIRS, O.ROOTS))
 def root_support(spark, d):
     log, rows = root_rows(spark, d)
     total = log.agg(F.count_distinct("sid").alias("n_timelines"))
-    return rows.groupBy(*ROOT).agg(F.count_distinct("sid").alias("n_rule")).join(F.broadcast(total))
+    return rows.groupBy(*ROOT).agg(F.count_distinct("sid").alias("n_rule")).crossJoin(total)  # one row
 
 
 @query("root_confidence", O.on("user_weeks", "SELECT sa, sb, d, CAST(n_rule * 1000000 // n_ante AS BIGINT) AS confidence_ppm FROM (SELECT sa, sb, d, count(DISTINCT sid) AS n_rule FROM roots GROUP BY sa, sb, d) JOIN (SELECT sym AS sa, count(DISTINCT sid) AS n_ante FROM log GROUP BY sym) USING (sa)", O.PAIRS, O.ROOTS))
 def root_confidence(spark, d):
     log, rows = root_rows(spark, d, "user_weeks")
     ante = log.groupBy(F.col("sym").alias("sa")).agg(F.count_distinct("sid").alias("n_ante"))
-    return rows.groupBy(*ROOT).agg(F.count_distinct("sid").alias("n_rule")).join(F.broadcast(ante), "sa").select(*ROOT, F.expr("n_rule * 1000000 DIV n_ante").alias("confidence_ppm"))
+    return rows.groupBy(*ROOT).agg(F.count_distinct("sid").alias("n_rule")).join(ante, "sa").select(*ROOT, F.expr("n_rule * 1000000 DIV n_ante").alias("confidence_ppm"))
 
 
 @query("root_utility_first", O.on("items_by_type", "SELECT sa, sb, d, CAST(sum(u) AS BIGINT) AS utility FROM (SELECT sid, sa, sb, d, arg_min(u, [pa, pb]) AS u FROM roots GROUP BY sid, sa, sb, d) GROUP BY sa, sb, d", O.PAIRS, O.ROOTS))
@@ -331,21 +351,15 @@ def right_ledger(spark, d):
 def grown(spark, d, side: str):
     log, codes = coded(spark, d, "items_by_type")
     opt = search.Options(0, 0.0)
-    own = timelines.arrays(log, search.partitions(log))
-    rows = search.extensions(search.roots(own, opt), own, side, opt)
-    return opt, codes, rows
-
-
-def named(df: DataFrame, codes: DataFrame) -> DataFrame:
-    of = F.array(*[F.lit(r["sym"]) for r in codes.orderBy("code").collect()])
-    return df.withColumns({c: F.transform(c, lambda k: F.element_at(of, k)) for c in ("x", "y")})
+    own = timelines.items(log, search.partitions(log))
+    return opt, codes, search.extensions(search.roots(own, opt), own, side, opt)
 
 
 def growth(spark, d, side):
     opt, codes, rows = grown(spark, d, side)
     occ = search.materialise(rows, side, opt, 3)
     stats = measures.utility(measures.utility_in(occ, KEY), KEY)
-    return named(stats, codes).select(report.key_text().alias("rule"), "n_rule", "utility")
+    return model.named(stats, codes, "x", "y").select(report.key_text().alias("rule"), "n_rule", "utility")
 
 
 for _side, _name, _x, _y in (("left", "left_growth_2x1", 2, 1), ("right", "right_growth_1x2", 1, 2)):
@@ -359,9 +373,10 @@ CLASSES = "cls AS (SELECT sa, sb, d, code, digit, CAST(sum(b) AS BIGINT) AS boun
 
 def class_rows(spark, d, by_digit=True):
     _, codes, rows = grown(spark, d, "left")
-    of = F.array(*[F.lit(r["sym"]) for r in codes.orderBy("code").collect()])
     found = bounds.class_bound(rows, KEY) if by_digit else bounds.symbol_budget(rows, KEY)
-    return found.select(F.element_at(of, F.col("x")[0]).alias("sa"), F.element_at(of, F.col("y")[0]).alias("sb"), F.col("rel")[0].cast("int").alias("d"), F.element_at(of, F.col("code")).alias("code"), *(["digit"] if by_digit else []), "bound", *(["side"] if by_digit else []))
+    for name, code in (("sa", F.col("x")[0]), ("sb", F.col("y")[0]), ("sym", F.col("code"))):
+        found = found.withColumn("at", code).join(codes.select(F.col("code").alias("at"), F.col("sym").alias(f"{name}_")), "at").drop("at")
+    return found.select(F.col("sa_").alias("sa"), F.col("sb_").alias("sb"), F.col("rel")[0].cast("int").alias("d"), F.col("sym_").alias("code"), *(["digit"] if by_digit else []), "bound", *(["side"] if by_digit else []))
 
 
 @query("symbol_budget", O.on("items_by_type", "SELECT sa, sb, d, code, CAST(sum(b) AS BIGINT) AS bound FROM (SELECT sid, sa, sb, d, code, max(bound) AS b FROM ext GROUP BY ALL) GROUP BY ALL", O.PAIRS, O.ROOTS, LEFT))
@@ -384,7 +399,7 @@ def class_budget_trace(spark, d):
 def confidence_gate(spark, d):
     log, rows = root_rows(spark, d, "user_weeks")
     ante = log.groupBy(F.col("sym").alias("sa")).agg(F.count_distinct("sid").alias("n_ante"))
-    stats = rows.groupBy(*ROOT).agg(F.count_distinct("sid").alias("n_rule")).join(F.broadcast(ante), "sa")
+    stats = rows.groupBy(*ROOT).agg(F.count_distinct("sid").alias("n_rule")).join(ante, "sa")
     return stats.filter(measures.enough_confidence(F.col("n_rule"), F.col("n_ante"), 0.25)).select(*ROOT, "n_rule", "n_ante")
 
 
@@ -421,6 +436,7 @@ for _variant, _options in VARIANTS.items():
         query(f"mine_items_{_variant}", ORACLES["mine_items_by_type"])(lambda spark, d, o=_options: mined(spark, d, "items_by_type", minutil_ratio=0.002, minconf=0.03, max_size=4, **o))
     elif _variant != "full":
         query(f"mine_short_{_variant}", O.mine("short_order_spans", 0.002, 0.05, 7))(lambda spark, d, o=_options: mined(spark, d, "short_order_spans", minutil_ratio=0.002, minconf=0.05, **o))
+query("mine_subtrees_engine", ORACLES["mine_items_by_type"])(lambda spark, d: mined(spark, d, "items_by_type", minutil_ratio=0.002, minconf=0.03, max_size=4, engine="subtrees", batch_timelines=50_000))
 query("mine_prefix_engine", ORACLES["mine_items_by_type"])(lambda spark, d: mined(spark, d, "items_by_type", minutil_ratio=0.002, minconf=0.03, max_size=4, engine="prefix"))
 
 # ties are broken by the rule's arrays of codes, as in the search
@@ -432,18 +448,6 @@ def top_k_items(spark, d):
     return rule_rows(search.mine_top_k(T.items_by_type(spark, d), 200, 0.03, max_size=4).rules)
 
 
-@query("candidates_by_variant")
-def candidates_by_variant(spark, d):
-    """Candidates and rules of the full and the no-budget variant along a threshold sweep."""
-    rows = []
-    log = T.short_order_spans(spark, d)
-    for ratio in (0.001, 0.002, 0.01):
-        for name in ("full", "no_budget"):
-            got = search.mine(log, minutil_ratio=ratio, minconf=0.05, **VARIANTS[name])
-            rows.append((name, int(ratio * 10000), got.metrics.candidates, got.rules.count()))
-    return spark.createDataFrame(rows, "variant string, ratio_bp int, candidates long, rules long")
-
-
 query("running_example", O.mine("example", None, 0.6, 4, minutil=35))(lambda spark, d: rule_rows(search.mine(example(spark), minutil=35, minconf=0.6).rules))
 
 
@@ -456,11 +460,19 @@ def running_example_candidates(spark, d):
     return spark.createDataFrame(rows, "minutil int, variant string, candidates long, rules long")
 
 
-@query("output_bytes_by_layout", O.mine("quarter_spans", 0.01, 0.1, 4).replace("SELECT rule, n_rule, n_ante, utility FROM rated", "SELECT CAST(sum(length(rule) + length(CAST(utility AS VARCHAR)) + 27) AS BIGINT) AS bytes_base7 FROM rated"))
+LINE = "length(rule) + length(CAST(utility AS VARCHAR)) + 27"
+
+
+@query("output_bytes_by_layout", O.mine("quarter_spans", 0.01, 0.1, 4).replace("SELECT rule, n_rule, n_ante, utility FROM rated", f"SELECT CAST(sum({LINE}) AS BIGINT) AS bytes_base7, CAST(sum({LINE} - length(split_part(rule, '|', 2)) + k * (k - 1) - 1) AS BIGINT) AS bytes_matrix FROM (SELECT *, len(string_split(translate(split_part(rule, '|', 1), '>', ','), ',')) AS k FROM rated)"))
 def output_bytes_by_layout(spark, d):
-    """Bytes of the rule file; a line holds the rule, '==>', two labelled measures and the numbers."""
+    """Bytes of the written rule files; a line holds the rule, '==>', two labelled measures and the relations."""
     rules = search.mine(T.quarter_spans(spark, d), minutil_ratio=0.01, minconf=0.1, max_size=4).rules
-    return report.lines(rules).agg(F.sum(F.octet_length("value") + 1).alias("bytes_base7"))
+    tables, out = Tables(spark, "report"), None
+    for layout in ("base7", "matrix"):
+        report.write_rules(rules, f"{tables.root}/{layout}", layout)
+        own = spark.read.text(f"{tables.root}/{layout}").agg(F.sum(F.octet_length("value") + 1).alias(f"bytes_{layout}"))
+        out = own if out is None else out.crossJoin(own)  # one row each
+    return out
 
 
 # ---- baselines ----
@@ -512,11 +524,11 @@ DAYS = {"minutil_ratio": 0.002, "minconf": 0.05, "max_size": 3}
 def day_rules(spark, d):
     """Rules of user_days with codes and an id by their text."""
     log, codes = coded(spark, d, "user_days")
-    rules = search.mine(T.user_days(spark, d), **DAYS).rules.withColumn("rule", report.key_text())
-    of = F.array(*[F.lit(r["sym"]) for r in codes.orderBy("code").collect()])
-    to_code = lambda c: F.transform(c, lambda s: F.array_position(of, s).cast("int"))
-    rules = rules.withColumns({"x": to_code("x"), "y": to_code("y"), "rule_id": F.col("rule")})
-    return rules, timelines.arrays(log, search.partitions(log))
+    rules = search.mine(T.user_days(spark, d), **DAYS).rules.withColumn("rule_id", report.key_text())
+    each = rules.select("rule_id", F.size("x").alias("nx"), F.posexplode(F.concat("x", "y")).alias("at", "sym")).join(codes, "sym")
+    w = each.groupBy("rule_id", "nx").agg(F.array_sort(F.collect_list(F.struct("at", "code")))["code"].alias("w"))
+    w = w.select("rule_id", F.slice("w", F.lit(1), F.col("nx")).alias("x"), F.slice("w", F.col("nx") + 1, F.size("w")).alias("y"))
+    return rules.drop("x", "y").join(w, "rule_id"), timelines.arrays(log, search.partitions(log))
 
 
 OCC = O.on("user_days", "SELECT rule, CAST(count(*) AS BIGINT) AS occurrences, CAST(count(DISTINCT sid) AS BIGINT) AS timelines FROM occ WHERE rule IN (SELECT rule FROM rated WHERE utility >= (SELECT ceil(0.002 * sum(u)) FROM log) AND n_rule * 20 >= n_ante) GROUP BY rule", O.levels(3), O.rated(3))

@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from .scratch import Tables
+
 
 def symbol_weight(coded: DataFrame, literal: bool = False) -> DataFrame:
     """(code, weight). A rule with the symbol can earn no more than the timelines that hold it; `literal` sums the symbol's own utility only."""
@@ -15,23 +17,23 @@ def symbol_weight(coded: DataFrame, literal: bool = False) -> DataFrame:
     return total.groupBy("code").agg(F.sum("total").alias("weight"))
 
 
-def prune_symbols(coded: DataFrame, minutil: int, rounds: int = 50) -> tuple[DataFrame, list[dict[int, int]]]:
-    """Drops intervals of symbols whose weight is below minutil until none is left; any number of rounds is sound.
+def prune_symbols(coded: DataFrame, minutil: int) -> tuple[DataFrame, list[dict[str, int]]]:
+    """Drops intervals of symbols whose weight is below minutil until none is left, with the numbers of symbols of each round.
 
-    Works on one row for each timeline and symbol; what reaches the driver is one row for each symbol.
+    Works on one row for each timeline and symbol. The symbols that stay are a table; only their number reaches the driver.
     """
-    own = coded.groupBy("sid", "code").agg(F.sum("u").alias("u"))
-    trace: list[dict[int, int]] = []
-    kept: list[int] | None = None
-    for _ in range(rounds):
-        weights = {r["code"]: r["weight"] for r in symbol_weight(own).collect()}
-        trace.append(weights)
-        keep = sorted(c for c, w in weights.items() if w >= minutil)
-        if len(keep) == len(weights):
-            break
-        kept = keep
-        own = own.filter(F.col("code").isin(keep)) if keep else own.filter(F.lit(False))
-    return (coded if kept is None else coded.filter(F.col("code").isin(kept)) if kept else coded.filter(F.lit(False))), trace
+    tables = Tables(coded.sparkSession, "symbols")
+    own = tables.put("own", coded.groupBy("sid", "code").agg(F.sum("u").alias("u")))
+    trace: list[dict[str, int]] = []
+    kept = None
+    while True:
+        weights = tables.put(f"weights-{len(trace)}", symbol_weight(own))
+        count = weights.agg(F.count(F.lit(1)).alias("symbols"), F.count_if(F.col("weight") < minutil).alias("removed")).first().asDict()
+        trace.append(count)
+        if not count["removed"]:
+            return (coded if kept is None else coded.join(kept, "code", "left_semi")), trace
+        kept = weights.filter(F.col("weight") >= minutil).select("code")
+        own = own.join(kept, "code", "left_semi")
 
 
 # tails are the utility behind a position; tail_before_tie: behind the position before the consequent's tie head

@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import relations as R
+from .scratch import Tables, partitioned_checkpoint, small
 
 
 def flat_intervals(arrays: DataFrame) -> DataFrame:
@@ -23,8 +24,9 @@ def pattern_occurrences(arrays: DataFrame, x: list[int], rel: list[int], split:
         if out is None:
             out = own
             continue
-        number = reduce(lambda acc, j: acc * R.BASE + R.digit(F.col(f"st{j}"), F.col(f"ft{j}"), F.col(f"st{k}"), F.col(f"ft{k}")), range(k), F.lit(0).cast("bigint"))
-        out = out.join(own, "sid").filter((F.col(f"pos{k - 1}") < F.col(f"pos{k}")) & (number == rel[k - 1]))
+        want = [rel[k - 1] // R.BASE ** (k - 1 - j) % R.BASE for j in range(k)]  # the digits of a number of any size
+        same = reduce(lambda a, b: a & b, [R.digit(F.col(f"st{j}"), F.col(f"ft{j}"), F.col(f"st{k}"), F.col(f"ft{k}")) == want[j] for j in range(k)])
+        out = out.join(own, "sid").filter((F.col(f"pos{k - 1}") < F.col(f"pos{k}")) & same)
         if split == k:
             out = out.filter(F.col(f"st{k - 1}") < F.col(f"st{k}"))
     n = len(x)
@@ -32,25 +34,38 @@ def pattern_occurrences(arrays: DataFrame, x: list[int], rel: list[int], split:
 
 
 def occurrences(rules: DataFrame, arrays: DataFrame, side: str = "rule") -> DataFrame:
-    """(rule_id, sid, at) of many rules at once, by growing prefixes; side: rule or ante.
+    """(rule_id, sid, at, u) of many rules at once; side: rule or ante.
 
-    rules: rule_id, x, y, rel with codes. A prefix joins the timelines on its first symbol, then one interval at a time.
+    rules: rule_id, x, y, rel with codes. Prefixes that rules share are grown once, timeline by timeline as in the search: a level stays partitioned by sid
+    and is written before the next one; what is wanted of it is a table of prefixes, broadcast only where its counted size allows it.
     """
-    want = rules.select("rule_id", (F.col("x") if side == "ante" else F.concat("x", "y")).alias("w"), "rel", F.size("x").alias("nx"))
+    tables = Tables(rules.sparkSession, "matches")
+    nx = F.size("x")
+    ante = side == "ante"
+    want = tables.put("rules", rules.select("rule_id", (F.col("x") if ante else F.concat("x", "y")).alias("w"), (F.slice("rel", 1, R.limbs_before(nx)) if ante else F.col("rel")).alias("wrel"), nx.alias("nx")))
     longest = want.agg(F.coalesce(F.max(F.size("w")), F.lit(0))).first()[0]
-    items = flat_intervals(arrays).select("sid", "pos", "code", "st", "ft", "u")
-    point = F.struct("st", "ft")
-    now = want.withColumn("code", F.element_at("w", 1)).join(items, "code").select("rule_id", "w", "rel", "nx", "sid", F.array("pos").alias("at"), F.array(point).alias("p"), "u")
-    done = now.filter(F.size("w") == 1)
-    for k in range(2, longest + 1):
-        nxt = items.select("sid", F.col("pos").alias("np"), F.col("code").alias("nc"), F.col("st").alias("ns"), F.col("ft").alias("nf"), F.col("u").alias("nu"))
-        step = now.filter(F.size("w") >= k).join(nxt, "sid").filter((F.col("np") > F.element_at("at", -1)) & (F.col("nc") == F.element_at("w", k)))
-        number = F.aggregate("p", F.lit(0).cast("bigint"), lambda acc, q: acc * R.BASE + R.digit(q["st"], q["ft"], F.col("ns"), F.col("nf")))
-        later = (F.col("nx") != k - 1) | (F.element_at("p", -1)["st"] < F.col("ns"))
-        step = step.filter((number == F.element_at("rel", k - 1)) & later)
-        now = step.select("rule_id", "w", "rel", "nx", "sid", F.concat("at", F.array("np")).alias("at"), F.concat("p", F.array(F.struct(F.col("ns").alias("st"), F.col("nf").alias("ft")))).alias("p"), (F.col("u") + F.col("nu")).alias("u"))
-        done = done.unionByName(now.filter(F.size("w") == k))
-    return done.select("rule_id", "sid", "at", "u")
+    arrays = partitioned_checkpoint(arrays)
+    e, level, done = F.col("e"), None, None
+    point = F.struct(e["st"].alias("st"), e["ft"].alias("ft"))
+    for k in range(1, longest + 1):
+        prefixes = tables.put(f"prefixes-{k}", want.filter(F.size("w") >= k).select(F.slice("w", 1, k).alias("x"), F.slice("wrel", 1, R.limbs_before(F.lit(k))).alias("xrel")).distinct())
+        if level is None:
+            rows = arrays.select("sid", F.explode("iv").alias("e"))
+            rows = rows.select("sid", F.array(e["code"]).alias("x"), F.array().cast("array<bigint>").alias("xrel"), F.array(point).alias("xi"), F.array(e["pos"]).alias("at"), e["u"].alias("u"))
+        else:
+            rows = level.join(arrays, "sid").select(*level.columns, F.explode(F.expr("slice(iv, at[size(at) - 1] + 1, size(iv))")).alias("e"))
+            number = R.limbs(R.digits_against(F.col("xi"), e["st"], e["ft"]))
+            rows = rows.select("sid", F.concat("x", F.array(e["code"])).alias("x"), F.concat("xrel", number).alias("xrel"), F.concat("xi", F.array(point)).alias("xi"), F.concat("at", F.array(e["pos"])).alias("at"), (F.col("u") + e["u"]).alias("u"))
+        level = partitioned_checkpoint(rows.join(small(prefixes, prefixes.count()), ["x", "xrel"], "left_semi").select("sid", "x", "xrel", "xi", "at", "u"))
+        own = want.filter(F.size("w") == k).withColumnsRenamed({"w": "x", "wrel": "xrel"})
+        hit = level.join(small(own, own.count()), ["x", "xrel"])
+        if not ante and k > 1:
+            hit = hit.filter(F.element_at("xi", F.col("nx"))["st"] < F.element_at("xi", F.col("nx") + 1)["st"])
+        hit = hit.select("rule_id", "sid", "at", "u")
+        done = hit if done is None else done.unionByName(hit)
+    if done is None:
+        return rules.select("rule_id", F.lit(0).cast("long").alias("sid"), F.array().cast("array<int>").alias("at"), F.lit(0).cast("long").alias("u")).limit(0)
+    return done
 
 
 def predict(rules: DataFrame, arrays: DataFrame) -> DataFrame:

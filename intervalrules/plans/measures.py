@@ -2,15 +2,20 @@
 
 from __future__ import annotations
 
+from decimal import Decimal
+from fractions import Fraction
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-PART = 1_000_000
-
 
-def enough_confidence(n_rule: Column, n_ante: Column, minconf: float) -> Column:
-    """n_rule / n_ante >= minconf in whole numbers."""
-    return n_rule * F.lit(PART) >= n_ante * F.lit(round(minconf * PART))
+def enough_confidence(n_rule: Column, n_ante: Column, minconf: float | str | Fraction) -> Column:
+    """n_rule / n_ante >= minconf, exactly: minconf is the decimal (or fraction) as written, and whole numbers are compared."""
+    bar = Fraction(str(minconf))
+    whole = lambda c: c.cast("decimal(19,0)")
+    if bar.denominator <= 1_000_000:
+        return n_rule * F.lit(bar.denominator) >= n_ante * F.lit(bar.numerator)
+    return whole(n_rule) * F.lit(Decimal(bar.denominator)).cast("decimal(19,0)") >= whole(n_ante) * F.lit(Decimal(bar.numerator)).cast("decimal(19,0)")
 
 
 def confidence(n_rule: Column, n_ante: Column) -> Column:

@@ -8,6 +8,8 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .scratch import Tables
+
 LOG = T.StructType([T.StructField("sid", T.LongType()), T.StructField("sym", T.StringType()), T.StructField("st", T.LongType()), T.StructField("ft", T.LongType()), T.StructField("u", T.LongType())])
 TIMELINE = "sid long, iv array<struct<st:long,ft:long,code:int,u:long>>"
 
@@ -39,22 +41,38 @@ def clean(df: DataFrame, duplicates: str = "merge") -> Clean:
     return Clean(counted.filter("n = 1").drop("n"), bad.unionByName(counted.filter("n > 1").drop("n")))
 
 
+LOCAL_BITS = 33  # monotonically_increasing_id keeps the row number of a partition in so many low bits
+
+
 def encode_symbols(df: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(log with code, dictionary of code and sym); codes follow the lexicographic order. The alphabet is small and ranked in one task."""
-    codes = df.select("sym").distinct().withColumn("code", F.row_number().over(Window.orderBy("sym")))
-    return df.join(codes, "sym"), codes.select("code", "sym")
+    """(log with code, dictionary of code and sym); codes are ranks in the lexicographic order.
+
+    The alphabet is range-sorted and numbered by partition, so it is never in one task.
+    """
+    tables = Tables(df.sparkSession, "alphabet")
+    parts = int(df.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    ranked = df.select("sym").distinct().repartitionByRange(parts, "sym").sortWithinPartitions("sym").withColumn("at", F.monotonically_increasing_id())
+    ranked = tables.put("sorted", ranked).withColumn("part", F.shiftright("at", LOCAL_BITS))
+    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    starts = ranked.groupBy("part").count().withColumn("before", F.coalesce(F.sum("count").over(before), F.lit(0)))  # one row a partition
+    code = F.col("before") + F.col("at").bitwiseAND(F.lit((1 << LOCAL_BITS) - 1)) + 1
+    codes = tables.put("codes", ranked.join(F.broadcast(starts), "part").select(code.cast("int").alias("code"), "sym"))
+    return df.join(codes, "sym"), codes
+
+
+def named(df: DataFrame, codes: DataFrame, *cols: str) -> DataFrame:
+    """df with the codes in its array columns `cols` (none of them empty) turned into symbols, by a join with the dictionary; rows of df are distinct."""
+    rest = df.columns
+    each = df.select(*rest, F.posexplode(F.concat(*cols)).alias("at", "code")).join(codes, "code")
+    whole = each.groupBy(*rest).agg(F.array_sort(F.collect_list(F.struct("at", "sym")))["sym"].alias("names"))
+    begin, out = F.lit(1), {}
+    for c in cols:
+        out[c] = F.slice("names", begin, F.size(c))
+        begin = begin + F.size(c)
+    return whole.withColumns(out).select(*rest)
 
 
 def to_timelines(coded: DataFrame) -> DataFrame:
     """One row for each timeline, its intervals in the order start, finish, symbol."""
     iv = F.array_sort(F.collect_list(F.struct("st", "ft", "code", "u")))
     return coded.groupBy("sid").agg(iv.alias("iv"))
-
-
-def window_log(df: DataFrame, low: int, high: int) -> DataFrame:
-    """Intervals that lie within [low, high]."""
-    return df.filter((F.col("st") >= low) & (F.col("ft") <= high))
-
-
-def of_size(timelines: DataFrame, low: int, high: int) -> DataFrame:
-    return timelines.filter(F.size("iv").between(low, high))

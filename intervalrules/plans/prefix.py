@@ -5,6 +5,8 @@ It stores no level and suits the deep tail of a search; a symbol's timelines mus
 
 from __future__ import annotations
 
+from fractions import Fraction
+
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -30,12 +32,21 @@ def number(earlier, e) -> int:
     return out
 
 
+def limbs(num: int, k: int) -> list[int]:
+    """The number of k digits as its column form has it: 22 digits a limb, the highest first."""
+    out = []
+    while k > 0:
+        out.append(num % 7**22)
+        num, k = num // 7**22, k - 22
+    return out[::-1]
+
+
 class DepthFirst:
     """Rules whose antecedent starts with one symbol. lines: timelines as lists of (st, ft, code, u, tail, tie)."""
 
     def __init__(self, first: int, lines: list[list[tuple]], opt):
         self.first, self.lines, self.opt = first, lines, opt
-        self.found, self.candidates = [], 0
+        self.found, self.candidates, self.minconf = [], 0, Fraction(str(opt.minconf))
 
     def run(self):
         ante = {k: [(i,) for i, e in enumerate(line) if e[2] == self.first] for k, line in enumerate(self.lines)}
@@ -75,9 +86,9 @@ class DepthFirst:
             utility += max(r[1] for r in rows) if opt.occurrence == "max" else min(rows)[1]
             open_bound += max(u + a + b for _, u, a, b in rows)
             right_bound += max(u + b for _, u, _, b in rows)
-        confident = len(occ) * 1_000_000 >= n_ante * round(opt.minconf * 1_000_000)
+        confident = len(occ) >= n_ante * self.minconf
         if utility >= opt.minutil and confident:
-            self.found.append((list(x), list(y), list(rel), len(occ), n_ante, utility))
+            self.found.append((list(x), list(y), [v for k, num in enumerate(rel, 1) for v in limbs(num, k)], len(occ), n_ante, utility))
         size = len(x) + len(y)
         if opt.max_size is not None and size >= opt.max_size:
             return

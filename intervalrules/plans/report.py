@@ -17,7 +17,7 @@ def relation_text(layout: str) -> Column:
     if layout == "base7":
         return F.array_join(F.transform("rel", lambda v: v.cast("string")), ",")
     if layout == "matrix":
-        return F.array_join(F.transform("rel", lambda v, i: F.array_join(R.digits(v, i + 1), ",")), ",")
+        return F.array_join(F.flatten(R.triangle(F.col("rel"), F.size("x") + F.size("y"))), ",")
     raise ValueError(layout)
 
 

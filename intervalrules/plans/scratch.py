@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import contextlib
 import re
 import tempfile
 import uuid
@@ -25,24 +24,28 @@ def shared_dir(spark: SparkSession) -> str:
     return found.rstrip("/")
 
 
-@contextlib.contextmanager
-def static_plans(spark: SparkSession):
-    """Adaptive execution off: a checkpoint taken so keeps its hash partitioning."""
-    before = spark.conf.get("spark.sql.adaptive.enabled")
-    spark.conf.set("spark.sql.adaptive.enabled", "false")
-    try:
-        yield
-    finally:
-        spark.conf.set("spark.sql.adaptive.enabled", before)
+def fixed_plans(spark: SparkSession) -> SparkSession:
+    """Another session with the settings of this one, but without adaptive execution; the caller's session stays as it is."""
+    work = spark.newSession()
+    for key, value in spark.conf.getAll.items():
+        if key.startswith("spark.sql.") and work.conf.isModifiable(key):
+            work.conf.set(key, value)
+    work.conf.set("spark.sql.adaptive.enabled", "false")
+    return work
+
+
+def in_session(df: DataFrame, spark: SparkSession) -> DataFrame:
+    """The same plan, bound to another session of the same context."""
+    rows = spark.sparkContext._jvm.org.apache.spark.sql.classic.Dataset
+    return DataFrame(rows.ofRows(spark._jsparkSession, df._jdf.queryExecution().analyzed()), spark)
 
 
 def partitioned_checkpoint(df: DataFrame) -> DataFrame:
-    """Writes df to the shared folder; lineage is cut, partitioning stays."""
-    shared_dir(df.sparkSession)
-    if not df.sparkSession.sparkContext.getCheckpointDir():
-        df.sparkSession.sparkContext.setCheckpointDir(shared_dir(df.sparkSession))
-    with static_plans(df.sparkSession):
-        return df.checkpoint(eager=True)
+    """Writes df to the shared folder; lineage is cut, partitioning and order stay (adaptive execution would lose them)."""
+    spark = df.sparkSession
+    if not spark.sparkContext.getCheckpointDir():
+        spark.sparkContext.setCheckpointDir(shared_dir(spark))
+    return in_session(in_session(df, fixed_plans(spark)).checkpoint(eager=True), spark)
 
 
 class Tables:

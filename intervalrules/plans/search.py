@@ -1,11 +1,14 @@
 """Level-by-level search for profitable rules.
 
 A level is a table of occurrences of all live rules of one size, hash-partitioned by timeline for the whole run. Growing a rule joins
-the level with the timeline arrays on `sid` (no exchange); only statistics of rules and of classes are shuffled. Each level takes two passes: the first
-sums class bounds over all possible extensions without storing any, the second materialises the extensions of the surviving classes.
+the level with the intervals on `sid` (a merge join without an exchange); only statistics of rules and of classes are shuffled. Each level takes two passes: the
+first sums class bounds over all possible extensions without storing any, the second materialises the extensions of the surviving classes.
 
 Every rule has one derivation: one interval on each side, then the antecedent grows in timeline order, then the consequent; so no
-duplicates arise. Rules are never collected; statistics live in Parquet tables of the shared folder.
+duplicates arise. Rules and symbols are never collected; statistics live in Parquet tables of the shared folder.
+
+Engines: "frontier" takes all live rules of a size at once; "subtrees" deals the one-to-one rules into batches and finishes the subtree of one batch
+before the next, so that only one batch's levels are stored; "prefix" searches the rules of a first symbol in one task.
 """
 
 from __future__ import annotations
@@ -14,7 +17,7 @@ import math
 import time
 from dataclasses import dataclass, field
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, Observation, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions import relations as R
@@ -73,10 +76,6 @@ def resolve_threshold(log: DataFrame, minutil: int | None, ratio: float | None)
     return math.ceil(ratio * total)
 
 
-def _point(e: Column) -> Column:
-    return F.struct(e["st"].alias("st"), e["ft"].alias("ft"))
-
-
 def _bounded(df: DataFrame) -> DataFrame:
     """Adds left and right reserves, open and right bounds."""
     left = bounds.left_reserve(F.col("tail_x"), F.col("tail_tie"))
@@ -84,62 +83,64 @@ def _bounded(df: DataFrame) -> DataFrame:
     return df.withColumns({"open": bounds.open_bound(F.col("u"), left, right), "right": bounds.right_bound(F.col("u"), right)})
 
 
-def roots(arrays: DataFrame, opt: Options) -> DataFrame:
+def _renamed(items: DataFrame, prefix: str, *cols: str) -> DataFrame:
+    return items.select("sid", *[F.col(c).alias(f"{prefix}{c}") for c in cols])
+
+
+def roots(items: DataFrame, opt: Options) -> DataFrame:
     """Occurrences of all rules of one interval on each side."""
-    pairs = arrays.select("sid", "iv", F.explode("iv").alias("a"))
-    # those that start later: positions behind the last one with a's start
-    pairs = pairs.select("sid", "iv", "a", F.explode(F.expr("filter(slice(iv, a.pos + 1, size(iv)), e -> e.st > a.st)")).alias("b"))
-    if opt.disjoint == "symbol":
-        pairs = pairs.filter("a.code <> b.code")
-    a, b = F.col("a"), F.col("b")
-    d = R.digit(a["st"], a["ft"], b["st"], b["ft"]).cast("bigint")
+    a = _renamed(items, "a_", "pos", "code", "st", "ft", "u", "tail")
+    b = _renamed(items, "b_", "pos", "code", "st", "ft", "u", "tail", "tie", "head")
+    pairs = a.hint("merge").join(b, "sid").filter("b_pos > a_pos AND b_st > a_st" + (" AND a_code <> b_code" if opt.disjoint == "symbol" else ""))
+    point = lambda p: F.struct(F.col(f"{p}st").alias("st"), F.col(f"{p}ft").alias("ft"))
     out = pairs.select(
         "sid",
-        F.array(a["code"]).alias("x"),
-        F.array(b["code"]).alias("y"),
-        F.array(d).alias("rel"),
-        F.array(_point(a)).alias("xi"),
-        F.array(_point(b)).alias("yi"),
-        a["pos"].alias("last_x"),
-        b["tie"].alias("tie_y"),
-        b["pos"].alias("last_y"),
-        a["tail"].alias("tail_x"),
-        F.expr("iv[b.tie - 1].tail + iv[b.tie - 1].u").alias("tail_tie"),
-        b["tail"].alias("tail_y"),
-        (a["u"] + b["u"]).alias("u"),
-        *([F.array(a["pos"], b["pos"]).alias("at")] if opt.occurrence == "first" else []),
+        F.array("a_code").alias("x"),
+        F.array("b_code").alias("y"),
+        F.array(R.digit(F.col("a_st"), F.col("a_ft"), F.col("b_st"), F.col("b_ft")).cast("bigint")).alias("rel"),
+        F.array(point("a_")).alias("xi"),
+        F.array(point("b_")).alias("yi"),
+        F.col("a_pos").alias("last_x"),
+        F.col("b_tie").alias("tie_y"),
+        F.col("b_pos").alias("last_y"),
+        F.col("a_tail").alias("tail_x"),
+        F.col("b_head").alias("tail_tie"),
+        F.col("b_tail").alias("tail_y"),
+        (F.col("a_u") + F.col("b_u")).alias("u"),
+        *([F.array("a_pos", "b_pos").alias("at")] if opt.occurrence == "first" else []),
     )
     return _bounded(out)
 
 
-def extensions(occ: DataFrame, arrays: DataFrame, side: str, opt: Options) -> DataFrame:
-    """Every interval that may join `side` of an occurrence, with the bound of the grown rule."""
-    rows = occ.join(arrays, "sid")
+def extensions(occ: DataFrame, items: DataFrame, side: str, opt: Options) -> DataFrame:
+    """Every interval (columns e_...) that may join `side` of an occurrence, with the bound of the grown rule."""
+    rows = occ.hint("merge").join(_renamed(items, "e_", "pos", "code", "st", "ft", "u", "tail"), "sid")
     if side == "left":
-        rows = rows.select(*occ.columns, F.explode(F.expr("slice(iv, last_x + 1, greatest(tie_y - last_x - 1, 0))")).alias("e"))
+        rows = rows.filter("e_pos > last_x AND e_pos < tie_y")
         if opt.disjoint == "symbol":
-            rows = rows.filter(~F.array_contains("y", F.col("e.code")))
+            rows = rows.filter(~F.array_contains("y", F.col("e_code")))
         prior = F.element_at("xi", -1)
-        from_e = F.col("e.u") + bounds.left_reserve(F.col("e.tail"), F.col("tail_tie"))
+        from_e = F.col("e_u") + bounds.left_reserve(F.col("e_tail"), F.col("tail_tie"))
         bound = bounds.open_bound(F.col("u"), from_e, bounds.right_reserve(F.col("tail_y")))
     else:
-        rows = rows.select(*occ.columns, F.explode(F.expr("slice(iv, last_y + 1, size(iv))")).alias("e"))
+        rows = rows.filter("e_pos > last_y")
         if opt.disjoint == "symbol":
-            rows = rows.filter(~F.array_contains("x", F.col("e.code")))
+            rows = rows.filter(~F.array_contains("x", F.col("e_code")))
         prior = F.element_at("yi", -1)
-        bound = bounds.right_bound(F.col("u"), F.col("e.u") + F.col("e.tail"))
-    digit = R.digit(prior["st"], prior["ft"], F.col("e.st"), F.col("e.ft"))
-    return rows.withColumns({"side": F.lit(side), "code": F.col("e.code"), "digit": digit, "bound": bound})
+        bound = bounds.right_bound(F.col("u"), F.col("e_u") + F.col("e_tail"))
+    digit = R.digit(prior["st"], prior["ft"], F.col("e_st"), F.col("e_ft"))
+    return rows.withColumns({"side": F.lit(side), "code": F.col("e_code"), "digit": digit, "bound": bound})
 
 
 def materialise(rows: DataFrame, side: str, opt: Options, size: int) -> DataFrame:
     """The occurrences of the grown rules."""
-    e, st, ft = F.col("e"), F.col("e.st"), F.col("e.ft")
+    st, ft = F.col("e_st"), F.col("e_ft")
+    point = F.array(F.struct(st.alias("st"), ft.alias("ft")))
     every = F.concat("xi", "yi") if side == "right" else F.col("xi")
     n = F.size("x")
-    if opt.layout == "matrix":
-        xi = F.concat("xi", F.array(_point(e))) if side == "left" else F.col("xi")
-        yi = F.col("yi") if side == "left" else F.concat("yi", F.array(_point(e)))
+    if opt.layout == "matrix" or size > R.LONG_DIGITS + 1:  # longer numbers take several limbs and are made anew
+        xi = F.concat("xi", point) if side == "left" else F.col("xi")
+        yi = F.col("yi") if side == "left" else F.concat("yi", point)
         rel = R.matrix_numbers(R.matrix(F.concat(xi, yi)))
     elif side == "right":
         rel = F.concat("rel", F.array(R.append_number(every, F.element_at("rel", -1), st, ft, size, opt.zero_carry)))
@@ -149,21 +150,21 @@ def materialise(rows: DataFrame, side: str, opt: Options, size: int) -> DataFram
         y = F.element_at("yi", 1)
         grown = R.insert_digit(F.element_at("rel", -1), 0, R.digit(st, ft, y["st"], y["ft"]))
         rel = F.concat(F.slice("rel", 1, n - 1), F.array(own, grown))
-    common = [rel.alias("rel"), (F.col("u") + e["u"]).alias("u"), "sid", "tie_y", "tail_tie"]
+    common = [rel.alias("rel"), (F.col("u") + F.col("e_u")).alias("u"), "sid", "tie_y", "tail_tie"]
     if side == "left":
-        cols = [F.concat("x", F.array(e["code"])).alias("x"), "y", F.concat("xi", F.array(_point(e))).alias("xi"), "yi", e["pos"].alias("last_x"), "last_y", e["tail"].alias("tail_x"), "tail_y"]
-        at = F.concat(F.slice("at", 1, n), F.array(e["pos"]), F.slice("at", n + 1, F.size("at") - n)) if opt.occurrence == "first" else None
+        cols = [F.concat("x", F.array(F.col("e_code"))).alias("x"), "y", F.concat("xi", point).alias("xi"), "yi", F.col("e_pos").alias("last_x"), "last_y", F.col("e_tail").alias("tail_x"), "tail_y"]
+        at = F.concat(F.slice("at", 1, n), F.array(F.col("e_pos")), F.slice("at", n + 1, F.size("at") - n)) if opt.occurrence == "first" else None
     else:
-        cols = ["x", F.concat("y", F.array(e["code"])).alias("y"), "xi", F.concat("yi", F.array(_point(e))).alias("yi"), "last_x", e["pos"].alias("last_y"), "tail_x", e["tail"].alias("tail_y")]
-        at = F.concat("at", F.array(e["pos"])) if opt.occurrence == "first" else None
+        cols = ["x", F.concat("y", F.array(F.col("e_code"))).alias("y"), "xi", F.concat("yi", point).alias("yi"), "last_x", F.col("e_pos").alias("last_y"), "tail_x", F.col("e_tail").alias("tail_y")]
+        at = F.concat("at", F.array(F.col("e_pos"))) if opt.occurrence == "first" else None
     return _bounded(rows.select(*common, *cols, *([at.alias("at")] if at is not None else [])))
 
 
 def rule_stats(occ: DataFrame, opt: Options) -> DataFrame:
     """Utility, number of timelines and bounds of each rule."""
     value = F.max("u") if opt.occurrence == "max" else F.min(F.struct("at", "u"))["u"]
-    per = occ.groupBy("sid", *KEY).agg(value.alias("u"), F.max("open").alias("open"), F.max("right").alias("right"))
-    return per.groupBy(*KEY).agg(F.sum("u").alias("utility"), F.count(F.lit(1)).alias("n_rule"), F.sum("open").alias("open_bound"), F.sum("right").alias("right_bound"))
+    per = occ.groupBy("sid", *KEY).agg(value.alias("u"), F.max("open").alias("open"), F.max("right").alias("right"), F.count(F.lit(1)).alias("n"))
+    return per.groupBy(*KEY).agg(F.sum("u").alias("utility"), F.count(F.lit(1)).alias("n_rule"), F.sum("n").alias("n_occ"), F.sum("open").alias("open_bound"), F.sum("right").alias("right_bound"))
 
 
 def gates(stats: DataFrame, opt: Options, minutil: int, size: int) -> DataFrame:
@@ -186,34 +187,37 @@ def gates(stats: DataFrame, opt: Options, minutil: int, size: int) -> DataFrame:
     return stats.withColumns({"grow_left": left, "grow_right": right})
 
 
-def singles(arrays: DataFrame) -> DataFrame:
+def singles(items: DataFrame) -> DataFrame:
     """Antecedent patterns of one interval."""
-    rows = arrays.select("sid", F.explode("iv").alias("e"))
-    return rows.select("sid", F.array("e.code").alias("x"), F.array().cast("array<bigint>").alias("xrel"), F.array(_point(F.col("e"))).alias("xi"), F.col("e.pos").alias("last_x"))
+    return items.select("sid", F.array("code").alias("x"), F.array().cast("array<bigint>").alias("xrel"), F.array(F.struct("st", "ft")).alias("xi"), F.col("pos").alias("last_x"))
 
 
-def grow_antecedents(ante: DataFrame, arrays: DataFrame, wanted: DataFrame, size: int, opt: Options) -> DataFrame:
+def grow_antecedents(ante: DataFrame, items: DataFrame, wanted: DataFrame, size: int, opt: Options) -> DataFrame:
     """Occurrences of the wanted patterns (x, xrel), one interval longer than those of ante, in all timelines."""
-    rows = ante.join(arrays, "sid").select(*ante.columns, F.explode(F.expr("slice(iv, last_x + 1, size(iv))")).alias("e"))
-    before = F.when(F.size("xrel") > 0, F.element_at("xrel", F.when(F.size("xrel") > 0, F.lit(-1)).otherwise(F.lit(1)))).otherwise(F.lit(0)) if size > 2 else F.lit(0)
-    number = R.append_number(F.col("xi"), before, F.col("e.st"), F.col("e.ft"), size, opt.zero_carry)
-    grown = rows.select("sid", F.concat("x", F.array("e.code")).alias("x"), F.concat("xrel", F.array(number)).alias("xrel"), F.concat("xi", F.array(_point(F.col("e")))).alias("xi"), F.col("e.pos").alias("last_x"))
+    rows = ante.hint("merge").join(_renamed(items, "e_", "pos", "code", "st", "ft"), "sid").filter("e_pos > last_x")
+    if size > R.LONG_DIGITS + 1:
+        number = R.limbs(R.digits_against(F.col("xi"), F.col("e_st"), F.col("e_ft")))
+    else:
+        before = F.when(F.size("xrel") > 0, F.element_at("xrel", F.when(F.size("xrel") > 0, F.lit(-1)).otherwise(F.lit(1)))).otherwise(F.lit(0)) if size > 2 else F.lit(0)
+        number = F.array(R.append_number(F.col("xi"), before, F.col("e_st"), F.col("e_ft"), size, opt.zero_carry))
+    point = F.struct(F.col("e_st").alias("st"), F.col("e_ft").alias("ft"))
+    grown = rows.select("sid", F.concat("x", F.array("e_code")).alias("x"), F.concat("xrel", number).alias("xrel"), F.concat("xi", F.array(point)).alias("xi"), F.col("e_pos").alias("last_x"))
     return grown.join(wanted, ["x", "xrel"], "left_semi").select("sid", "x", "xrel", "xi", "last_x")
 
 
 def antecedent_of(rel: Column, x: Column) -> Column:
-    return F.slice(rel, 1, F.size(x) - 1)
+    return F.slice(rel, 1, R.limbs_before(F.size(x)))
 
 
 class Search:
     """State of one run; step() advances a level."""
 
-    def __init__(self, coded: DataFrame, opt: Options, parts: int):
-        self.opt, self.spark = opt, coded.sparkSession
+    def __init__(self, items: DataFrame, opt: Options):
+        """items: of timelines.items, written."""
+        self.opt, self.spark, self.items = opt, items.sparkSession, items
         self.tables = Tables(self.spark, "rules")
-        self.arrays = partitioned_checkpoint(timelines.arrays(coded, parts))
-        self.size, self.occ = 2, roots(self.arrays, opt)
-        self.ante = singles(self.arrays)
+        self.size, self.occ = 2, roots(items, opt)
+        self.ante = singles(items)
         self.inherited: DataFrame | None = None
         self.metrics = Metrics(minutil=opt.minutil)
         self.found: list[DataFrame] = []
@@ -231,7 +235,7 @@ class Search:
         stats = self.tables.put(f"stats-{self.size}", rule_stats(self.occ, self.opt))
         if self.size > 2:
             wanted = stats.filter(F.size("y") == 1).select("x", antecedent_of(F.col("rel"), F.col("x")).alias("xrel")).distinct()
-            self.ante = partitioned_checkpoint(grow_antecedents(self.ante, self.arrays, wanted, self.size, self.opt))
+            self.ante = partitioned_checkpoint(grow_antecedents(self.ante, self.items, wanted, self.size, self.opt))
         out = self.tables.put(f"rated-{self.size}", self._with_antecedents(stats))
         self.inherited = out.select("x", antecedent_of(F.col("rel"), F.col("x")).alias("xrel"), "n_ante").distinct()
         return out
@@ -243,7 +247,7 @@ class Search:
         """Rules of this level; prepares the next one. False when nothing can grow."""
         opt, minutil = self.opt, self.opt.minutil
         stats = gates(stats, opt, minutil, self.size)
-        level = stats.agg(F.count(F.lit(1)).alias("candidates"), F.count_if("grow_left").alias("left"), F.count_if("grow_right").alias("right")).first().asDict()
+        level = stats.agg(F.count(F.lit(1)).alias("candidates"), F.coalesce(F.sum("n_occ"), F.lit(0)).alias("occurrences"), F.count_if("grow_left").alias("left"), F.count_if("grow_right").alias("right")).first().asDict()
         good = (F.col("utility") >= minutil) & measures.enough_confidence(F.col("n_rule"), F.col("n_ante"), opt.minconf)
         self.found.append(stats.filter(good).select(*KEY, "n_rule", "n_ante", "utility"))
         self.metrics.candidates += level["candidates"]
@@ -252,18 +256,20 @@ class Search:
             return False
         live = stats.select(*KEY, "grow_left", "grow_right").filter("grow_left OR grow_right")
         occ = self.occ.join(live, KEY)  # statistics tables have known sizes, so the planner broadcasts them below its threshold only
-        grown = {side: extensions(occ.filter(f"grow_{side}").drop("grow_left", "grow_right"), self.arrays, side, opt) for side in ("left", "right") if level[side]}
+        grown = {side: extensions(occ.filter(f"grow_{side}").drop("grow_left", "grow_right"), self.items, side, opt) for side in ("left", "right") if level[side]}
         both = None
         for rows in grown.values():
             part = rows.select("sid", *KEY, "side", "code", "digit", "bound")
             both = part if both is None else both.unionByName(part)
+        seen = Observation()
+        every = F.count(F.lit(1)).alias("n")
         if opt.class_budget:
-            classes, by = bounds.class_budget(bounds.class_bound(both, KEY), KEY, minutil), [*KEY, "side", "code", "digit"]
+            classes, by = bounds.class_budget(bounds.class_bound(both, KEY).observe(seen, every), KEY, minutil), [*KEY, "side", "code", "digit"]
         else:
-            classes, by = bounds.symbol_budget(both, KEY).filter(F.col("bound") >= minutil), [*KEY, "side", "code"]
+            classes, by = bounds.symbol_budget(both, KEY).observe(seen, every).filter(F.col("bound") >= minutil), [*KEY, "side", "code"]
         classes = self.tables.put(f"classes-{self.size}", classes.select(*by))
         n = classes.count()
-        self.metrics.levels[-1]["classes"] = n
+        self.metrics.levels[-1] |= {"classes": seen.get["n"], "classes_kept": n}
         if not n:
             return False
         self.size += 1
@@ -283,15 +289,33 @@ class Search:
 
 def decode(rules: DataFrame, codes: DataFrame, n_timelines: int) -> DataFrame:
     """Symbols for codes, text for numbers, ratios."""
-    rows = codes.orderBy("code").collect()  # the alphabet, which mining holds in a plan literal anyway
-    names = F.array(*[F.lit(r["sym"]) for r in rows]) if rows else F.array().cast("array<string>")
-    text = lambda c: F.transform(c, lambda k: F.element_at(names, k))
-    return rules.select(
-        text("x").alias("x"), text("y").alias("y"), "rel", R.letters(F.col("rel")).alias("rel_text"), "n_rule", "n_ante",
+    return model.named(rules, codes, "x", "y").select(
+        "x", "y", "rel", R.letters(F.col("rel"), F.size("x") + F.size("y")).alias("rel_text"), "n_rule", "n_ante",
         measures.confidence(F.col("n_rule"), F.col("n_ante")).alias("confidence"), measures.support(F.col("n_rule"), max(n_timelines, 1)).alias("support"), "utility",
     )
 
 
+def _subtrees(items: DataFrame, opt: Options, batch_timelines: int) -> tuple[DataFrame, Metrics]:
+    """Rules and metrics, the subtrees of a batch of one-to-one rules at a time; a batch's rules occur about batch_timelines times together."""
+    top = Search(items, opt)
+    stats = top.rated()
+    total = stats.agg(F.coalesce(F.sum("n_rule"), F.lit(0))).first()[0]
+    batches = max(1, -(-total // batch_timelines))
+    rules, merged = None, top.metrics
+    for b in range(batches):
+        own = Search(items, opt)
+        own.ante, own.inherited = top.ante, top.inherited
+        more = own.step_from(stats.filter(F.pmod(F.xxhash64(*KEY), F.lit(batches)) == b))
+        while more:
+            more = own.step()
+        part = top.tables.put(f"rules-{b}", own.rules())
+        rules = part if rules is None else rules.unionByName(part)
+        merged.candidates += own.metrics.candidates
+        merged.levels += [{"batch": b} | level for level in own.metrics.levels]
+        own.tables.drop("")
+    return rules, merged
+
+
 def prepare(log: DataFrame) -> tuple[DataFrame, DataFrame]:
     return model.encode_symbols(model.clean(log).good)
 
@@ -301,9 +325,8 @@ def stored(log: DataFrame) -> tuple[DataFrame, DataFrame, int, int]:
     tables = Tables(log.sparkSession, "log")
     good = tables.put("good", model.clean(log).good)
     coded, codes = model.encode_symbols(good)
-    codes = tables.put("codes", codes)
     row = good.agg(F.count_distinct("sid").alias("n"), F.coalesce(F.sum("u"), F.lit(0)).alias("u")).first()
-    return good.join(F.broadcast(codes), "sym"), codes, row["n"], row["u"]
+    return good.join(codes, "sym"), codes, row["n"], row["u"]
 
 
 def partitions(log: DataFrame) -> int:
@@ -325,8 +348,9 @@ def mine(
     zero_carry: bool = True,
     disable=frozenset(),
     engine: str = "frontier",
+    batch_timelines: int = 50_000_000,
 ) -> MiningResult:
-    """All rules with utility >= minutil and confidence >= minconf."""
+    """All rules with utility >= minutil and confidence >= minconf. batch_timelines: of the engine "subtrees"."""
     began = time.perf_counter()
     coded, codes, n_timelines, total = stored(log)
     if (minutil is None) == (minutil_ratio is None):
@@ -340,8 +364,10 @@ def mine(
         from .prefix import mine_prefixes
 
         rules, metrics = mine_prefixes(coded, opt)
+    elif engine == "subtrees":
+        rules, metrics = _subtrees(partitioned_checkpoint(timelines.items(coded, partitions(log))), opt, batch_timelines)
     elif engine == "frontier":
-        search = Search(coded, opt, partitions(log))
+        search = Search(partitioned_checkpoint(timelines.items(coded, partitions(log))), opt)
         while search.step():
             pass
         rules, metrics = search.rules(), search.metrics
@@ -360,7 +386,8 @@ def mine_top_k(log: DataFrame, k: int = 200, minconf: float = 0.6, **options) ->
     began = time.perf_counter()
     coded, codes, n_timelines, _ = stored(log)
     opt = Options(1, minconf, **options)
-    search = Search(coded, opt, partitions(log))
+    search = Search(partitioned_checkpoint(timelines.items(coded, partitions(log))), opt)
+    weights = search.tables.put("weights", bounds.symbol_weight(coded))
     order = [F.desc("utility"), F.desc(F.col("n_rule") / F.col("n_ante")), "x", "y", "rel"]
     best = None
     while True:
@@ -370,6 +397,9 @@ def mine_top_k(log: DataFrame, k: int = 200, minconf: float = 0.6, **options) ->
         best = search.tables.put(f"best-{search.size}", (found if best is None else best.unionByName(found)).orderBy(*order).limit(k))
         bar = best.agg(F.count(F.lit(1)).alias("n"), F.min("utility").alias("u")).first()
         if bar["n"] == k:
+            if search.size == 2 and bar["u"] > search.opt.minutil:  # symbols that cannot reach the new threshold join no longer rule
+                kept = weights.filter(F.col("weight") >= bar["u"]).select("code")
+                search.items = partitioned_checkpoint(search.items.join(kept, "code", "left_semi"))
             search.opt.minutil = max(search.opt.minutil, bar["u"])
         if not search.step_from(stats):
             break

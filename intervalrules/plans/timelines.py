@@ -1,4 +1,4 @@
-"""Timeline arrays: position, utility behind (tail) and the first position with the same start (tie)."""
+"""Timelines: position, utility behind (tail), the first position with the same start (tie) and the utility from there on (head)."""
 
 from __future__ import annotations
 
@@ -6,24 +6,19 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 ORDER = ("st", "ft", "code")
+COLUMNS = ("pos", "code", "st", "ft", "u", "tail", "tie", "head")
 
 
-def flat(coded: DataFrame) -> DataFrame:
-    """sid, pos, code, st, ft, u, tail, tie of each interval; one shuffle by sid serves all three windows."""
+def items(coded: DataFrame, parts: int) -> DataFrame:
+    """sid and COLUMNS of each interval, hash-partitioned and sorted by sid: the layout that all later levels keep."""
     own = Window.partitionBy("sid").orderBy(*ORDER)
-    out = coded.withColumn("pos", F.row_number().over(own))
-    behind = own.rowsBetween(1, Window.unboundedFollowing)
-    out = out.withColumn("tail", F.coalesce(F.sum("u").over(behind), F.lit(0)))
-    return out.withColumn("tie", F.min("pos").over(Window.partitionBy("sid", "st")).cast("int")).select("sid", "pos", "code", "st", "ft", "u", "tail", "tie")
+    upto, behind = own.rowsBetween(Window.unboundedPreceding, 0), own.rowsBetween(1, Window.unboundedFollowing)
+    out = coded.select("sid", "code", "st", "ft", "u").repartition(parts, "sid")
+    out = out.withColumns({"pos": F.row_number().over(own), "tail": F.coalesce(F.sum("u").over(behind), F.lit(0)), "new": F.coalesce(F.col("st") != F.lag("st").over(own), F.lit(True))})
+    first = lambda c: F.last(F.when(F.col("new"), c), ignorenulls=True).over(upto)
+    return out.withColumns({"tie": first(F.col("pos")), "head": first(F.col("tail") + F.col("u"))}).select("sid", *COLUMNS)
 
 
 def arrays(coded: DataFrame, parts: int) -> DataFrame:
-    """sid and iv, hash-partitioned by sid: the layout that all later levels keep."""
-    coded = coded.repartition(parts, "sid")
-    own = Window.partitionBy("sid").orderBy(*ORDER)
-    out = coded.withColumn("pos", F.row_number().over(own))
-    out = out.withColumn("tail", F.coalesce(F.sum("u").over(own.rowsBetween(1, Window.unboundedFollowing)), F.lit(0)))
-    ties = F.max(F.when(F.col("new"), F.col("pos"))).over(own.rowsBetween(Window.unboundedPreceding, 0))
-    out = out.withColumn("new", F.coalesce(F.col("st") != F.lag("st").over(own), F.lit(True))).withColumn("tie", ties)
-    item = F.struct("pos", "code", "st", "ft", "u", "tail", "tie")
-    return out.groupBy("sid").agg(F.array_sort(F.collect_list(item)).alias("iv"))
+    """sid and iv, the array of its intervals in order, hash-partitioned by sid."""
+    return items(coded, parts).groupBy("sid").agg(F.array_sort(F.collect_list(F.struct(*COLUMNS))).alias("iv"))

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..plans.model import LOG
+from ..plans.scratch import Tables
 
 
 def read_csv(spark: SparkSession, path: str) -> DataFrame:
@@ -53,8 +54,23 @@ def sessions(events: DataFrame, gap: int) -> DataFrame:
 
 
 def state_runs(rows: DataFrame) -> DataFrame:
-    """Columns sid, at, sym: stretches of equal symbol become intervals, the utility is their number of rows."""
-    own = Window.partitionBy("sid").orderBy("at")
+    """Columns sid, at, sym: stretches of equal symbol become intervals, the utility is their number of rows.
+
+    One series may hold all rows: it is cut into ranges of time, whose first and last runs are joined with their neighbours'.
+    """
+    tables = Tables(rows.sparkSession, "runs")
+    parts = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    dealt = rows.select("sid", "at", "sym").repartitionByRange(parts, "sid", "at").sortWithinPartitions("sid", "at").withColumn("part", F.spark_partition_id())
+    own = Window.partitionBy("part", "sid").orderBy("at")
     change = F.coalesce((F.col("sym") != F.lag("sym").over(own)).cast("int"), F.lit(1))
-    runs = rows.withColumn("change", change).withColumn("n", F.sum("change").over(own))
-    return runs.groupBy("sid", "n", "sym").agg(F.min("at").alias("st"), (F.max("at") + 1).alias("ft"), F.count(F.lit(1)).alias("u")).drop("n")
+    runs = tables.put("rows", dealt).withColumn("change", change).withColumn("n", F.sum("change").over(own))
+    runs = runs.groupBy("part", "sid", "n", "sym").agg(F.min("at").alias("st"), (F.max("at") + 1).alias("ft"), F.count(F.lit(1)).alias("u"))
+    ends = Window.partitionBy("part", "sid")
+    runs = tables.put("runs", runs.withColumn("border", (F.col("n") == F.min("n").over(ends)) | (F.col("n") == F.max("n").over(ends))))
+    # at most two rows a range and series
+    along = Window.partitionBy("sid").orderBy("part", "n")
+    fresh = F.coalesce(((F.lag("sym").over(along) != F.col("sym")) | (F.lag("part").over(along) == F.col("part"))).cast("int"), F.lit(1))
+    border = runs.filter("border").withColumn("fresh", fresh).withColumn("k", F.sum("fresh").over(along))
+    joined = border.groupBy("sid", "k", "sym").agg(F.min("st").alias("st"), F.max("ft").alias("ft"), F.sum("u").alias("u"))
+    cols = ["sid", "sym", "st", "ft", "u"]
+    return runs.filter("NOT border").select(*cols).unionByName(joined.select(*cols))

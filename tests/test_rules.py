@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from intervalrules.functions import relations as R
 from intervalrules.functions.sqlfuncs import relation
 from intervalrules.operators.rules import example
-from intervalrules.plans import baselines, bounds, ledger, model, report, search, timelines
+from intervalrules.plans import baselines, bounds, ledger, match, measures, metrics, model, prefix, report, scratch, search, timelines
 from intervalrules.plans.prefix import number
 from intervalrules.plans.variants import VARIANTS
 
@@ -78,8 +78,8 @@ def test_no_budget_counts_more_candidates(spark):
 def test_engines_equal_brute_force(spark, seed):
     log = random_log(spark, seed)
     rows = [tuple(r) for r in log.collect()]
-    for engine in ("frontier", "prefix"):
-        got = search.mine(log, minutil=30, minconf=0.5, engine=engine, max_size=5)
+    for engine in ("frontier", "prefix", "subtrees"):
+        got = search.mine(log, minutil=30, minconf=0.5, engine=engine, max_size=5, batch_timelines=30)
         assert keyed(got.rules) == brute(rows, 30, 0.5, 5), engine
 
 
@@ -100,17 +100,53 @@ def test_relation_truth_table(spark):
 
 def test_numbers_round_trip(spark):
     rng = random.Random(3)
-    rows = [([rng.randint(0, 6) for _ in range(k)],) for k in range(1, 23)]
-    df = spark.createDataFrame(rows, "d array<int>")
-    back = df.select("d", R.digits(R.number(F.col("d")), F.size("d")).alias("b")).collect()
-    assert all(list(r["d"]) == list(r["b"]) for r in back)
+    rows = [([rng.randint(0, 6) for _ in range(k)],) for k in (*range(1, 26), 40, 44, 45, 100)]
+    df = spark.createDataFrame(rows, "d array<int>").withColumn("n", R.limbs(F.col("d")))
+    for r in df.select("d", "n", R.limb_digits(F.col("n"), F.size("d")).alias("b"), R.tail_digits(F.col("d")).alias("t")).collect():
+        value = int("".join(map(str, r["d"])), 7)
+        assert list(r["d"]) == list(r["b"]) and list(r["n"]) == prefix.limbs(value, len(r["d"]))
+        assert r["t"] == len("".join(map(str, r["d"])).lstrip("0"))
     one = spark.range(1).select(R.insert_digit(F.lit(15).cast("long"), 1, F.lit(3)).alias("v")).first()["v"]
     assert one == 2 * 49 + 3 * 7 + 1  # 21 in base 7 becomes 231
 
 
+def test_numbers_of_long_timelines(spark):
+    # 60 intervals that overlap, contain and follow one another
+    iv = sorted((k // 2, k // 2 + 1 + (k * 7) % 40) for k in range(60))
+    digits = [[relation(*iv[i], *iv[j]) for i in range(j)] for j in range(1, 60)]
+    df = spark.createDataFrame([([{"st": a, "ft": b} for a, b in iv],)], "iv array<struct<st:long,ft:long>>")
+    rel = R.matrix_numbers(R.matrix(F.col("iv")))
+    row = df.select(rel.alias("rel"), R.triangle(rel, F.lit(60)).alias("t"), R.letters(rel, F.lit(60)).alias("l")).first()
+    assert [list(t) for t in row["t"]] == digits
+    assert row["rel"] == [v for k, own in enumerate(digits, 1) for v in prefix.limbs(int("".join(map(str, own)), 7), k)]
+    assert row["l"] == ";".join("".join(R.LETTERS[d] for d in own) for own in digits)
+    for n in (1, 2, 23, 24, 40, 60):
+        assert spark.range(1).select(R.limbs_before(F.lit(n)).alias("v")).first()["v"] == sum(-(-k // 22) for k in range(1, n))
+
+
+def test_rules_of_more_than_23_intervals(spark):
+    # one timeline that only the rules of all its 25 intervals can pay for
+    log = spark.createDataFrame([(1, f"s{k:02d}", k, k + 3, 1) for k in range(25)], model.LOG)
+    want = {(k, u, a, b) for k, u, a, b in keyed(search.mine(log, minutil=25, minconf=0.5, engine="prefix").rules)}
+    assert len(want) == 24  # every place of the arrow
+    got = search.mine(log, minutil=25, minconf=0.5)
+    assert keyed(got.rules) == want
+    texts = {r["rel_text"] for r in got.rules.select("rel_text").collect()}
+    assert texts == {";".join("b" * max(0, k - 3) + "m" * (k >= 3) + "o" * min(k, 2) for k in range(1, 25))}
+
+
+def test_minconf_is_exact(spark):
+    df = spark.createDataFrame([(333333, 1000000), (333334, 1000000), (1, 3), (1, 10_000_000)], "n long, a long")
+    held = lambda c: [r["v"] for r in df.select(measures.enough_confidence(F.col("n"), F.col("a"), c).alias("v")).collect()]
+    assert held("1/3") == [False, True, True, False]
+    assert held(1 / 3) == [False, True, True, False]
+    assert held(1e-7) == [True] * 4 and held(2e-7) == [True, True, True, False]
+    assert held(0.3333335) == [False, True, False, False]
+
+
 def test_ledger_and_bounds_of_the_example(spark):
     coded, codes = search.prepare(example(spark))
-    own = timelines.arrays(coded, 4)
+    own = timelines.items(coded, 4)
     opt = search.Options(1, 0.0)
     occ = search.materialise(search.extensions(search.roots(own, opt), own, "right", opt), "right", opt, 3)
     rule = occ.filter((F.col("x") == F.array(F.lit(1))) & (F.col("y") == F.array(F.lit(2), F.lit(4))) & (F.col("rel") == F.array(F.lit(0), F.lit(2)).cast("array<bigint>")))
@@ -124,9 +160,9 @@ def test_ledger_and_bounds_of_the_example(spark):
 def test_timeline_array(spark):
     rows = [(4, "A", 2, 8, 8), (4, "B", 9, 15, 10), (4, "C", 14, 20, 7), (4, "D", 14, 22, 9)]
     coded, _ = search.prepare(spark.createDataFrame(rows, model.LOG))
-    got = [(r["tail"], r["tie"]) for r in timelines.flat(coded).orderBy("pos").collect()]
-    assert got == [(26, 1), (16, 2), (9, 3), (0, 3)]
-    assert got == [(e["tail"], e["tie"]) for e in timelines.arrays(coded, 2).first()["iv"]]
+    got = [(r["tail"], r["tie"], r["head"]) for r in timelines.items(coded, 2).orderBy("pos").collect()]
+    assert got == [(26, 1, 34), (16, 2, 26), (9, 3, 16), (0, 3, 16)]
+    assert got == [(e["tail"], e["tie"], e["head"]) for e in timelines.arrays(coded, 2).first()["iv"]]
 
 
 def test_clean_and_empty(spark):
@@ -138,13 +174,34 @@ def test_clean_and_empty(spark):
 
 def test_level_growth_has_no_exchange_on_occurrences(spark):
     coded, _ = search.prepare(example(spark))
-    from intervalrules.plans.scratch import partitioned_checkpoint, static_plans
-
-    own = partitioned_checkpoint(timelines.arrays(coded, 4))
+    own = scratch.partitioned_checkpoint(timelines.items(coded, 4))
     opt = search.Options(1, 0.0)
-    with static_plans(spark):
-        plan = search.extensions(search.roots(own, opt), own, "right", opt)._jdf.queryExecution().executedPlan().toString()
-    assert "Exchange hashpartitioning" not in plan and "Cartesian" not in plan and "Python" not in plan
+    rows = scratch.in_session(search.extensions(search.roots(own, opt), own, "right", opt), scratch.fixed_plans(spark))
+    plan = rows._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan and "Cartesian" not in plan and "Python" not in plan and "NestedLoop" not in plan
+
+
+def test_the_session_keeps_its_settings(spark):
+    before = spark.conf.get("spark.sql.adaptive.enabled")
+    df = scratch.partitioned_checkpoint(spark.range(10).repartition(3, "id"))
+    assert df.sparkSession is spark and df.count() == 10 and spark.conf.get("spark.sql.adaptive.enabled") == before
+
+
+def test_shared_folder_is_demanded_on_a_cluster():
+    class Context:
+        master = "spark://host:7077"
+
+        def getCheckpointDir(self):
+            return None
+
+    class Session:
+        sparkContext = Context()
+
+        class conf:
+            get = staticmethod(lambda name, default: default)
+
+    with pytest.raises(RuntimeError):
+        scratch.shared_dir(Session())
 
 
 def test_baselines_agree(spark):
@@ -152,3 +209,36 @@ def test_baselines_agree(spark):
     assert keyed(baselines.two_stage(log, 20, 0.5, 4)) == keyed(search.mine(log, minutil=20, minconf=0.5, max_size=4).rules)
     a, b = (keyed(baselines.frequent_rules(log, 2, 0.5, 3, s)) for s in ("growth", "levelwise"))
     assert a == b
+    every = {tuple(r) for r in baselines.frequent_patterns(log, 2, 3).collect() for r in [(tuple(r["x"]), tuple(r["rel"]), r["support"])]}
+    assert every == {(tuple(r["x"]), tuple(r["rel"]), r["support"]) for r in baselines.frequent_patterns(log, 2, 3, "levelwise").collect()}
+
+
+def test_symbols_leave_in_rounds(spark):
+    # D leaves with A and B; without D's utility C is not worth enough
+    rows = [(1, "A", 1, 2, 9), (1, "B", 3, 4, 2), (2, "C", 1, 2, 20), (2, "D", 3, 4, 20), (3, "C", 1, 2, 20), (4, "E", 1, 2, 60)]
+    coded, _ = search.prepare(spark.createDataFrame(rows, model.LOG))
+    kept, trace = bounds.prune_symbols(coded, 50)
+    assert [(t["symbols"], t["removed"]) for t in trace] == [(5, 3), (2, 1), (1, 0)]
+    assert [r["sym"] for r in kept.collect()] == ["E"]
+
+
+def test_occurrences_of_rules(spark):
+    log = random_log(spark, 4, size=5)
+    coded, codes = search.prepare(log)
+    rules = search.mine(log, minutil=25, minconf=0.3, max_size=4).rules.withColumn("rule_id", report.key_text()).collect()
+    number_of = {r["sym"]: r["code"] for r in codes.collect()}
+    own = spark.createDataFrame([(r["rule_id"], [number_of[s] for s in r["x"]], [number_of[s] for s in r["y"]], r["rel"]) for r in rules], "rule_id string, x array<int>, y array<int>, rel array<bigint>")
+    arrays = timelines.arrays(coded, 3)
+    got = match.occurrences(own, arrays).groupBy("rule_id").agg(F.count_distinct("sid").alias("n"), F.max("u").alias("u")).collect()
+    assert {r["rule_id"]: r["n"] for r in got} == {r["rule_id"]: r["n_rule"] for r in rules}
+    ante = match.occurrences(own, arrays, "ante").groupBy("rule_id").agg(F.count_distinct("sid").alias("n")).collect()
+    assert {r["rule_id"]: r["n"] for r in ante} == {r["rule_id"]: r["n_ante"] for r in rules}
+    one = rules[0]
+    w = [number_of[s] for s in (*one["x"], *one["y"])]
+    assert match.pattern_occurrences(arrays, w, list(one["rel"]), len(one["x"])).select("sid").distinct().count() == one["n_rule"]
+
+
+def test_cost_of_a_run(spark):
+    got = metrics.run(example(spark), minutil=35, minconf=0.6)
+    assert (got["candidates"], got["rules"]) == (16, 5) and got["seconds"] > 0 and got["task_ms"] > 0 and got["bytes_base7"] <= got["bytes_matrix"]
+    assert [level["size"] for level in got["levels"]][0] == 2
