@@ -42,7 +42,7 @@ BLOCK = frozenset("address article aside blockquote body center dd details dialo
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 PART = re.compile(r"[^a-z0-9]+")
 SPACE = re.compile(r"\s+")
-PATHS, WORDS, NUMBERS = 96, 32, 5
+PATHS, WORDS, NUMBERS = 160, 32, 5
 WIDTH = PATHS + WORDS + NUMBERS
 
 
@@ -122,16 +122,17 @@ def blocks_of(page: str) -> list[tuple[tuple[str, ...], str, int]]:
     return out
 
 
-_SLOT: dict[str, tuple[int, float]] = {}
+_SLOTS: dict[str, tuple[tuple[int, float], ...]] = {}
 
 
-def slot(part: str) -> tuple[int, float]:
-    found = _SLOT.get(part)
+def slots(part: str) -> tuple[tuple[int, float], ...]:
+    """Two places of a path part with their signs, so that hardly any two parts are alike."""
+    found = _SLOTS.get(part)
     if found is None:
         h = zlib.crc32(part.encode())
-        found = (h % PATHS, 1.0 if h & 0x10000 else -1.0)
-        if len(_SLOT) < 100_000:
-            _SLOT[part] = found
+        found = tuple((v % PATHS, 1.0 if v & 0x8000 else -1.0) for v in (h & 0xFFFF, h >> 16))
+        if len(_SLOTS) < 100_000:
+            _SLOTS[part] = found
     return found
 
 
@@ -156,8 +157,8 @@ def vectors(pages: list[list[tuple]]) -> np.ndarray:
         if row is None:
             row = known[path] = np.zeros(PATHS, np.float32)
             for p in path:
-                at, sign = slot(p)
-                row[at] += sign
+                for at, sign in slots(p):
+                    row[at] += sign
         x[i, :PATHS] = row
         size = len(text)
         x[i, PATHS + WORDS :] = (min(np.log1p(size) / 8, 1.5), min(1.0, linked / size), (k + 1) / n, text[-1] in ".!?", 1.0)
@@ -229,7 +230,7 @@ class BiLstm:
                 dc = dct * f + dc * ~m
         return float(loss), g
 
-    def fit(self, pages, labels, epochs: int = 4, batch: int = 32, rate: float = 0.01, seed: int = 5) -> "BiLstm":
+    def fit(self, pages, labels, epochs: int = 8, batch: int = 16, rate: float = 0.01, seed: int = 5) -> "BiLstm":
         rng = np.random.default_rng(seed)
         order = [k for k in range(len(pages)) if pages[k]]
         m = {k: np.zeros_like(v) for k, v in self.p.items()}
@@ -251,7 +252,7 @@ class BiLstm:
                     d = g[k] * min(1.0, 5 / (norm + 1e-9))
                     m[k] = 0.9 * m[k] + 0.1 * d
                     v[k] = 0.999 * v[k] + 0.001 * d**2
-                    self.p[k] = (w - rate * 0.6**epoch * m[k] / (1 - 0.9**t) / (np.sqrt(v[k] / (1 - 0.999**t)) + 1e-8)).astype(np.float32)
+                    self.p[k] = (w - rate * 0.75**epoch * m[k] / (1 - 0.9**t) / (np.sqrt(v[k] / (1 - 0.999**t)) + 1e-8)).astype(np.float32)
         return self
 
     def label(self, pages) -> list[np.ndarray]:
@@ -310,23 +311,41 @@ EXTRAS = (
 )
 
 
+INNERS = (("p",), ("div",), *(("ul", "li"), ("ol", "li")) * 6, ("blockquote",), ("blockquote", "p"), ("pre",), ("table", "tbody", "tr", "td"), ("table", "tr", "th"), ("section", "p"), ("h2",), ("h3",), ("dl", "dd"), ("figure", "figcaption"), ("div", "class:text", "p"))
+VARIATIONS = 8  # of each training page
+WRAPPED = (0, 0, 0, 1, 2, 4, 12, 60)
+
+
 def varied(page: list[tuple], label: list[bool], pool: list[str], rng) -> tuple[list[tuple], list[bool]]:
-    """Another container for the article and some extra parts before, inside and after it."""
+    """Another container for the article, other elements for some of its paragraphs, some blocks left out and some extra parts before, inside and after it."""
     container = CONTAINERS[rng.integers(len(CONTAINERS))]
+    wrapper = ("div",) * WRAPPED[rng.integers(len(WRAPPED))]
+    restyled, left_out = rng.choice((0.0, 0.2, 0.6)), rng.choice((0.0, 0.0, 0.4))
     out = []
     for (path, text, linked), y in zip(page, label):
+        if rng.random() < left_out:  # pages without a heading, a menu, a footer
+            continue
         if y:
-            path = tuple(q for p in path for q in (container if p == "article" else (p,)))
+            if path[-1] == "p" and rng.random() < restyled:
+                path = path[:-1] + INNERS[rng.integers(len(INNERS))]
+                if rng.random() < 0.4:  # a few words of any block: it is the place that counts
+                    words = pool[rng.integers(len(pool))].split()
+                    text = " ".join(words[: 1 + int(rng.integers(4))]) or text
+                    linked = 0
+            path = tuple(q for p in path for q in ((*container, *wrapper) if p == "article" else (p,)))
         out.append((path, text, linked, y))
     root = ("html", "body")
     for _ in range(rng.integers(0, 5)):
         outer, inner = EXTRAS[rng.integers(len(EXTRAS))]
-        nested = rng.random() < 0.25
-        at = int(rng.integers(0, len(out) + 1))
-        if not nested:  # between top-level parts
+        nested = rng.random() < 0.55
+        own = [k for k, b in enumerate(out) if b[3]]
+        if nested and own:  # inside the article
+            at = int(rng.integers(own[0], own[-1] + 2))
+        else:  # between top-level parts
+            nested = False
             edges = [k for k in range(len(out) + 1) if k in (0, len(out)) or out[k - 1][3] != out[k][3]]
             at = int(rng.choice(edges))
-        path = (*root, *(container if nested else ()), *outer, *inner)
+        path = (*root, *((*container, *wrapper) if nested else ()), *outer, *inner)
         new = []
         for _ in range(rng.integers(1, 5)):
             words = pool[rng.integers(len(pool))]
@@ -350,7 +369,7 @@ def train(pages: DataFrame, sample: int = 240, sample_bytes: int = 4 << 20, stre
         y = [weak_label(b[0], has) for b in page]
         xs.append(page)
         ys.append(y)
-        for _ in range(3):
+        for _ in range(VARIATIONS):
             x, z = varied(page, y, pool, rng)
             xs.append(x)
             ys.append(z)

@@ -339,7 +339,9 @@ def train(docs: DataFrame, sample: int = 2000, sample_bytes: int = 16 << 20) ->
     rows = bounded_sample(rows, "text", sample, sample_bytes)
     graph = Graph()
     for n, text in enumerate(rows.column(0).to_pylist()):
-        seeds = [(m.start(g), 4, m.end(g)) for m in SECRET.finditer(text) for g in (1, 2) if m.start(g) >= 0]
+        values = {m.group(g) for m in SECRET.finditer(text) for g in (1, 2) if m.group(g)}
+        # a secret is one wherever it stands
+        seeds = [(m.start(), 4, m.end()) for v in values for m in re.finditer(rf"(?<![A-Za-z0-9]){re.escape(v)}(?![A-Za-z0-9])", text)]
         base = base_spans(text)
         seeds = [s for s in seeds if not any(a < s[2] and b > s[0] for a, _, b in base)]
         graph.add(n, text, sorted(base + seeds))

@@ -1,6 +1,7 @@
 """Each operator against a brute-force version, and its edge cases."""
 
 import hashlib
+import json
 import random
 import re
 import zlib
@@ -235,7 +236,7 @@ def test_prediction_equals_plain_convolution():
 def test_language_of_many_labels_repeated_and_missing_ids(spark):
     # 70 languages, one of which holds most rows, under one id or none
     alphabet = [chr(0x4E00 + 40 * k) + chr(0x4E01 + 40 * k) for k in range(70)]
-    rows = [(None if k % 2 else 5, " ".join(rng.choice(alphabet[k]) * 3 for _ in range(60)), f"l{k}", "z") for rng in [random.Random(4)] for k in range(70) for _ in range(3 if k else 300)]
+    rows = [(None if k % 2 else 6, " ".join(rng.choice(alphabet[k]) * 3 for _ in range(60)), f"l{k}", "z") for rng in [random.Random(4)] for k in range(70) for _ in range(3 if k else 300)]
     df = spark.createDataFrame(rows, "doc_id long, text string, lang string, lang_pred string").repartition(3)
     net = langid.train(df, texts=700)
     assert len(net.labels) == 70
@@ -546,17 +547,21 @@ def test_main_text(spark):
 LABELLED = [
     ("<article><h1>Head</h1><p>one &lt;two&gt;\n three</p></article>", ["Head", "one <two> three"]),
     ("<div class='content'><h2>Head</h2><svg class='i'/><p>one</p><template-part></template-part><p>two</p></div>", ["Head", "one", "two"]),
-    ("<main><p>one</p><select><p>two</p></main>", ["one", "two"]),
-    ("<article><p>one</p><noscript>no</noscript><p>two<p>three<ul><li>four<li>five</ul></article>", ["one", "two", "three", "four", "five"]),
-    ("<article><p>one</p><aside class='sidebar'><p>other</p></aside><p>two</p></article>", ["one", "two"]),
-    ("<article><p>one <b>bold</b> <a href=x>link</a>.</p><table><tr><td>cell</td></tr></table></article>", ["one bold link.", "cell"]),
-    ("<article><p>one</p><form><label>mail</label><input></form><p>two</p></article><section class='comments'><div class='comment'>said</div></section>", ["one", "two"]),
-    ("<div class='post'>" + "<div>" * 300 + "<p>deep</p>" + "</div>" * 300 + "<p>after</p></div>", ["deep", "after"]),
-    ("<article><blockquote>quoted</blockquote><pre>code  here</pre><!-- <p>hidden</p> --><p>end</p></article>", ["quoted", "code here", "end"]),
-    ("<article><p>one<script>var a = '<p>x</p>';</script></p><style>p {}</style><object-view>two</object-view></article>", ["one", "two"]),
+    ("<main><h1>Head</h1><p>one</p><select><p>two</p></main>", ["Head", "one", "two"]),
+    ("<article><h1>Head</h1><p>one</p><noscript>no</noscript><p>two<p>three<ul><li>four<li>five</ul></article>", ["Head", "one", "two", "three", "four", "five"]),
+    ("<article><h1>Head</h1><p>one</p><aside class='sidebar'><p>other</p></aside><p>two</p></article>", ["Head", "one", "two"]),
+    ("<article><h1>Head</h1><p>one <b>bold</b> <a href=x>link</a>.</p><table><tr><td>cell</td></tr></table></article>", ["Head", "one bold link.", "cell"]),
+    ("<article><h1>Head</h1><p>one</p><form><label>mail</label><input></form><p>two</p></article><section class='comments'><div class='comment'>said</div></section>", ["Head", "one", "two"]),
+    ("<div class='post'><h1>Head</h1>" + "<div>" * 300 + "<p>deep</p>" + "</div>" * 300 + "<p>after</p></div>", ["Head", "deep", "after"]),
+    ("<article><h1>Head</h1><blockquote>quoted</blockquote><pre>code  here</pre><!-- <p>hidden</p> --><p>end</p></article>", ["Head", "quoted", "code here", "end"]),
+    ("<article><h1>Head</h1><p>one<script>var a = '<p>x</p>';</script></p><style>p {}</style><object-view>two</object-view></article>", ["Head", "one", "two"]),
 ]
 
 
+# each word stands for a sentence like those of the training pages
+LABELLED = [tuple(json.loads(re.sub(r"\b(one|two|three|four|five|deep|after|end|other|said|bold|cell|quoted)\b", lambda m: prose(random.Random(m.group()), 8), json.dumps(v))) for v in row) for row in LABELLED]
+
+
 def test_labelled_pages(spark):
     rng = random.Random(17)
     around = lambda main, n: f"<html><head><title>t{n}</title></head><body><header class='site'><nav><ul><li><a href=x>home</a><li><a href=y>news</a></ul></nav></header><div class='cookie-notice'><p>we use cookies {n}</p></div>{main}<div class='ad'>buy {n}</div><aside><ul><li><a href=z>related {n}</a></ul></aside><footer><p>&copy; {n} all rights</p></footer></body></html>"
