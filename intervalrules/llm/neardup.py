@@ -175,15 +175,21 @@ def local_join(k: int, dtype: str):
     return run
 
 
-def merged(lists: DataFrame, k: int, wide: DataFrame | None = None, width: int = 0) -> DataFrame:
-    """One list for each id: the k best, or the `width` best of the ids in wide."""
+def merged(lists: DataFrame, better: DataFrame | None, k: int, wide: DataFrame | None = None, width: int = 0) -> DataFrame:
+    """One list for each id, the k best or, of the ids in wide, the `width` best; fresh: how many of its entries came from `better` alone."""
     # the same neighbour may come with similarities that differ in the last bit
-    flat = lists.select("id", F.inline("near")).repartition("id").groupBy("id", "j").agg(F.max("s").alias("s"))
-    best = flat.groupBy("id").agg(F.sort_array(F.collect_list(F.struct("s", "j")), asc=False).alias("near"))
-    if wide is None:
-        return best.withColumn("near", F.slice("near", 1, k))
-    best = best.join(wide.withColumn("wide", F.lit(True)), "id", "left")
-    return best.select("id", F.slice("near", F.lit(1), F.when(F.col("wide"), F.lit(width)).otherwise(F.lit(max(k, width // 2)))).alias("near"))
+    flat = lists.select("id", F.inline("near")).withColumn("new", F.lit(0))
+    if better is not None:
+        flat = flat.unionByName(better.select("id", F.inline("near")).withColumn("new", F.lit(1)))
+    flat = flat.repartition("id").groupBy("id", "j").agg(F.max("s").alias("s"), F.min("new").alias("new"))
+    best = flat.groupBy("id").agg(F.sort_array(F.collect_list(F.struct("s", "j", "new")), asc=False).alias("near"))
+    places = F.lit(k)
+    if wide is not None:
+        best = best.join(wide.withColumn("wide", F.lit(True)), "id", "left")
+        places = F.when(F.col("wide"), F.lit(width)).otherwise(F.lit(max(k, width // 2)))
+    best = best.withColumn("near", F.slice("near", F.lit(1), places))
+    fresh = F.aggregate("near", F.lit(0), lambda n, e: n + e["new"])
+    return best.select("id", F.transform("near", lambda e: F.struct(e["s"].alias("s"), e["j"].alias("j"))).alias("near"), fresh.alias("fresh"))
 
 
 def saturated(lists: DataFrame, threshold: float) -> DataFrame:
@@ -316,15 +322,14 @@ def settled(lists: DataFrame, vecs: DataFrame, n: int, k: int, settle: float, dt
 
     Entries only improve, so it ends.
     """
-    lists, turn = scratch.table("lists-0", merged(lists, k)), 0
+    lists, turn = scratch.table("lists-0", merged(lists, None, k)), 0
     wide, width, places = None, 0, n * k
     while places:
         new = places
         while new > settle * places:
             better = descent_round(lists, vecs, k, dtype, window, parts, turn, wide, width)
-            after = scratch.table(f"lists-{turn + 1}", merged(lists.unionByName(better), k, wide, width))
-            now, old = after.select("id", F.col("near.j").alias("now")), lists.select("id", F.col("near.j").alias("old"))
-            new = now.join(old, "id").agg(F.coalesce(F.sum(F.size(F.array_except("now", "old"))), F.lit(0))).first()[0]
+            after = scratch.table(f"lists-{turn + 1}", merged(lists, better, k, wide, width))
+            new = after.agg(F.coalesce(F.sum("fresh"), F.lit(0))).first()[0]
             scratch.drop(f"lists-{turn}")
             lists, turn = after, turn + 1
         width = 2 * max(k, width)
@@ -407,7 +412,7 @@ def near_duplicates(vectors: DataFrame, threshold: float = 0.95, k: int = 8, mee
         spread = max(1, min(parts, n * trees // (32 * window)))
         codes = codes.repartitionByRange(spread, "tree", "size", "code", "id").sortWithinPartitions("tree", "size", "code", "id")
         start = codes.mapInArrow(around(k, dtype, window), LISTS)
-        start = start if lists is None else start.unionByName(lists)
+        start = start if lists is None else start.unionByName(lists.select("id", "near"))
         lists = settled(start, reps.select("id", "vec"), n, k, settle, dtype, window, parts, step, threshold, widest or 2 * k)
         found = linked(reps, lists, threshold, dtype, block, parts, step)
         recall = audit_recall(reps, found.select("id", "n"), threshold, dtype, sample, seed + attempt)
