@@ -8,7 +8,7 @@ from __future__ import annotations
 
 from collections.abc import Iterable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..plans import metrics, model, search
@@ -36,7 +36,7 @@ EXACT = "log string, minutil_ppm long, variant string, candidates long, rules lo
 COST = "ms long, task_ms long, executor_heap_mb long, driver_python_mb long, peak_execution_mb long, shuffle_mb long, spill_mb long"
 
 
-def sweep(spark, log: str, rows: DataFrame, ratios: Iterable[float], variants: Iterable[str], minconf: float, cap: int | None) -> DataFrame:
+def sweep(spark: SparkSession, log: str, rows: DataFrame, ratios: Iterable[float], variants: Iterable[str], minconf: float, cap: int | None) -> DataFrame:
     """One row for each threshold and variant."""
     out = []
     for ratio in ratios:
@@ -47,14 +47,14 @@ def sweep(spark, log: str, rows: DataFrame, ratios: Iterable[float], variants: I
     return spark.createDataFrame(out, f"{EXACT}, {COST}")
 
 
-# log: thresholds, variants, minconf, cap of the search, cap of the enumeration
+# log: thresholds, variants of the exact and of the cost sweep, minconf, cap of the search, cap of the enumeration
 SWEEPS = {
-    "short_order_spans": ((0.0005, 0.001, 0.002, 0.01), ("full", "matrix", "no_budget"), 0.05, None, 7),
-    "items_by_type": ((0.002, 0.01), ("full", "matrix", "no_budget"), 0.03, 4, 4),
-    "items_by_brand": ((0.004, 0.007), ("full", "no_budget"), 0.05, 4, 4),
-    "quarter_spans": ((0.01, 0.02), ("full", "matrix"), 0.1, 4, 4),
-    "user_weeks": ((0.04, 0.045, 0.05, 0.055, 0.06, 0.065, 0.07), ("full", "matrix"), 0.25, 3, 3),
-    "talk_turns": ((0.1, 0.2), ("full", "matrix", "no_budget"), 0.6, None, 8),
+    "short_order_spans": ((0.0005, 0.002, 0.01), ("full", "no_budget"), ("full", "matrix", "no_budget"), 0.05, None, 7),
+    "items_by_type": ((0.002, 0.01), ("full", "no_budget"), ("full", "matrix", "no_budget"), 0.03, 4, 4),
+    "items_by_brand": ((0.004, 0.007), ("full", "no_budget"), ("full", "no_budget"), 0.05, 4, 4),
+    "quarter_spans": ((0.01, 0.02), ("full", "matrix"), ("full", "matrix"), 0.1, 4, 4),
+    "user_weeks": ((0.04, 0.045, 0.05, 0.055, 0.06, 0.065, 0.07), ("full",), ("full", "matrix"), 0.25, 3, 3),
+    "talk_turns": ((0.1, 0.2), ("full", "no_budget"), ("full", "matrix", "no_budget"), 0.6, None, 8),
 }
 
 
@@ -62,10 +62,10 @@ def _costs(df: DataFrame) -> DataFrame:
     return df.select("log", "minutil_ppm", "variant", *[c.split()[0] for c in COST.split(", ")])
 
 
-for _log, (_ratios, _variants, _conf, _cap, _all) in SWEEPS.items():
-    _run = lambda spark, d, n=_log, a=(_ratios, _variants, _conf, _cap): sweep(spark, n, T.LOGS[n](spark, d), *a)
-    query(f"sweep_{_log}", O.sweep(_log, _ratios, _variants, _conf, _all))(lambda spark, d, f=_run: f(spark, d).select(*[c.split()[0] for c in EXACT.split(", ")]))
-    query(f"sweep_cost_{_log}")(lambda spark, d, f=_run: _costs(f(spark, d)))
+for _log, (_ratios, _exact, _timed, _conf, _cap, _all) in SWEEPS.items():
+    _run = lambda spark, d, variants, n=_log, a=_ratios, c=_conf, m=_cap: sweep(spark, n, T.LOGS[n](spark, d), a, variants, c, m)
+    query(f"sweep_{_log}", O.sweep(_log, _ratios, _exact, _conf, _all))(lambda spark, d, f=_run, v=_exact: f(spark, d, v).select(*[c.split()[0] for c in EXACT.split(", ")]))
+    query(f"sweep_cost_{_log}")(lambda spark, d, f=_run, v=_timed: _costs(f(spark, d, v)))
 
 
 @query("sweep_cost_synthetic")

@@ -209,6 +209,9 @@ def antecedent_of(rel: Column, x: Column) -> Column:
     return F.slice(rel, 1, R.limbs_before(F.size(x)))
 
 
+LEVEL = [F.count(F.lit(1)).alias("candidates"), F.sum("n_occ").alias("occurrences"), F.count_if(F.col("grow_left")).alias("left"), F.count_if(F.col("grow_right")).alias("right")]
+
+
 class Search:
     """State of one run; step() advances a level."""
 
@@ -230,24 +233,31 @@ class Search:
         keyed = stats.withColumn("xrel", antecedent_of(F.col("rel"), F.col("x")))
         return keyed.join(fresh, ["x", "xrel"]).drop("xrel")
 
-    def rated(self) -> DataFrame:
-        """Statistics of this level's rules with their antecedent counts."""
+    def rated(self, gated: bool = False) -> DataFrame:
+        """Statistics of this level's rules with their antecedent counts; with `gated` also what may grow, counted while they are written."""
         stats = self.tables.put(f"stats-{self.size}", rule_stats(self.occ, self.opt))
         if self.size > 2:
             wanted = stats.filter(F.size("y") == 1).select("x", antecedent_of(F.col("rel"), F.col("x")).alias("xrel")).distinct()
             self.ante = partitioned_checkpoint(grow_antecedents(self.ante, self.items, wanted, self.size, self.opt))
-        out = self.tables.put(f"rated-{self.size}", self._with_antecedents(stats))
+        full = self._with_antecedents(stats)
+        if gated:
+            self.seen = Observation()
+            full = gates(full, self.opt, self.opt.minutil, self.size).observe(self.seen, *LEVEL)
+        out = self.tables.put(f"rated-{self.size}", full)
         self.inherited = out.select("x", antecedent_of(F.col("rel"), F.col("x")).alias("xrel"), "n_ante").distinct()
         return out
 
     def step(self) -> bool:
-        return self.step_from(self.rated())
+        stats = self.rated(gated=True)
+        return self.step_from(stats, self.seen.get)
 
-    def step_from(self, stats: DataFrame) -> bool:
-        """Rules of this level; prepares the next one. False when nothing can grow."""
+    def step_from(self, stats: DataFrame, level: dict | None = None) -> bool:
+        """Rules of this level; prepares the next one. False when nothing can grow. level: counts of gated statistics."""
         opt, minutil = self.opt, self.opt.minutil
-        stats = gates(stats, opt, minutil, self.size)
-        level = stats.agg(F.count(F.lit(1)).alias("candidates"), F.coalesce(F.sum("n_occ"), F.lit(0)).alias("occurrences"), F.count_if("grow_left").alias("left"), F.count_if("grow_right").alias("right")).first().asDict()
+        if level is None:
+            stats = gates(stats, opt, minutil, self.size)
+            level = stats.agg(*LEVEL).first().asDict()
+        level = {k: v or 0 for k, v in level.items()}
         good = (F.col("utility") >= minutil) & measures.enough_confidence(F.col("n_rule"), F.col("n_ante"), opt.minconf)
         self.found.append(stats.filter(good).select(*KEY, "n_rule", "n_ante", "utility"))
         self.metrics.candidates += level["candidates"]
@@ -261,14 +271,14 @@ class Search:
         for rows in grown.values():
             part = rows.select("sid", *KEY, "side", "code", "digit", "bound")
             both = part if both is None else both.unionByName(part)
-        seen = Observation()
+        seen, kept = Observation(), Observation()
         every = F.count(F.lit(1)).alias("n")
         if opt.class_budget:
             classes, by = bounds.class_budget(bounds.class_bound(both, KEY).observe(seen, every), KEY, minutil), [*KEY, "side", "code", "digit"]
         else:
             classes, by = bounds.symbol_budget(both, KEY).observe(seen, every).filter(F.col("bound") >= minutil), [*KEY, "side", "code"]
-        classes = self.tables.put(f"classes-{self.size}", classes.select(*by))
-        n = classes.count()
+        classes = self.tables.put(f"classes-{self.size}", classes.select(*by).observe(kept, every))
+        n = kept.get["n"]
         self.metrics.levels[-1] |= {"classes": seen.get["n"], "classes_kept": n}
         if not n:
             return False

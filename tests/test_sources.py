@@ -4,9 +4,10 @@ import random
 
 from pyspark.sql import functions as F
 
-from intervalrules.plans import model, report, search
-from intervalrules.sources import formats, sinks, synth
+from intervalrules.functions import sqlfuncs
 from intervalrules.operators.rules import EXAMPLE_ROWS, example
+from intervalrules.plans import model, report, search
+from intervalrules.sources import formats, sinks, synth, tables
 
 
 def rows_of(df):
@@ -59,6 +60,13 @@ def test_state_runs_over_range_borders(spark):
         assert sorted(tuple(r) for r in got.select("sid", "sym", "st", "ft", "u").collect()) == sorted(want)
 
 
+def test_views_and_table_functions(spark):
+    tables.register_views(spark, "/root/testdata/sf0.001", ["region", "events"])
+    assert spark.sql("SELECT count(*) AS n FROM region").first()["n"] == 5
+    example(spark).createOrReplaceTempView("example_log")
+    assert sqlfuncs.mine_rules(spark, "example_log", minutil=35, minconf=0.6).count() == 5
+
+
 def test_generated_logs_do_not_depend_on_partitions(spark):
     a = rows_of(synth.interval_log(spark, 50, 20, 6))
     spark.conf.set("spark.sql.leafNodeDefaultParallelism", "3")
