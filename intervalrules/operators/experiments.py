@@ -111,3 +111,13 @@ def pruning_detail(spark, d):
         got = search.mine(T.short_order_spans(spark, d), minutil_ratio=0.001, minconf=0.05, **VARIANTS[variant]).metrics
         rows += [(variant, level["size"], level["candidates"], level["occurrences"], level["left"], level["right"], level.get("classes", 0), level.get("classes_kept", 0)) for level in got.levels]
     return spark.createDataFrame(rows, "variant string, size int, candidates long, occurrences long, grow_left long, grow_right long, classes long, classes_kept long")
+
+
+_FEW = ("short_order_spans", (0.002,), ("full", "no_budget"), 0.05)
+
+
+@query("candidates_by_variant", f"SELECT variant, minutil_ppm, candidates, rules FROM ({O.sweep(*_FEW, 7)})")
+def candidates_by_variant(spark, d):
+    """Candidates with and without the class budget; the rules are the same."""
+    log, ratios, variants, minconf = _FEW
+    return sweep(spark, log, T.LOGS[log](spark, d), ratios, variants, minconf, None).select("variant", "minutil_ppm", "candidates", "rules")

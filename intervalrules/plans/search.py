@@ -209,7 +209,9 @@ def antecedent_of(rel: Column, x: Column) -> Column:
     return F.slice(rel, 1, R.limbs_before(F.size(x)))
 
 
-LEVEL = [F.count(F.lit(1)).alias("candidates"), F.sum("n_occ").alias("occurrences"), F.count_if(F.col("grow_left")).alias("left"), F.count_if(F.col("grow_right")).alias("right")]
+def _level() -> list[Column]:
+    """Counts of gated statistics."""
+    return [F.count(F.lit(1)).alias("candidates"), F.sum("n_occ").alias("occurrences"), F.count_if(F.col("grow_left")).alias("left"), F.count_if(F.col("grow_right")).alias("right")]
 
 
 class Search:
@@ -242,7 +244,7 @@ class Search:
         full = self._with_antecedents(stats)
         if gated:
             self.seen = Observation()
-            full = gates(full, self.opt, self.opt.minutil, self.size).observe(self.seen, *LEVEL)
+            full = gates(full, self.opt, self.opt.minutil, self.size).observe(self.seen, *_level())
         out = self.tables.put(f"rated-{self.size}", full)
         self.inherited = out.select("x", antecedent_of(F.col("rel"), F.col("x")).alias("xrel"), "n_ante").distinct()
         return out
@@ -256,7 +258,7 @@ class Search:
         opt, minutil = self.opt, self.opt.minutil
         if level is None:
             stats = gates(stats, opt, minutil, self.size)
-            level = stats.agg(*LEVEL).first().asDict()
+            level = stats.agg(*_level()).first().asDict()
         level = {k: v or 0 for k, v in level.items()}
         good = (F.col("utility") >= minutil) & measures.enough_confidence(F.col("n_rule"), F.col("n_ante"), opt.minconf)
         self.found.append(stats.filter(good).select(*KEY, "n_rule", "n_ante", "utility"))
