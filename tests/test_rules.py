@@ -124,15 +124,35 @@ def test_numbers_of_long_timelines(spark):
         assert spark.range(1).select(R.limbs_before(F.lit(n)).alias("v")).first()["v"] == sum(-(-k // 22) for k in range(1, n))
 
 
+def numbers(iv):
+    """Relation list of intervals in order."""
+    return [v for k in range(1, len(iv)) for v in prefix.limbs(number(iv[:k], iv[k]), k)]
+
+
 def test_rules_of_more_than_23_intervals(spark):
     # one timeline that only the rules of all its 25 intervals can pay for
-    log = spark.createDataFrame([(1, f"s{k:02d}", k, k + 3, 1) for k in range(25)], model.LOG)
-    want = {(k, u, a, b) for k, u, a, b in keyed(search.mine(log, minutil=25, minconf=0.5, engine="prefix").rules)}
-    assert len(want) == 24  # every place of the arrow
-    got = search.mine(log, minutil=25, minconf=0.5)
-    assert keyed(got.rules) == want
-    texts = {r["rel_text"] for r in got.rules.select("rel_text").collect()}
+    rows = [(1, f"s{k:02d}", k, k + 3, 1) for k in range(1, 27)]
+    log = spark.createDataFrame(rows[:25], model.LOG)
+    got = search.mine(log, minutil=25, minconf=0.5, engine="prefix").rules
+    assert got.count() == 24  # every place of the arrow
+    texts = {r["rel_text"] for r in got.select("rel_text").collect()}
     assert texts == {";".join("b" * max(0, k - 3) + "m" * (k >= 3) + "o" * min(k, 2) for k in range(1, 25))}
+    # a rule of 23 intervals, s01 .. s12 -> s14 .. s24, grown by s13 on the left and by s25 or s26 on the right
+    coded, _ = search.prepare(spark.createDataFrame(rows, model.LOG))
+    items, opt = timelines.items(coded, 2), search.Options(1, 0.0)
+    points = lambda codes: [(k, k + 3) for k in codes]
+    x, y = list(range(1, 13)), list(range(14, 25))
+    kind = "sid long, x array<int>, y array<int>, rel array<bigint>, xi array<struct<st:long,ft:long>>, yi array<struct<st:long,ft:long>>, last_x int, tie_y int, last_y int, tail_x long, tail_tie long, tail_y long, u long, open long, right long"
+    occ = spark.createDataFrame([(1, x, y, numbers(points(x + y)), points(x), points(y), 12, 14, 24, 14, 13, 2, 23, 24, 25)], kind)
+    for side, want in (("left", [(x + [13], y)]), ("right", [(x, y + [25]), (x, y + [26])])):
+        grown = search.materialise(search.extensions(occ, items, side, opt), side, opt, 24).select("x", "y", "rel", "u").collect()
+        assert sorted((r["x"], r["y"], r["rel"], r["u"]) for r in grown) == [(a, b, numbers(points(a + b)), 24) for a, b in want]
+    ante = spark.createDataFrame([(1, x + y, numbers(points(x + y)), points(x + y), 24)], "sid long, x array<int>, xrel array<bigint>, xi array<struct<st:long,ft:long>>, last_x int")
+    longer = x + y + [26]
+    wanted = spark.createDataFrame([(longer, numbers(points(longer)))], "x array<int>, xrel array<bigint>")
+    assert [r["last_x"] for r in search.grow_antecedents(ante, items, wanted, 25, opt).collect()] == [26]
+    rule = spark.createDataFrame([(longer, [99], numbers(points(longer)) + [0, 0])], "x array<int>, y array<int>, rel array<bigint>")
+    assert rule.select(search.antecedent_of(F.col("rel"), F.col("x")).alias("r")).first()["r"] == numbers(points(longer))
 
 
 def test_minconf_is_exact(spark):
