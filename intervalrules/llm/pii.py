@@ -335,7 +335,8 @@ def finder(field: Field, least: float, redacting: bool):
 
 def train(docs: DataFrame, sample: int = 2000, sample_bytes: int = 16 << 20) -> Field:
     """Learns from whole texts: at most `sample` of those with a candidate, of at most `sample_bytes` together."""
-    rows = docs.select(F.col("text").cast("string").alias("text")).filter(F.col("text").rlike("[0-9@]") | F.col("text").rlike(f"(?i){KEYWORD}"))
+    named = F.col("text").rlike("[=:]") & F.col("text").rlike(f"(?i){KEYWORD}")  # a keyword ends with one of the signs
+    rows = docs.select(F.col("text").cast("string").alias("text")).filter(F.col("text").rlike("[0-9@]") | named)
     rows = bounded_sample(rows, "text", sample, sample_bytes)
     graph = Graph()
     for n, text in enumerate(rows.column(0).to_pylist()):
