@@ -49,12 +49,12 @@ def sweep(spark: SparkSession, log: str, rows: DataFrame, ratios: Iterable[float
 
 # log: thresholds, variants of the exact and of the cost sweep, minconf, cap of the search, cap of the enumeration
 SWEEPS = {
-    "short_order_spans": ((0.0005, 0.002, 0.01), ("full", "no_budget"), ("full", "matrix", "no_budget"), 0.05, None, 7),
+    "short_order_spans": ((0.002, 0.01), ("full", "no_budget"), ("full", "matrix", "no_budget"), 0.05, None, 7),
     "items_by_type": ((0.002, 0.01), ("full", "no_budget"), ("full", "matrix", "no_budget"), 0.03, 4, 4),
     "items_by_brand": ((0.004, 0.007), ("full", "no_budget"), ("full", "no_budget"), 0.05, 4, 4),
     "quarter_spans": ((0.01, 0.02), ("full", "matrix"), ("full", "matrix"), 0.1, 4, 4),
     "user_weeks": ((0.04, 0.045, 0.05, 0.055, 0.06, 0.065, 0.07), ("full",), ("full", "matrix"), 0.25, 3, 3),
-    "talk_turns": ((0.1, 0.2), ("full", "no_budget"), ("full", "matrix", "no_budget"), 0.6, None, 8),
+    "talk_turns": ((0.1, 0.2), ("full",), ("full", "matrix", "no_budget"), 0.6, None, 8),
 }
 
 
