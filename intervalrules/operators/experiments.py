@@ -88,9 +88,9 @@ def scalability(spark, sizes: Iterable[int], variants: Iterable[str], k: int = 2
 
 @query("scalability_top_k")
 def scalability_top_k(spark, d):
-    """Top 200 for three sizes that follow the customers table: 1/4, 1/2 and all of its rows as numbers of timelines."""
+    """Top 200 for two sizes that follow the customers table: half of its rows and all of them as numbers of timelines."""
     n = T.table(spark, d, "customer").count()
-    return scalability(spark, (n // 4, n // 2, n), ("full", "matrix", "no_budget"))
+    return scalability(spark, (n // 2, n), ("full", "matrix", "no_budget"))
 
 
 RENTAL = [(1, "A", 0, 5, 5), (1, "B", 1, 4, 3), (2, "A", 0, 50, 50), (2, "B", 5, 45, 40), (2, "D", 60, 160, 100)]
