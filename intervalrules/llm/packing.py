@@ -25,7 +25,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import Scratch, chunks, ragged, table
+from .common import Scratch, chunks, ragged, table, tidy
 
 CAPACITY, END = 2048, 0
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long, bin long, offset long, open boolean"
@@ -192,7 +192,7 @@ def pack_texts(path: str, open_bins: int, capacity: int = CAPACITY):
         if left := [row for rows in held.values() for row in rows]:
             yield emit(left, True)
 
-    return run
+    return tidy(run)
 
 
 def pack_bins(open_bins: int, capacity: int):
