@@ -262,3 +262,18 @@ def test_cost_of_a_run(spark):
     got = metrics.run(example(spark), minutil=35, minconf=0.6)
     assert (got["candidates"], got["rules"]) == (16, 5) and got["seconds"] > 0 and got["task_ms"] > 0 and got["bytes_base7"] <= got["bytes_matrix"]
     assert [level["size"] for level in got["levels"]][0] == 2
+
+
+def test_a_run_leaves_no_files(spark):
+    def files():
+        path = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(scratch.shared_dir(spark))
+        found = path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).listFiles(path, True)
+        out = set()
+        while found.hasNext():
+            out.add(found.next().getPath().toString())
+        return out
+
+    metrics.run(example(spark), minutil=35, minconf=0.6)  # makes the folders
+    before = files()
+    assert metrics.run(random_log(spark, 1), minutil=10, minconf=0.1)["rules"] > 0
+    assert files() <= before
