@@ -277,3 +277,17 @@ def test_a_run_leaves_no_files(spark):
     before = files()
     assert metrics.run(random_log(spark, 1), minutil=10, minconf=0.1)["rules"] > 0
     assert files() <= before
+
+
+def test_prefix_engine_scans_each_antecedent_once(monkeypatch):
+    rng, scanned, plain = random.Random(3), [], prefix.DepthFirst._scan
+    lines = []
+    for _ in range(30):
+        rows = sorted((st := rng.randint(0, 9), st + rng.randint(1, 5), rng.randint(1, 4), rng.randint(1, 9)) for _ in range(6))
+        tie = [next(k for k, e in enumerate(rows, 1) if e[0] == r[0]) for r in rows]
+        lines.append([(*r, sum(e[3] for e in rows[k + 1 :]), tie[k]) for k, r in enumerate(rows)])
+    monkeypatch.setattr(prefix.DepthFirst, "_scan", lambda self, x, xrel: scanned.append((x, xrel)) or plain(self, x, xrel))
+    run = prefix.DepthFirst(1, lines, search.Options(1, 0, max_size=4)).run()
+    assert len(scanned) == len(set(scanned)) > 0
+    for x, _, rel, _, n, _ in run.found:
+        assert n == plain(run, tuple(x), tuple(rel[: len(x) - 1]))
