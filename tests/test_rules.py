@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from intervalrules.functions import relations as R
 from intervalrules.functions.sqlfuncs import relation
 from intervalrules.operators.rules import example
-from intervalrules.plans import baselines, bounds, ledger, match, measures, metrics, model, prefix, report, scratch, search, timelines
+from intervalrules.plans import baselines, bounds, ledger, match, measures, metrics, model, packed, prefix, report, scratch, search, timelines
 from intervalrules.plans.prefix import number
 from intervalrules.plans.variants import VARIANTS
 
@@ -291,3 +291,34 @@ def test_prefix_engine_scans_each_antecedent_once(monkeypatch):
     assert len(scanned) == len(set(scanned)) > 0
     for x, _, rel, _, n, _ in run.found:
         assert n == plain(run, tuple(x), tuple(rel[: len(x) - 1]))
+
+
+@pytest.mark.parametrize("variant", ["full", "matrix", "no_budget", "no_zero_carry", "no_right_bound"])
+def test_packed_search_equals_stored_levels(spark, variant, monkeypatch):
+    monkeypatch.setattr(packed, "CHUNK", 25)  # several chunks and parts of rows
+    monkeypatch.setattr(packed, "GROWN", 40)
+    options = dict(minutil=25, minconf=0.3, max_size=5, disjoint="interval" if variant == "no_right_bound" else "symbol", **VARIANTS[variant])
+    made, plain = [], packed.PackedSearch.__init__
+    monkeypatch.setattr(packed.PackedSearch, "__init__", lambda self, *a: made.append(1) or plain(self, *a))
+    new = search.mine(random_log(spark, 3), **options)
+    assert made
+    monkeypatch.setattr(search, "packable", lambda items, opt: None)
+    old = search.mine(random_log(spark, 3), **options)
+    assert keyed(new.rules) == keyed(old.rules) and keyed(new.rules)
+    assert new.metrics.candidates == old.metrics.candidates and new.metrics.levels == old.metrics.levels
+
+
+def test_wide_levels_are_stored(spark, monkeypatch):
+    whole = search.mine(random_log(spark, 3), minutil=25, minconf=0.3, max_size=4)
+    top = search.mine_top_k(random_log(spark, 3), 9, 0.3, max_size=4)
+    monkeypatch.setattr(packed, "BROADCAST_ROWS", 3)
+    assert keyed(search.mine(random_log(spark, 3), minutil=25, minconf=0.3, max_size=4).rules) == keyed(whole.rules)
+    assert keyed(search.mine_top_k(random_log(spark, 3), 9, 0.3, max_size=4).rules) == keyed(top.rules)
+
+
+def test_top_k_of_a_coded_log(spark):
+    log = random_log(spark, 5, size=4)
+    coded = search.ready(log)
+    for variant in ("full", "matrix"):
+        got = search.mine_top_k(coded, 7, 0.5, max_size=3, **VARIANTS[variant])
+        assert keyed(got.rules) == keyed(search.mine_top_k(log, 7, 0.5, max_size=3).rules)
