@@ -2,6 +2,7 @@
 
 import random
 
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -322,3 +323,17 @@ def test_top_k_of_a_coded_log(spark):
     for variant in ("full", "matrix"):
         got = search.mine_top_k(coded, 7, 0.5, max_size=3, **VARIANTS[variant])
         assert keyed(got.rules) == keyed(search.mine_top_k(log, 7, 0.5, max_size=3).rules)
+
+
+@pytest.mark.parametrize("disable", [frozenset(), frozenset({"confidence", "open_bound"})])
+def test_prefix_task_of_column_arrays_equals_lists(disable, monkeypatch):
+    monkeypatch.setattr(packed, "GROWN", 50)  # several parts of rows
+    rng = random.Random(5)
+    lines = [sorted((st := rng.randint(0, 9), st + rng.randint(1, 5), rng.randint(1, 4), rng.randint(1, 9)) for _ in range(6)) for _ in range(40)]
+    for first in (1, 2):
+        own = [rows[next(k for k, r in enumerate(rows) if r[2] == first) :] for rows in lines if first in [r[2] for r in rows]]
+        full = [[(*r, sum(e[3] for e in rows[k + 1 :]), next(j for j, e in enumerate(rows, 1) if e[0] == r[0])) for k, r in enumerate(rows)] for rows in own]
+        opt = search.Options(60, 0.1, max_size=4, disable=disable)
+        column = pa.chunked_array([pa.array([[dict(zip(("st", "ft", "code", "u"), r)) for r in rows] for rows in part]) for part in (own[:7], own[7:])])
+        a, b = prefix.DepthFirst(first, full, opt).run(), prefix.Subtree(first, prefix.chunk_of(column, opt, 4), opt).run()
+        assert sorted(a.found) == sorted(b.found) and a.found and a.candidates == b.candidates
